@@ -15,7 +15,7 @@ from strata_engine.llm.common import bucket_of, load, stage
 from strata_engine.llm.queries import vocabulary
 
 #: A document whose cosine with the nearest language prototype is below this has no recognised language.
-MIN_COSINE = 0.5
+MIN_COSINE = 0.1
 
 
 def _identified(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
