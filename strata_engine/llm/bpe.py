@@ -19,11 +19,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import prepare_workers
+from .common import prepare_workers, trim
 
 _built: dict[str, tuple] = {}
 #: Matches whose ids a worker remembers; beyond that it forgets all and starts anew.
-MEMO = 600_000
+MEMO = 200_000
 
 
 def byte_table() -> list[str]:
@@ -78,6 +78,7 @@ def packed_ids(texts: list[str], path: str, pattern: str) -> list[bytes]:
     tok, _, cut, memo = tokenizer(path, pattern)
     if len(memo) > MEMO:
         memo.clear()
+        trim()
     pieces = [cut(t) for t in texts]
     new = list(set().union(*pieces).difference(memo)) if pieces else []
     for i in range(0, len(new), 4096):

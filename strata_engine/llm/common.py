@@ -4,14 +4,18 @@ from __future__ import annotations
 
 import atexit
 import contextlib
+import ctypes
 import os
 import tempfile
 import uuid
 
+import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 REPO_ROOT = os.path.dirname(os.path.dirname(os.path.dirname(os.path.abspath(__file__))))
+#: Rows of an Arrow batch at most: whole texts, some of them long, travel in them.
+BATCH = 1000
 _written: list[tuple[SparkSession, str]] = []
 
 
@@ -21,6 +25,15 @@ def prepare_workers(spark: SparkSession) -> None:
     parts = [p for p in env.get("PYTHONPATH", "").split(os.pathsep) if p]
     if REPO_ROOT not in parts:
         env["PYTHONPATH"] = os.pathsep.join([REPO_ROOT, *parts])
+    if int(spark.conf.get("spark.sql.execution.arrow.maxRecordsPerBatch")) > BATCH:
+        spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", str(BATCH))
+
+
+def trim() -> None:
+    """Give memory that a worker has freed back to the system; workers live on between tasks."""
+    pa.default_memory_pool().release_unused()
+    with contextlib.suppress(OSError, AttributeError):
+        ctypes.CDLL(None).malloc_trim(0)
 
 
 def load(spark: SparkSession, sf_dir: str, table: str) -> DataFrame:

@@ -104,29 +104,23 @@ def _links(fps: np.ndarray, keys: list[np.ndarray], radius: int) -> tuple[np.nda
         same[1:] &= k[1:] == k[:-1]
     head = np.flatnonzero(~same)
     sizes = np.diff(np.concatenate((head, [len(fps)])))
-    a_all, b_all = [], []
     left = np.repeat(head + sizes, sizes) - np.arange(len(fps)) - 1  # partners after each one in its run
-    step = 1
+    label, step = np.arange(len(fps)), 1
     while True:
         at = np.flatnonzero(left >= step)
         if not len(at):
             break
-        for s in range(0, len(at), 1 << 18):
-            i = at[s : s + (1 << 18)]
-            ok = within(fps[i] ^ fps[i + step], radius)
-            a_all.append(i[ok])
-            b_all.append(i[ok] + step)
+        at = at[label[at] != label[at + step]]  # what is linked already needs no comparison
+        for s in range(0, len(at), 1 << 16):
+            a = at[s : s + (1 << 16)]
+            a = a[within(fps[a] ^ fps[a + step], radius)]
+            b = a + step
+            while (label[a] != label[b]).any():  # roots sink to the smallest place of the component
+                x, y = label[a], label[b]
+                np.minimum.at(label, np.maximum(x, y), np.minimum(x, y))
+                while (label != label[label]).any():
+                    label = label[label]
         step += 1
-    a = np.concatenate(a_all) if a_all else np.zeros(0, dtype=np.int64)
-    b = np.concatenate(b_all) if b_all else np.zeros(0, dtype=np.int64)
-    label = np.arange(len(fps))
-    while len(a):  # labels sink to the smallest place of the component
-        low = np.minimum(label[a], label[b])
-        np.minimum.at(label, a, low)
-        np.minimum.at(label, b, low)
-        label = label[label]
-        if (label[a] == label[b]).all():
-            break
     moved = np.flatnonzero(label != np.arange(len(fps)))
     return fps[moved], fps[label[moved]]
 

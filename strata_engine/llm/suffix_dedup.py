@@ -28,7 +28,7 @@ import pyarrow.compute as pc
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from .common import new_path, parts, prepare_workers, remove_path, stage, text_bytes
+from .common import new_path, parts, prepare_workers, remove_path, stage, text_bytes, trim
 
 U64 = np.uint64
 TILE = 1 << 15
@@ -220,13 +220,13 @@ def _resolve(c: Chunk, upto: int, answers: dict[int, pa.Table], chunk: int, buck
     if upto == 3:
         return _send(chunk, 4, w_names, w_pack, buckets)
     gone = _bits(answers[3], 4, w_names, buckets)[w_inv] | (docs > w_first[w_inv])
-    step = np.zeros(c.size + 1, dtype=np.int32)
+    step = np.zeros(c.size + 1, dtype=np.int32)  # how many windows cover a byte, by differences
     whole = at[earlier]
     np.add.at(step, c.lo[whole], 1)
     np.add.at(step, c.hi[whole] + c.length, -1)
     np.add.at(step, starts[gone], 1)
     np.add.at(step, starts[gone] + c.length, -1)
-    return np.cumsum(step[: c.size]) > 0
+    return np.cumsum(step[: c.size], dtype=np.int32) > 0
 
 
 def _table(rows: list[tuple], schema: pa.Schema) -> pa.Table:
@@ -277,7 +277,8 @@ def _judge(table: pa.Table) -> pa.Table:
 
 def _result(c: Chunk, gone: np.ndarray) -> pa.Table:
     n = len(c.ids)
-    total = np.concatenate(([0], np.cumsum(gone)))
+    total = np.zeros(len(gone) + 1, dtype=np.int32 if len(gone) < 1 << 31 else np.int64)
+    np.cumsum(gone, out=total[1:])
     removed = total[c.ends] - total[c.starts]
     start = gone.copy()
     start[1:] &= ~gone[:-1]
@@ -306,7 +307,7 @@ RESULT = "doc_id long, row long, n_bytes long, n_removed long, n_spans long, spa
 LAST = np.iinfo(np.int64).max
 
 
-def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 50, seed: int = 20, chunk_mb: float = 8.0) -> DataFrame:
+def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 50, seed: int = 20, chunk_mb: float = 5.0) -> DataFrame:
     """One row per row of ``docs``: (doc_id, row, n_bytes, n_removed, n_spans, span_starts, span_ends, kept).
 
     ``kept`` holds the bytes that stay, ``span_*`` the maximal removed runs as byte offsets. Null texts count as empty
@@ -350,7 +351,10 @@ def _pass(table: DataFrame, answers: dict[int, DataFrame], upto: int, length: in
         c = Chunk(left, length, seed)
         got = {r: right.filter(pc.equal(right["round"], r)) for r in range(1, upto)} if right is not None else {}
         out = _resolve(c, upto, got, chunk, buckets)
-        return _result(c, out) if upto == 4 else _table(out, SENT_ARROW)
+        out = _result(c, out) if upto == 4 else _table(out, SENT_ARROW)
+        del c, got
+        trim()
+        return out
 
     if not answers:
         return table.groupBy("chunk").applyInArrow(lambda left: work(left, None), schema)
