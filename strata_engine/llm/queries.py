@@ -25,7 +25,8 @@ def op1_suffix_dedup(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def op2_importance_resampling(spark: SparkSession, sf_dir: str) -> DataFrame:
     docs, labels = load(spark, sf_dir, "documents"), load(spark, sf_dir, "labels")
-    good = docs.join(labels.filter("quality = 1").select("doc_id").distinct(), "doc_id", "left_semi")
+    # All labelled rows count, and their number grows with the corpus: a merge join at every size, never a broadcast.
+    good = docs.select("doc_id", "text").join(labels.filter("quality = 1").select("doc_id").distinct().hint("merge"), "doc_id", "left_semi")
     share = labels.agg(F.avg(F.col("quality").cast("double"))).first()[0] or 0.0
     return importance.resample(docs, good, share)
 
