@@ -1,10 +1,12 @@
 """Exact top-k BM25 search: an inverted index for each shard, pruned by block maxima, merged with global statistics.
 
 Document frequencies and lengths are counted over all documents first, so that scores don't depend on the shards. A
-shard orders its documents into blocks and keeps, for each term and block, the greatest score that the term gives a
-document there. For a query, the sums of these maxima bound each block; blocks are taken by falling bound and the
-search ends at the first whose bound can't reach the k-th best score. Bounds are never below scores, so nothing of the
-true top k is lost. Shards' lists meet by query id.
+shard puts documents of like vocabulary into blocks. For a query, the bound of a block is the sum of its words' block
+maxima, or what the block's documents really get from rare words, whose postings are short. Blocks are taken by falling
+bound, and those whose bound can't reach the k-th best score so far are never scored. Bounds are never below scores, so
+nothing of the true top k is lost. Small shares of the documents go first, each share several times the one before, so
+that the rest starts with a good score to beat and yields few candidates however many tasks there are. Frequent words are scored for many queries at once in single precision; whatever
+could be in the top k despite rounding is scored again in double precision.
 """
 
 from __future__ import annotations
@@ -15,11 +17,12 @@ from collections.abc import Iterable, Iterator
 import numpy as np
 import pyarrow as pa
 import xxhash
+from pyspark import Broadcast
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from .common import parts, prepare_workers, stage
+from .common import new_path, prepare_workers, stage, trim
 from .grams import WORDS
 
 
@@ -33,76 +36,152 @@ def terms_of(text: str | None) -> tuple[np.ndarray, np.ndarray]:
     return t[o], np.fromiter(c.values(), dtype=np.int32, count=len(c))[o]
 
 
+def places(words: np.ndarray, vocab: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Which words are in the sorted ``vocab``, and the places of those."""
+    if not len(vocab):
+        return np.zeros(len(words), dtype=bool), np.zeros(0, dtype=np.int64)
+    at = np.searchsorted(vocab, words)
+    at[at == len(vocab)] = 0
+    known = vocab[at] == words
+    return known, at[known]
+
+
+def spread(first: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """The ranges that start at ``first`` and have ``count`` members, end to end."""
+    return np.arange(int(count.sum())) + np.repeat(first - (np.cumsum(count) - count), count)
+
+
+class Asked:
+    """A block of queries: their words as places in a sorted vocabulary, in an order that puts like queries together."""
+
+    def __init__(self, rows: list[tuple[int, int, bytes, bytes]]):
+        sizes = np.array([len(r[2]) // 8 for r in rows], dtype=np.int64)
+        words = np.frombuffer(b"".join(r[2] for r in rows), dtype="<i8")
+        self.vocab, at = np.unique(words, return_inverse=True)
+        weight = np.frombuffer(b"".join(r[3] for r in rows), dtype="<i4").astype(np.float64)
+        head = leading(at, weight, sizes, np.bincount(at, minlength=len(self.vocab)))
+        order = np.lexsort((sizes, head))
+        pick = spread((np.cumsum(sizes) - sizes)[order], sizes[order])
+        self.row = np.array([r[0] for r in rows], dtype=np.int64)[order]
+        self.id = np.array([r[1] for r in rows], dtype=np.int64)[order]
+        self.at, self.weight = at[pick].astype(np.int32), weight[pick]
+        self.first = np.concatenate(([0], np.cumsum(sizes[order])))
+
+
+def leading(at: np.ndarray, tf: np.ndarray, sizes: np.ndarray, common: np.ndarray) -> np.ndarray:
+    """Each text's most frequent word, the commoner one of equals; -1 without words."""
+    out = np.full(len(sizes), -1, dtype=np.int64)
+    has = np.flatnonzero(sizes)
+    if len(has):
+        value = tf + common[at] / (common.max() + 1.0)
+        start = (np.cumsum(sizes) - sizes)[has]
+        most = np.maximum.reduceat(value, start)
+        hit = np.flatnonzero(value == np.repeat(most, sizes[has]))
+        owner = np.repeat(has, sizes[has])[hit]
+        out[owner[::-1]] = at[hit[::-1]]
+    return out
+
+
 class Shard:
-    """Postings of one shard with their BM25 contributions, and block maxima."""
-
-    def __init__(self, ids: np.ndarray, terms: list[np.ndarray], tfs: list[np.ndarray], vocab: np.ndarray, idf: np.ndarray, mean: float, k1: float, b: float, block: int):
-        sizes = np.array([int(x.sum()) for x in tfs])
-        order = np.lexsort((ids, sizes))  # documents of like length have like maxima
-        self.ids, self.block = ids[order], block
-        lens = np.array([len(terms[i]) for i in order])
-        doc = np.repeat(np.arange(len(order)), lens)
-        term = np.concatenate([terms[i] for i in order]) if len(order) else np.zeros(0, dtype=np.int64)
-        tf = np.concatenate([tfs[i] for i in order]).astype(np.float64) if len(order) else np.zeros(0)
-        at = np.searchsorted(vocab, term) if len(vocab) else np.zeros(len(term), dtype=np.int64)
-        at[at == len(vocab)] = 0
-        known = vocab[at] == term if len(vocab) else np.zeros(len(term), dtype=bool)
-        doc, tf, at = doc[known], tf[known], at[known]
-        norm = k1 * (1 - b + b * sizes[order][doc] / max(mean, 1e-9))
-        part = idf[at] * tf * (k1 + 1) / (tf + norm)
-        by = np.lexsort((doc, at))
-        self.doc, self.part, at = doc[by], part[by], at[by]
-        self.first = np.searchsorted(at, np.arange(len(vocab) + 1))
-        blocks = self.doc // block
-        head = np.flatnonzero(np.concatenate(([True], (at[1:] != at[:-1]) | (blocks[1:] != blocks[:-1])))) if len(at) else np.zeros(0, dtype=np.int64)
-        self.b_block = blocks[head]
-        self.b_max = np.maximum.reduceat(self.part, head) if len(at) else np.zeros(0)
-        self.b_at, self.b_end = head, np.concatenate((head[1:], [len(at)])) if len(at) else head
-        self.b_first = np.searchsorted(at[head], np.arange(len(vocab) + 1))
-        self.n_blocks = -(-len(order) // block)
-
-    def top(self, q: np.ndarray, weight: np.ndarray, k: int) -> list[tuple[float, int]]:
-        """The k best (score, id) with a positive score: by falling score, then rising id."""
-        spans = [(self.b_first[t], self.b_first[t + 1], w) for t, w in zip(q.tolist(), weight.tolist(), strict=True) if self.b_first[t] < self.b_first[t + 1]]
-        if not spans:
-            return []
-        idx = np.concatenate([np.arange(a, z) for a, z, _ in spans])
-        w = np.repeat([x[2] for x in spans], [x[1] - x[0] for x in spans])
-        bound = np.bincount(self.b_block[idx], weights=self.b_max[idx] * w, minlength=self.n_blocks)
-        by = np.argsort(self.b_block[idx], kind="stable")
-        idx, w = idx[by], w[by]
-        cuts = np.searchsorted(self.b_block[idx], np.arange(self.n_blocks + 1))
-        best: list[tuple[float, int]] = []
-        theta, step, order = 0.0, 16, np.argsort(-bound, kind="stable")
-        at = 0
-        while at < len(order):
-            some = order[at : at + step]
-            some = some[bound[some] * (1 + 1e-9) >= theta]
-            if not len(some) or bound[some[0]] <= 0:
-                break
-            pieces = np.concatenate([np.arange(cuts[x], cuts[x + 1]) for x in some])
-            a, n = self.b_at[idx[pieces]], self.b_end[idx[pieces]] - self.b_at[idx[pieces]]
-            post = np.repeat(a - np.concatenate(([0], np.cumsum(n)[:-1])), n) + np.arange(int(n.sum()))
-            docs = self.doc[post]
-            local = np.searchsorted(np.sort(some), docs // self.block) * self.block + docs % self.block
-            score = np.bincount(local, weights=self.part[post] * np.repeat(w[pieces], n), minlength=len(some) * self.block)
-            hit = np.flatnonzero(score > 0)
-            if len(hit) > 4 * k:
-                hit = hit[score[hit] >= np.partition(score[hit], len(hit) - k)[len(hit) - k] * (1 - 1e-12)]
-            real = np.sort(some)[hit // self.block] * self.block + hit % self.block
-            best = sorted(best + [(round(float(score[h]), 9), int(self.ids[r])) for h, r in zip(hit, real, strict=True)], key=lambda x: (-x[0], x[1]))[:k]
-            theta = best[-1][0] if len(best) == k else 0.0
-            at += step
-            step = min(4 * step, 256)
-        return best
-
-
-def search(docs: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "doc_id", text_col: str = "text", query_col: str = "query_id", query_text: str = "text", k1: float = 1.2, b: float = 0.75, block: int = 64, shard_docs: int = 16_000, query_block: int = 2_000) -> DataFrame:
+    """Documents of one shard with their BM25 contributions, and block maxima.
+
+    ``rows`` are (id, terms, tfs, size). Equal documents are scored once; of their ids the ``k`` smallest can matter.
+    """
+
+    def __init__(self, rows: list[tuple[int, bytes, bytes, int]], vocab: np.ndarray, df: np.ndarray, n: int, mean: float, k: int, k1: float, b: float, block: int, most_dense: int = 1024):
+        same: dict[tuple[bytes, bytes], list[int]] = {}
+        for i, t, f, _ in rows:
+            same.setdefault((t, f), []).append(i)
+        lens = np.array([len(t) // 8 for t, _ in same], dtype=np.int64)
+        known, at = places(np.frombuffer(b"".join(t for t, _ in same), dtype="<i8"), vocab)
+        tf = np.frombuffer(b"".join(f for _, f in same), dtype="<i4")
+        size = np.add.reduceat(tf, np.cumsum(lens) - lens).astype(np.float64) if len(lens) else np.zeros(0)
+        owner = np.repeat(np.arange(len(lens)), lens)[known]
+        tf = tf[known].astype(np.float64)
+        lens = np.bincount(owner, minlength=len(lens))
+        order = np.lexsort((size, leading(at, tf, lens, df)))
+        members = list(same.values())
+        self.ids = [sorted(members[i])[:k] for i in order]
+        pick = spread((np.cumsum(lens) - lens)[order], lens[order])
+        lens, at, tf = lens[order], at[pick].astype(np.int32), tf[pick]
+        doc = np.repeat(np.arange(len(lens), dtype=np.int32), lens)
+        idf = np.log(1 + (n - df + 0.5) / (df + 0.5))
+        self.part = idf[at] * tf * (k1 + 1) / (tf + k1 * (1 - b + b * size[order] / max(mean, 1e-9))[doc])
+        self.at, self.first, self.n = at, np.concatenate(([0], np.cumsum(lens))), len(lens)
+        self.starts = np.arange(0, self.n, block)
+        self.block = block
+        local = np.bincount(at, minlength=len(vocab))
+        often = np.flatnonzero(local * 32 >= max(1, self.n))
+        often = often[np.argsort(-local[often], kind="stable")[:most_dense]]
+        self.column = np.full(len(vocab), -1, dtype=np.int32)
+        self.column[often] = np.arange(len(often))
+        col = self.column[at]
+        self.dense = np.zeros((len(often), self.n), dtype=np.float32)
+        d = col >= 0
+        self.dense[col[d], doc[d]] = self.part[d]
+        self.maxima = np.maximum.reduceat(self.dense, self.starts, axis=1) if len(often) and self.n else np.zeros((len(often), len(self.starts)), dtype=np.float32)
+        r = np.flatnonzero(~d)
+        r = r[np.argsort(at[r], kind="stable")]
+        self.rare_doc, self.rare_part = doc[r], self.part[r]
+        self.rare_first = np.concatenate(([0], np.cumsum(np.bincount(at[r], minlength=len(vocab)))))
+
+    def top(self, asked: Asked, lo: int, hi: int, least: np.ndarray, k: int) -> Iterator[tuple[int, list[tuple[float, int]]]]:
+        """(query, its documents that can be among the k best) of queries lo to hi; ``least`` has scores to reach."""
+        nq, a, z = hi - lo, asked.first[lo], asked.first[hi]
+        count = np.diff(asked.first[lo : hi + 1])
+        owner, at, w = np.repeat(np.arange(nq), count), asked.at[a:z], asked.weight[a:z]
+        col = self.column[at]
+        d = col >= 0
+        q = np.zeros((nq, len(self.dense)), dtype=np.float32)
+        q[owner[d], col[d]] = w[d]
+        r = ~d
+        n = self.rare_first[at[r] + 1] - self.rare_first[at[r]]
+        post = spread(self.rare_first[at[r]], n)
+        rare = np.bincount(np.repeat(owner[r] * self.n, n) + self.rare_doc[post], weights=self.rare_part[post] * np.repeat(w[r], n), minlength=nq * self.n).astype(np.float32).reshape(nq, self.n)
+        slack = 1 + (count + 16) * 2.0**-22  # more than rounding can add up to: all terms are positive
+        bound = (np.maximum.reduceat(rare, self.starts, axis=1) + q @ self.maxima) * slack[:, None]
+        theta = least.copy()
+        best = np.zeros((nq, k), dtype=np.float32)
+        found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
+        for x in np.argsort(-bound.max(axis=0), kind="stable").tolist():
+            live = np.flatnonzero((bound[:, x] >= theta) & (bound[:, x] > 0))
+            if not len(live):
+                continue
+            s = slice(self.starts[x], min(self.starts[x] + self.block, self.n))
+            score = rare[live, s] + q[live] @ self.dense[:, s]
+            both = np.concatenate((best[live], score), axis=1)
+            best[live] = np.partition(both, both.shape[1] - k, axis=1)[:, -k:]
+            theta[live] = np.maximum(theta[live], best[live].min(axis=1) / slack[live])
+            i, j = np.nonzero((score * slack[live][:, None] >= theta[live][:, None]) & (score > 0))
+            found.append((live[i], j + s.start, score[i, j]))
+        if not found:
+            return
+        who, docs, score = (np.concatenate(c) for c in zip(*found, strict=True))
+        keep = score * slack[who] >= theta[who]
+        by = np.argsort(who[keep], kind="stable")
+        who, docs = who[keep][by], docs[keep][by]
+        cuts = np.searchsorted(who, np.arange(nq + 1))
+        full = np.zeros(len(self.column))
+        for i in np.flatnonzero(np.diff(cuts)).tolist():
+            mine = docs[cuts[i] : cuts[i + 1]]
+            s = slice(asked.first[lo + i], asked.first[lo + i + 1])
+            full[asked.at[s]] = asked.weight[s]
+            size = self.first[mine + 1] - self.first[mine]
+            post = spread(self.first[mine], size)
+            exact = np.bincount(np.repeat(np.arange(len(mine)), size), weights=self.part[post] * full[self.at[post]], minlength=len(mine))
+            full[asked.at[s]] = 0.0
+            yield lo + i, [(round(v, 9), one) for v, m in zip(exact.tolist(), mine.tolist(), strict=True) for one in self.ids[m]]
+
+
+def search(docs: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "doc_id", text_col: str = "text", query_col: str = "query_id", query_text: str = "text", k1: float = 1.2, b: float = 0.75, block: int = 128, shard_docs: int = 16_000, shard_terms: int = 2_400_000, query_block: int = 8_000, query_mb: float = 32.0, growth: int = 8) -> DataFrame:
     """The exact top ``k`` documents of every query: (query_col, rank, doc_id, score), score rounded to 6 places.
 
     Ties go to the smaller id. Documents that share no word with a query don't answer it; null and empty texts and
-    queries give nothing, rows with a null id are left out. Queries go to every shard in blocks of about ``query_block``.
-    Repeated rows answer each by itself; extra columns are not read.
+    queries give nothing, rows with a null id are left out. Queries go to all shards in blocks of about ``query_block``
+    and ``query_mb`` MB, which bounds what is broadcast at once; a shard is a run of documents, ``shard_docs`` at most or
+    about ``shard_terms`` postings, so nothing is shuffled but document frequencies and candidates. The first share of
+    documents fills half a shard and each next one is ``growth`` times as large, so a query has about ``growth * k``
+    candidates a share. Repeated rows answer each by itself; extra columns are not read.
     """
     spark = docs.sparkSession
     prepare_workers(spark)
@@ -114,63 +193,107 @@ def search(docs: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "doc_
 
     shape = "id long, terms binary, tfs binary, size long"
     pick = lambda df, i, t: df.filter(F.col(i).isNotNull()).select(F.col(i).cast("long").alias("id"), F.col(t).cast("string").alias("text"))
-    index, _ = stage(pick(docs, id_col, text_col).mapInArrow(split, shape), "postings")
-    asked, _ = stage(pick(queries, query_col, query_text).mapInArrow(split, shape).filter("size > 0"), "queries")
-    n, mean = index.agg(F.count("*"), F.avg("size")).first()
-    n_asked = asked.count()
+    count = docs.count()
+    steps = 0
+    while count > shard_docs // 2 * growth**steps:
+        steps += 1
+    # The share of a row: the smallest one, 0, has every growth**steps-th row, the next one the growth**(steps-1)-th, ...
+    place = F.pmod(F.xxhash64("id", "size"), F.lit(growth**steps))
+    share = F.lit(steps)
+    for x in range(steps):
+        share = F.when(place % growth ** (steps - x) == 0, F.least(share, F.lit(x))).otherwise(share)
+    index = pick(docs, id_col, text_col).mapInArrow(split, shape).withColumn("share", share.cast("int"))
+    at = new_path(spark, "postings")
+    index.write.option("compression", "zstd").partitionBy("share").parquet(at)
+    index = spark.read.schema(index.schema).parquet(at)
+    asked, _ = stage(pick(queries, query_col, query_text).mapInArrow(split, shape).filter("size > 0").withColumn("row", F.monotonically_increasing_id()), "queries")
+    shares = {x["share"]: x for x in index.groupBy("share").agg(F.count("*").alias("n"), F.sum("size").alias("size")).collect()}
+    n = sum(x["n"] for x in shares.values())
+    mean = sum(x["size"] for x in shares.values()) / max(1, n)
+    n_asked, asked_bytes = asked.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("terms") + F.octet_length("tfs")), F.lit(0))).first()
+    blocks = max(1, -(-n_asked // query_block), int(-(-asked_bytes // (query_mb * 1e6))))
+    path = new_path(spark, "answers")
+    out = f"{query_col} long, rank long, doc_id long, score double"
+    for some in range(blocks):
+        rows = asked.filter(F.pmod(F.xxhash64("row"), F.lit(blocks)) == some).select("row", "id", "terms", "tfs").collect()
+        here = Asked([(r[0], r[1], bytes(r[2]), bytes(r[3])) for r in rows])
+        df = _frequencies(index, here.vocab)
+        least, ranked = np.zeros(len(here.row)), None
+        for x in sorted(shares):
+            part = index.filter(F.col("share") == x)
+            if x < steps:
+                part = part.coalesce(-(-shares[x]["n"] // shard_docs))
+            found, sent = _answers(part, here, df, least, n, mean or 1.0, k, k1, b, block, shard_docs, shard_terms)
+            found = found if ranked is None else found.unionByName(ranked)
+            found = found.withColumn("rank", F.row_number().over(Window.partitionBy("row").orderBy(F.col("score").desc(), "id"))).filter(F.col("rank") <= k)
+            ranked, _ = stage(found.select("row", "q", "rank", "id", "score"), "ranked")
+            sent.destroy()
+            if x < max(shares):
+                reached = ranked.filter(F.col("rank") == k).select("row", "score").toArrow()  # a row a query of the block
+                at = np.argsort(here.row)
+                least[at[np.searchsorted(here.row[at], reached["row"].to_numpy())]] = reached["score"].to_numpy() * (1 - 1e-9)
+                ranked = ranked.drop("rank")
+        if ranked is not None:
+            ranked.select(F.col("q").alias(query_col), F.col("rank").cast("long").alias("rank"), F.col("id").alias("doc_id"), F.round("score", 6).alias("score")).write.mode("append").parquet(path)
+    if not shares:
+        return spark.createDataFrame([], out)
+    return spark.read.schema(out).parquet(path)
+
+
+def _frequencies(index: DataFrame, vocab: np.ndarray) -> np.ndarray:
+    """In how many documents each word of a block of queries occurs."""
+    shared = index.sparkSession.sparkContext.broadcast(vocab)
 
     def spell(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        total: Counter = Counter()
+        words = shared.value
+        total = np.zeros(len(words), dtype=np.int64)
         for batch in batches:
-            for t in batch.column(0).to_pylist():
-                total.update(np.frombuffer(t, dtype="<i8").tolist())
-        yield pa.RecordBatch.from_arrays([pa.array(list(total.keys()), pa.int64()), pa.array(list(total.values()), pa.int64())], names=["term", "df"])
+            _, at = places(np.frombuffer(b"".join(batch.column(0).to_pylist()), dtype="<i8"), words)
+            total += np.bincount(at, minlength=len(words))
+        hit = np.flatnonzero(total)
+        yield pa.RecordBatch.from_arrays([pa.array(hit.astype(np.int32)), pa.array(total[hit])], names=["at", "df"])
 
-    df = index.select("terms").mapInArrow(spell, "term long, df long").groupBy("term").agg(F.sum("df").alias("df"))
-    blocks = max(1, -(-n_asked // query_block))
-    q = asked.withColumn("qblock", F.pmod(F.xxhash64("id"), F.lit(blocks)).cast("int")).select("qblock", F.col("id").alias("qid"), F.col("terms").alias("qterms"), F.col("tfs").alias("qtfs"))
+    df = np.zeros(len(vocab), dtype=np.int64)
+    counted = index.select("terms").mapInArrow(spell, "at int, df long").groupBy("at").agg(F.sum("df").alias("df")).toArrow()
+    df[counted["at"].to_numpy()] = counted["df"].to_numpy()
+    shared.destroy()
+    return df
 
-    def explode_terms(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+
+def _answers(index: DataFrame, asked: Asked, df: np.ndarray, reached: np.ndarray, n: int, mean: float, k: int, k1: float, b: float, block: int, shard_docs: int, shard_terms: int, at_once: int = 128) -> tuple[DataFrame, Broadcast]:
+    """(row, q, id, score), at most k for a task and query and none below ``reached``; also what was broadcast."""
+    shared = index.sparkSession.sparkContext.broadcast((asked, df, reached))
+
+    def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        q, dfs, least = shared.value
+        least = least.copy()
+        best: list[list[tuple[float, int]]] = [[] for _ in q.row]
+
+        def finish(rows: list) -> None:
+            shard = Shard(rows, q.vocab, dfs, n, mean, k, k1, b, block)
+            rows.clear()
+            trim()
+            for lo in range(0, len(q.row), at_once) if shard.n else ():
+                hi = min(lo + at_once, len(q.row))
+                for i, more in shard.top(q, lo, hi, least[lo:hi], k):
+                    best[i] = sorted(best[i] + [x for x in more if x[0] >= least[i]], key=lambda x: (-x[0], x[1]))[:k]
+                    if len(best[i]) == k:
+                        least[i] = best[i][-1][0] * (1 - 1e-9)
+
+        held, terms = [], 0
         for batch in batches:
-            seen = [np.frombuffer(t, dtype="<i8") for t in batch.column(1).to_pylist()]
-            own = np.repeat(np.array(batch.column(0).to_pylist(), dtype=np.int32), [len(s) for s in seen])
-            both = np.unique(np.stack((own.astype(np.int64), np.concatenate(seen))), axis=1) if seen else np.zeros((2, 0), dtype=np.int64)
-            yield pa.RecordBatch.from_arrays([pa.array(both[0].astype(np.int32)), pa.array(both[1])], names=["qblock", "term"])
-
-    shards = max(1, -(-n // shard_docs), min(parts(spark), -(-n // 500)))
-    vocab, _ = stage(q.select("qblock", "qterms").mapInArrow(explode_terms, "qblock int, term long").distinct().join(df, "term"), "vocabulary")
-    packed_q = q.withColumn("kind", F.lit(0)).select("qblock", "kind", F.col("qid").alias("x"), F.col("qterms").alias("a"), F.col("qtfs").alias("b"))
-    def pack_vocab(t: pa.Table) -> pa.Table:
-        t = t.sort_by("term")
-        return pa.table({"qblock": pa.array([t["qblock"][0].as_py()], pa.int32()), "kind": pa.array([1], pa.int32()), "x": pa.array([0], pa.int64()), "a": pa.array([t["term"].to_numpy().tobytes()]), "b": pa.array([t["df"].to_numpy().tobytes()])})
-
-    side = packed_q.unionByName(vocab.groupBy("qblock").applyInArrow(pack_vocab, "qblock int, kind int, x long, a binary, b binary"))
-    every = F.sequence(F.lit(0), F.lit(shards - 1))
-    right = side.withColumn("shard", F.explode(every))
-    left = index.withColumn("shard", F.pmod(F.xxhash64("id"), F.lit(shards)).cast("int"))
-
-    def work(docs_: pa.Table, side_: pa.Table) -> pa.Table:
-        ids = docs_["id"].to_numpy()
-        terms = [np.frombuffer(x, dtype="<i8") for x in docs_["terms"].to_pylist()]
-        tfs = [np.frombuffer(x, dtype="<i4") for x in docs_["tfs"].to_pylist()]
-        rows: list[tuple] = []
-        for qb in sorted(set(side_["qblock"].to_pylist())):
-            some = [r for r in side_.to_pylist() if r["qblock"] == qb]
-            v = next((r for r in some if r["kind"] == 1), None)
-            if v is None or not len(ids):
-                continue
-            words, dfs = np.frombuffer(v["a"], dtype="<i8"), np.frombuffer(v["b"], dtype="<i8")
-            shard = Shard(ids, terms, tfs, words, np.log(1 + (n - dfs + 0.5) / (dfs + 0.5)), mean or 1.0, k1, b, block)
-            for r in some:
-                if r["kind"] == 0:
-                    t, f = np.frombuffer(r["a"], dtype="<i8"), np.frombuffer(r["b"], dtype="<i4")
-                    at = np.searchsorted(words, t)
-                    at[at == len(words)] = 0
-                    ok = words[at] == t
-                    rows += [(r["x"], i, s) for s, i in shard.top(at[ok], f[ok].astype(np.float64), k)]
-        cols = list(zip(*rows, strict=True)) or [(), (), ()]
-        return pa.table({"q": pa.array(cols[0], pa.int64()), "id": pa.array(cols[1], pa.int64()), "score": pa.array(cols[2], pa.float64())})
-
-    hits = left.groupBy("shard").cogroup(right.groupBy("shard")).applyInArrow(work, "q long, id long, score double")
-    ranked = hits.withColumn("rank", F.row_number().over(Window.partitionBy("q").orderBy(F.col("score").desc(), "id"))).filter(F.col("rank") <= k)
-    return ranked.select(F.col("q").alias(query_col), F.col("rank").cast("long").alias("rank"), F.col("id").alias("doc_id"), F.round("score", 6).alias("score"))
+            for row in zip(*(c.to_pylist() for c in batch.columns), strict=True):
+                held.append(row)
+                terms += len(row[1]) // 8
+                if terms >= shard_terms or len(held) >= shard_docs:
+                    finish(held)
+                    terms = 0
+        if held:
+            finish(held)
+        step = 50_000
+        for s in range(0, len(best), step):
+            rows = [(int(q.row[i]), int(q.id[i]), x, v) for i in range(s, min(s + step, len(best))) for v, x in best[i]]
+            cols = list(zip(*rows, strict=True)) or [(), (), (), ()]
+            yield pa.RecordBatch.from_arrays([pa.array(cols[0], pa.int64()), pa.array(cols[1], pa.int64()), pa.array(cols[2], pa.int64()), pa.array(cols[3], pa.float64())], names=["row", "q", "id", "score"])
+
+    return index.filter("size > 0").select("id", "terms", "tfs", "size").mapInArrow(work, "row long, q long, id long, score double"), shared
