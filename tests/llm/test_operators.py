@@ -237,6 +237,34 @@ def test_bm25(spark, docs):
     assert bm25.search(empty(spark), asked).count() == 0
 
 
+def test_bm25_shares_and_copies(spark):
+    """Many shares and shards, a third of all rows exact copies, repeated queries, extra columns: ids and ties as by brute force."""
+    rng = random.Random(8)
+    hot = prose(rng, 30)
+    src = [(i, hot if i % 3 == 0 else prose(rng, rng.randint(1, 60))) for i in range(300)] + [(900, ""), (901, None)]
+    df_docs = spark.createDataFrame([(i, t, 1.0, 2) for i, t in src], "doc_id long, text string, score double, rank int")
+    asked = [(i, t) for i, t in src if i % 25 == 0] + [(75, hot), (7, "ka mi"), (8, None)]
+    df_asked = spark.createDataFrame([(i, t, 5) for i, t in asked], "query_id long, text string, share int")
+    bags = [(i, Counter(bm25.WORDS((t or "").lower()))) for i, t in src]
+    n, mean = len(bags), sum(sum(c.values()) for _, c in bags) / len(bags)
+    df = Counter(w for _, c in bags for w in c)
+
+    def best(q):
+        out = []
+        for i, c in bags:
+            size = sum(c.values())
+            v = sum(f * math.log(1 + (n - df[w] + 0.5) / (df[w] + 0.5)) * c[w] * 2.2 / (c[w] + 1.2 * (0.25 + 0.75 * size / mean)) for w, f in q.items() if w in c)
+            if v > 0:
+                out.append((-round(v, 6), i))
+        return [(r + 1, i, -v) for r, (v, i) in enumerate(sorted(out)[:5])]
+
+    want = sorted((k, *x) for k, t in asked for x in best(Counter(bm25.WORDS((t or "").lower()))))
+    for kind in ({"shard_docs": 40, "growth": 2, "query_block": 5, "block": 8}, {"shard_terms": 300}, {}):
+        got = sorted(tuple(r) for r in bm25.search(df_docs, df_asked, k=5, **kind).collect())
+        assert [x[:3] for x in got] == [x[:3] for x in want]
+        assert [x[3] for x in got] == pytest.approx([x[3] for x in want], abs=2e-6)
+
+
 def test_queries_with_sql(spark, sf):
     c = duckdb.connect()
     for t in ("documents", "labels", "benchmark", "pages"):
