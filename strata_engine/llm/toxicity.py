@@ -18,23 +18,25 @@ from .grams import mix, pairs, word_hashes
 
 
 def features(text: str, bits: int = 20, skips: int = 2) -> np.ndarray:
-    """Distinct hashed words, word pairs and pairs with up to ``skips`` words between them."""
+    """Distinct hashed words (lower half of the index space), word pairs and pairs with up to ``skips`` words between them."""
     h = word_hashes(text)
     if not len(h):
         return np.zeros(0, dtype=np.int64)
     every = np.concatenate([mix(h + np.uint64(1)), *(pairs(h, g, 1 + g) for g in range(1, skips + 2))])
-    return np.unique((every >> np.uint64(64 - bits)).astype(np.int64))
+    at = (every >> np.uint64(65 - bits)).astype(np.int64)
+    at[len(h) :] += 1 << (bits - 1)
+    return np.unique(at)
 
 
-def ftrl(rows: Iterable[tuple[np.ndarray, int]], bits: int, alpha: float, beta: float, l1: float, l2: float, epochs: int) -> tuple[np.ndarray, np.ndarray, float]:
-    """Indexes and values of the weights that aren't zero, and the intercept."""
+def ftrl(rows: Iterable[tuple[np.ndarray, int]], bits: int, alpha: float, beta: float, l1: np.ndarray, l2: float, epochs: int) -> tuple[np.ndarray, np.ndarray, float]:
+    """Indexes and values of the weights that aren't zero, and the intercept; ``l1`` is given for every coordinate."""
     z, n = np.zeros(1 << bits), np.zeros(1 << bits)
     z0 = n0 = 0.0
     rows = list(rows)
     for _ in range(epochs):
         for f, y in rows:
-            zf, root = z[f], np.sqrt(n[f])
-            w = np.where(np.abs(zf) <= l1, 0.0, -(zf - np.sign(zf) * l1) / ((beta + root) / alpha + l2))
+            zf, root, cut = z[f], np.sqrt(n[f]), l1[f]
+            w = np.where(np.abs(zf) <= cut, 0.0, -(zf - np.sign(zf) * cut) / ((beta + root) / alpha + l2))
             b = -z0 / ((beta + n0**0.5) / alpha)
             g = 1.0 / (1.0 + np.exp(-np.clip(w.sum() + b, -35, 35))) - y
             z[f] = zf + g - (np.sqrt(root * root + g * g) - root) / alpha * w
@@ -42,19 +44,21 @@ def ftrl(rows: Iterable[tuple[np.ndarray, int]], bits: int, alpha: float, beta:
             z0 += g - ((n0 + g * g) ** 0.5 - n0**0.5) / alpha * b
             n0 += g * g
     at = np.flatnonzero(np.abs(z) > l1)
-    return at, -(z[at] - np.sign(z[at]) * l1) / ((beta + np.sqrt(n[at])) / alpha + l2), float(-z0 / ((beta + n0**0.5) / alpha))
+    return at, -(z[at] - np.sign(z[at]) * l1[at]) / ((beta + np.sqrt(n[at])) / alpha + l2), float(-z0 / ((beta + n0**0.5) / alpha))
 
 
-def fit(rows: DataFrame, text_col: str = "text", label_col: str = "toxic", bits: int = 20, skips: int = 2, alpha: float = 0.1, beta: float = 1.0, l1: float = 2.0, l2: float = 1.0, epochs: int = 3, sample: int = 16_000) -> tuple[np.ndarray, np.ndarray, float]:
+def fit(rows: DataFrame, text_col: str = "text", label_col: str = "toxic", bits: int = 20, skips: int = 2, alpha: float = 3.0, beta: float = 1.0, l1: float = 2.0, pair_l1: float = 6.0, l2: float = 0.0, epochs: int = 3, sample: int = 16_000) -> tuple[np.ndarray, np.ndarray, float]:
     """Weights learned from the rows with a label (0 or 1) and text; null texts count as empty.
 
     The learner is sequential, so at most about ``sample`` rows (documented bound; those with the smallest hashes of
     text) reach the one task that runs it, as features; they are taken in the order of their hashes, so that the result
-    doesn't depend on the partitions. Without rows the model scores 0.5 everywhere.
+    doesn't depend on the partitions. Pairs far outnumber words and most are seen once or twice, so they have a greater
+    L1 term. Without rows the model scores 0.5 everywhere.
     """
     prepare_workers(rows.sparkSession)
     known = rows.filter(F.col(label_col).isin(0, 1)).select(F.coalesce(F.col(text_col), F.lit("")).alias("text"), F.col(label_col).cast("int").alias("y"))
     share = min(1.0, sample / max(1, known.select("y").count()))
+    penalty = np.repeat([l1, pair_l1], 1 << (bits - 1))
     order = F.xxhash64("text")
     taken = known.withColumn("at", order).filter(F.pmod("at", F.lit(1 << 20)) < int(share * (1 << 20)) + 1)
 
@@ -64,7 +68,7 @@ def fit(rows: DataFrame, text_col: str = "text", label_col: str = "toxic", bits:
 
     def learn(table: pa.Table) -> pa.Table:
         table = table.sort_by([("at", "ascending"), ("y", "ascending")])
-        at, w, b = ftrl(((np.frombuffer(f, dtype="<i4"), y) for f, y in zip(table["f"].to_pylist(), table["y"].to_pylist(), strict=True)), bits, alpha, beta, l1, l2, epochs)
+        at, w, b = ftrl(((np.frombuffer(f, dtype="<i4"), y) for f, y in zip(table["f"].to_pylist(), table["y"].to_pylist(), strict=True)), bits, alpha, beta, penalty, l2, epochs)
         return pa.table({"at": pa.array(np.concatenate((at, [-1])), pa.int64()), "w": pa.array(np.concatenate((w, [b])), pa.float64())})
 
     got = taken.mapInArrow(featurise, "y int, at long, f binary").withColumn("one", F.lit(1)).groupBy("one").applyInArrow(learn, "at long, w double").collect()
