@@ -154,6 +154,10 @@ TXT = """t as (select *, coalesce(text, '') as x from documents), f as (select *
 g as (select *, ln(length(x) + 1) as ln_chars, ln(len(w) + 1) as ln_words, case when len(w) > 0 then list_sum(list_transform(w, lambda y: length(y))) / len(w) else 0 end as mean_word, len(regexp_extract_all(x, '[0-9]')) / n as digit_ratio, len(regexp_extract_all(x, '[!-/:-@]')) / n as punct_ratio, len(regexp_extract_all(x, '[A-Z]')) / n as upper_ratio,
 case when len(w) > 0 then len(list_distinct(w)) / len(w) else 0 end as distinct_ratio, case when len(l) > 0 then 1 - len(list_distinct(l)) / len(l) else 0 end as repeat_ratio from f)"""
 SQL["doc_features"] = f"with {TXT} select doc_id, " + ", ".join(f"{r(c)} as {c}" for c in ("ln_chars", "ln_words", "mean_word", "digit_ratio", "punct_ratio", "upper_ratio", "distinct_ratio", "repeat_ratio")) + " from g"
+TEXTS = "(select 'documents' as env, text from documents union all select 'benchmark', text from benchmark union all select 'conversations', text from conversations union all select 'pages', html from pages)"
+SQL["x17_environment_distance"] = f"""with {TXT.replace("from documents", "from " + TEXTS)}, v as (select env, [ln_chars, ln_words, mean_word, digit_ratio, punct_ratio, upper_ratio, distinct_ratio, repeat_ratio]::double[] as z from g),
+m as (select env, i, j, avg(z[i] * z[j]) as m from v, range(1, 9) a(i), range(1, 9) b(j) group by env, i, j)
+select p.env as a, q.env as b, {r('sum((p.m - q.m) ** 2)')} as med from m p join m q on p.i = q.i and p.j = q.j and p.env < q.env group by p.env, q.env"""
 SQL["accuracy_summary"] = f"with {TXT}, lb as (select doc_id, max(quality) as y from labels group by 1), h as (select lang, avg(case when (case when punct_ratio < 0.05 then 1 else 0 end) = y then 1.0 else 0.0 end) as acc from g join lb using (doc_id) where y is not null group by lang) select count(*) as splits, {r('avg(acc)')} as mean_acc, {r('stddev_samp(acc) / sqrt(count(*))')} as std_err from h"
 SQL["accuracy_pivot"] = "with lb as (select doc_id, max(quality) as y from labels group by 1) select lang as env, count(*) filter (where y = 0) as low, count(*) filter (where y = 1) as high from documents join lb using (doc_id) where y is not null group by lang"
 SQL["strata_agreement"] = f"{G8}, near as (select id, (list_position(d, list_min(d)) - 1)::int as s2 from dist), t as (select stratum as x, s2 as y, count(*) as n from strata join near using (id) group by all), c as (select sum(n * (n - 1) / 2.0) as cells, sum(n) as n from t), a as (select sum(q * (q - 1) / 2.0) as xs from (select sum(n) as q from t group by x)), b as (select sum(q * (q - 1) / 2.0) as ys from (select sum(n) as q from t group by y)) select {r('(cells - xs * ys / (n * (n - 1) / 2.0)) / ((xs + ys) / 2 - xs * ys / (n * (n - 1) / 2.0))')} as ari, n::bigint as n from c, a, b"

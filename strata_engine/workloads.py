@@ -202,7 +202,7 @@ def x17_environment_distance(spark, d):
         ff = ff.unionByName(p)
     m = core.mean_vectors(ff, Quadratic((0.0,) * 8).feature_map, "env")
     names = sorted(m)
-    return _frame(spark, "a string, b string, med double", [(a, b, float(((m[a][0] - m[b][0]) ** 2).sum())) for i, a in enumerate(names) for b in names[i + 1 :]])
+    return _frame(spark, "a string, b string, med double", [(a, b, float(((m[a][0] - m[b][0]) ** 2).sum())) for i, a in enumerate(names) for b in names[i + 1 :]]).select("a", "b", E.r6("med").alias("med"))
 
 
 @workload
