@@ -274,6 +274,13 @@ def stratify_mapped(spark, d):
     return cluster.stratify_frame(ff, None, K, fmap=FourierMap(MIXTURE, 64, 64), rounds=3, buckets=2).select("domain", F.col("id").alias("vec_id"), "stratum")
 
 
+@query
+def seed_parallel(spark, d):
+    """Seeds of all line items, drawn in five passes whatever their number."""
+    ids, z = cluster.seed_parallel(frames.lineitem(spark, d, "null"), lambda x: x, K)
+    return rows(spark, "pick int, id long, norm double", [(i, int(a), round(float(np.sqrt((v * v).sum())), 6)) for i, (a, v) in enumerate(zip(ids, z, strict=True))])
+
+
 def _line_first(ff):
     return np.array([[round(v, 9) for v in r["z"]] for r in ff.orderBy("id").select("z").limit(K).collect()])
 

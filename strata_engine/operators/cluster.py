@@ -136,20 +136,95 @@ def stratify_frame(ff: DataFrame, kernel: Kernel, k: int, fmap=None, **options)
     return spark.createDataFrame(pa.concat_tables(parts))
 
 
-def stratify_mapped(ff: DataFrame, fmap, k: int, rounds: int = 5, buckets: int = 64, parallel: int = 10, seed: int = 42, sample: int = 20_000, weighted: bool = True) -> DataFrame:
-    """Fit centroids over all rows of each domain, one job a round, and assign every row in the last, best round.
+def seed_parallel(ff: DataFrame, fmap, k: int, rounds: int = 5, oversample: int | None = None, seed: int = 42) -> tuple[np.ndarray, np.ndarray]:
+    """Ids and mapped rows of k seeds of one domain, drawn from all its rows in ``rounds`` passes instead of k.
 
-    Seeds come from a bounded sample (documented: ``sample`` rows of smallest uniforms). Rows are dealt into hash
-    buckets once; a bucket must fit a Python worker, so choose buckets as rows x d x 8 bytes over some 100 MB.
+    A round takes the ``oversample`` (2 k by default) rows that win an exponential race on their squared image distance
+    to what is picked; a last pass counts the rows nearest to each pick, and k picks win races weighted by those counts.
+    The driver and the tasks hold at most ``rounds * oversample + 1`` rows, whatever the input. ``ff`` is read in every
+    pass: store one that is dear to compute.
     """
-    b = F.pmod(E.hash_bits(seed, "bucket", F.col("id")), F.lit(buckets)).cast("int")
-    dealt = ff.select("id", "z", "domain", b.alias("b"))
-    total = dealt.count()
+    width = oversample or 2 * k
+    first = ff.select("id", "z").orderBy(E.portable_u(seed, "seed", 0, F.col("id")), "id").limit(1).collect()
+    ids, z = [r["id"] for r in first], [r["z"] for r in first]
+
+    def squared(rows: np.ndarray, to: np.ndarray) -> np.ndarray:
+        f = fmap(rows)
+        return np.maximum((f * f).sum(1)[:, None] - 2 * f @ to.T + (to * to).sum(1), 0.0)
+
+    def racing(to: np.ndarray):
+        def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                if len(b):
+                    near = squared(_rows(b), to).min(1)
+                    race = np.full(len(b), np.inf)
+                    at = near > 1e-12
+                    race[at] = -np.log(1 - b.column(2).to_numpy()[at]) / near[at]
+                    yield pa.RecordBatch.from_arrays([b.column(0), b.column(1), pa.array(race)], names=["id", "z", "race"])
+
+        return work
+
+    def counting(to: np.ndarray):
+        def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            n = np.zeros(len(to), dtype=np.int64)
+            for b in batches:
+                if len(b):
+                    n += np.bincount(squared(_rows(b), to).argmin(1), minlength=len(to))
+            yield pa.RecordBatch.from_arrays([pa.array(np.arange(len(to))), pa.array(n)], names=["i", "n"])
+
+        return work
+
+    for r in range(1, rounds + 1):
+        if not ids:
+            break
+        dealt = ff.select("id", F.col("z").cast("array<double>").alias("z"), E.portable_u(seed, "over", r, F.col("id")).alias("u"))
+        won = dealt.mapInArrow(racing(fmap(np.array(z, dtype=float))), "id long, z array<double>, race double").filter("race < double('infinity')").orderBy("race", "id").limit(width).collect()
+        ids += [x["id"] for x in won]
+        z += [x["z"] for x in won]
+    f = fmap(np.array(z, dtype=float)) if ids else np.zeros((0, 1))
+    if len(np.unique(f, axis=0)) < k:
+        raise ValueError(f"fewer distinct rows than {k} strata")
+    n = np.zeros(len(ids))
+    for x in ff.select("z").mapInArrow(counting(f), "i long, n long").groupBy("i").agg(F.sum("n").alias("n")).collect():
+        n[x["i"]] = x["n"]
+    near, picked = np.full(len(ids), np.inf), []
+    for r in range(k):
+        mass = np.maximum(n, 1e-9) * (near if picked else 1.0)
+        with np.errstate(divide="ignore"):
+            race = np.array([-np.log(1 - u01(seed, "pick", r, i)) for i in ids]) / mass
+        race[near <= 1e-12] = np.inf
+        picked.append(int(race.argmin()))
+        near = np.minimum(near, ((f - f[picked[-1]]) ** 2).sum(1))
+    return np.array(ids)[picked], f[picked]
+
+
+def _sampled_seeds(dealt: DataFrame, fmap, k: int, seed: int, sample: int, total: int) -> dict[str, np.ndarray]:
     some = Small(dealt.filter(E.portable_u(seed, "sample", F.col("id")) < min(1.0, sample / max(total, 1))), "domain", limit=2 * sample)
     centres = {}
     for dom in sorted(set(some.extra["domain"].tolist())):
-        f = fmap(some.z[some.extra["domain"] == dom])
-        centres[dom] = f[seed_kpp(f, some.ids[some.extra["domain"] == dom], Linear(), k, seed)]
+        at = some.extra["domain"] == dom
+        f = fmap(some.z[at])
+        centres[dom] = f[seed_kpp(f, some.ids[at], Linear(), k, seed)]
+    return centres
+
+
+def stratify_mapped(ff: DataFrame, fmap, k: int, rounds: int = 5, buckets: int | None = None, parallel: int = 10, seed: int = 42, sample: int = 20_000, weighted: bool = True, seeding: str = "sample") -> DataFrame:
+    """Fit centroids over all rows of each domain, one job a round, and assign every row in the last, best round.
+
+    Seeds come from a bounded sample (documented: ``sample`` rows of smallest uniforms), or from all rows with
+    ``seeding="parallel"``. Rows are dealt into hash buckets; a bucket must fit a Python worker, so that by default there
+    are as many as keep its vectors within about 64 MB, and 64 at least.
+    """
+    whole = ff.agg(F.count("*").alias("n"), F.max(F.size("z")).alias("d")).first()
+    total = whole["n"]
+    buckets = buckets or max(64, -(-total * (whole["d"] or 1) * 8 // (64 << 20)))
+    b = F.pmod(E.hash_bits(seed, "bucket", F.col("id")), F.lit(buckets)).cast("int")
+    dealt = ff.select("id", "z", "domain", b.alias("b"))
+    if seeding == "parallel":
+        domains = sorted(r["domain"] for r in ff.select("domain").distinct().collect())
+        centres = {dom: seed_parallel(ff.filter(F.col("domain") == dom), fmap, k, seed=seed)[1] for dom in domains}
+    else:
+        centres = _sampled_seeds(dealt, fmap, k, seed, sample, total)
     best, best_value = centres, np.inf
 
     def pick(t: pa.Table, centres):

@@ -151,3 +151,16 @@ def test_plan_choice():
     p = choose(2 * 10**11, 64, 128, Quadratic((0.0,) * 64))
     assert p.path == "mapped" and p.map_dims == 2080 and p.fit_fraction < 1e-3
     assert "path=mapped" in explain_strata(10**9, 64, 128, MIXTURE)
+
+
+def test_parallel_seeding_finds_every_cluster(spark):
+    rng = np.random.default_rng(1)
+    z = np.concatenate([rng.normal(c, 0.05, (40, 2)) for c in ((0, 0), (9, 0), (0, 9), (9, 9))])
+    ff = spark.createDataFrame([(i, v.tolist(), "s") for i, v in enumerate(z)], "id long, z array<double>, domain string").repartition(5)
+    ids, f = C.seed_parallel(ff, lambda x: x, 4)
+    assert sorted(int(i) // 40 for i in ids) == [0, 1, 2, 3] and np.allclose(f, z[ids])
+    assert np.array_equal(ids, C.seed_parallel(ff.coalesce(1), lambda x: x, 4)[0])
+    got = {r["id"]: r["stratum"] for r in C.stratify_mapped(ff, lambda x: x, 4, rounds=2, seeding="parallel", parallel=1, buckets=1).collect()}
+    assert len({(i // 40, s) for i, s in got.items()}) == 4
+    with pytest.raises(ValueError):
+        C.seed_parallel(ff.filter("id = 0"), lambda x: x, 2)
