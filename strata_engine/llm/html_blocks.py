@@ -2,8 +2,9 @@
 
 Markup is stripped into lines, one for each block of the page. A line's weight is the length of its text, or nothing
 where it is boilerplate: within menus, forms, notices, adverts, comments and the like, or made of links. Sums of
-weights over a sliding window of lines show where the text surges and where it dives; the lines between such points are
-kept. A page that marks its article or main part is cut to that part first.
+weights over a sliding window of lines show where the text surges and where it dives, on every page; the lines between
+such points are kept. As a final check, a marked article or main part is taken as a whole if a single one weighs no less than all that was kept outside such parts; of the
+outside, only a heading directly before it stays then. Otherwise, the marks don't count.
 """
 
 from __future__ import annotations
@@ -11,6 +12,7 @@ from __future__ import annotations
 import html
 import re
 from collections.abc import Iterable, Iterator
+from typing import NamedTuple
 
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -36,44 +38,56 @@ ATTR = re.compile(r"""(class|id|role|hidden|style|aria-hidden)(?:\s*=\s*("[^"]*"
 WORD = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
 
 
-def _marked(name: str, attrs: str, inside: bool) -> bool:
-    """Whether an element is boilerplate by its attributes; ``inside`` the article, page headers aren't."""
+def _marked(name: str, attrs: str, inside: bool) -> tuple[bool, bool]:
+    """Whether an element is boilerplate by its attributes, and whether by its class or id; ``inside`` the article, page headers aren't."""
+    named = False
     for key, value in ATTR.findall(attrs):
         key, value = key.lower(), value.strip("\"'")
         if key == "hidden" and not value.lower().startswith("until") or key == "aria-hidden" and value.lower() == "true":
-            return True
+            return True, False
         if key == "style" and re.search(r"display\s*:\s*none|visibility\s*:\s*hidden", value, re.I):
-            return True
+            return True, False
         if key == "role" and value.lower() in ROLES and not (inside and value.lower() == "banner"):
-            return True
+            return True, False
         if key in ("class", "id") and name not in ("html", "body", "main"):
-            words = {w.lower() for w in WORD.findall(value)}
-            if words & NAMES or not inside and words & PAGE_HEADS:
-                return True
-    return False
+            for one in value.split():
+                words = {w.lower() for w in WORD.findall(one)}
+                named = named or bool(words & NAMES or not inside and words & PAGE_HEADS)
+    return False, named
 
 
-def lines(page: str) -> list[tuple[str, int, bool, bool]]:
-    """(text, characters in links, boilerplate, in the marked main part) of each block with text, in page order."""
-    out: list[tuple[str, int, bool, bool]] = []
-    stack: list[tuple[str, bool, bool]] = []  # name, boilerplate, main
+class Element(NamedTuple):
+    name: str
+    parent: int
+    hard: bool  # boilerplate by its kind or attributes
+    soft: bool  # boilerplate by its class or id, or a form
+    main: int  # the outermost article or main part that it is or is in, -1 outside
+
+
+class Line(NamedTuple):
+    text: str
+    linked: int  # characters in links
+    at: int  # the innermost element
+
+
+def parse(page: str) -> tuple[list[Line], list[Element]]:
+    """Each block with text, in page order, and the elements, parents before children; the first stands for the page."""
+    out: list[Line] = []
+    elements = [Element("", -1, False, False, -1)]
+    marked = [False]  # by element: boilerplate, or in it
+    stack: list[int] = [0]
     text: list[str] = []
     linked = at = link_depth = 0
-    bad = main = False
 
     def flush() -> None:
         nonlocal linked
         if text:
             joined = " ".join(html.unescape("".join(text)).split())
             if joined:
-                out.append((joined, linked, bad, main))
+                out.append(Line(joined, linked, stack[-1]))
             text.clear()
         linked = 0
 
-    def state() -> None:
-        nonlocal bad, main
-        bad, main = any(s[1] for s in stack), any(s[2] for s in stack)
-
     def take(piece: str) -> None:
         nonlocal linked
         if piece:
@@ -103,35 +117,46 @@ def lines(page: str) -> list[tuple[str, int, bool, bool]]:
         if name == "a":
             link_depth = 0 if m[1] else 1
         if m[1]:
-            k = next((i for i in range(len(stack) - 1, -1, -1) if stack[i][0] == name), -1)
-            if k >= 0:
+            k = next((i for i in range(len(stack) - 1, 0, -1) if elements[stack[i]].name == name), 0)
+            if k:
                 del stack[k:]
-                state()
         elif name not in VOID and not m[3].endswith("/"):
-            if name in MAIN and bad:  # an article doesn't sit in a menu: what is left open there has ended
-                k = next((i for i, s in enumerate(stack) if s[1] and s[0] in SKIP), -1)
-                if k >= 0:
+            if name in MAIN and marked[stack[-1]]:  # an article doesn't sit in a menu: what is left open there has ended
+                k = next((i for i, e in enumerate(stack) if (elements[e].hard or elements[e].soft) and elements[e].name in SKIP), 0)
+                if k:
                     del stack[k:]
-                    state()
             if name == "p":
-                while stack and stack[-1][0] in ("p", "b", "i", "em", "strong", "span", "u", "font"):
+                while elements[stack[-1]].name in ("p", "b", "i", "em", "strong", "span", "u", "font"):
                     stack.pop()
-                state()
-            no = name in SKIP or name == "header" and not main or _marked(name, m[3], main)
+            up, new = stack[-1], len(elements)
+            inside = elements[up].main >= 0
+            hard, soft = _marked(name, m[3], inside)
+            hard = hard or name in SKIP and name != "form" or name == "header" and not inside
+            soft = soft or name == "form"
             is_main = name in MAIN or bool(re.search(r"role\s*=\s*[\"']?main\b", m[3], re.I))
-            stack.append((name, no, is_main))
-            bad, main = bad or no, main or is_main
+            elements.append(Element(name, up, hard, soft and not hard, elements[up].main if inside else new if is_main else -1))
+            marked.append(marked[up] or hard or soft)
+            stack.append(new)
     flush()
-    return out
+    return out, elements
+
+
+def _boilerplate(elements: list[Element]) -> list[bool]:
+    """By element, whether it is boilerplate or in it."""
+    bad = [False] * len(elements)
+    for i, e in enumerate(elements):
+        bad[i] = e.hard or e.soft or e.parent >= 0 and bad[e.parent]
+    return bad
 
 
 def main_text(page: str, window: int = 3, surge: int = 60, links: float = 0.6) -> str:
     """The article's text: blocks joined by one space; empty if the page has none."""
-    found = lines(page)
-    if any(m and not b for _, _, b, m in found):
-        found = [x for x in found if x[3]]
-        return " ".join(t for t, _, b, _ in found if not b)
-    weight = [0 if b or linked > links * len(t) else len(t) for t, linked, b, _ in found]
+    found, elements = parse(page)
+    if not found:
+        return ""
+    weight = [0 if x.linked > links * len(x.text) else len(x.text) for x in found]
+    bad = _boilerplate(elements)
+    weight = [0 if bad[x.at] else w for x, w in zip(found, weight, strict=True)]
     n = len(weight)
     sums = [sum(weight[i : i + window]) for i in range(n)]
     keep = [False] * n
@@ -146,7 +171,27 @@ def main_text(page: str, window: int = 3, surge: int = 60, links: float = 0.6) -
         i += 1
     if not any(keep) and any(weight):
         keep[max(range(n), key=weight.__getitem__)] = True
-    return " ".join(found[k][0] for k in range(n) if keep[k])
+    mass: dict[int, int] = {}
+    for x, k, w in zip(found, keep, weight, strict=True):
+        part = elements[x.at].main
+        mass[part] = mass.get(part, 0) + (w if k else 0)
+    if max((w for part, w in mass.items() if part >= 0), default=0) >= max(1, mass.get(-1, 0)):
+        inside = [elements[x.at].main >= 0 for x in found]
+        keep = [m and not bad[x.at] for m, x in zip(inside, found, strict=True)]
+        for i in range(1, n):  # a heading, and what stands between it and the part
+            if keep[i] and not inside[i - 1]:
+                j = i - 1
+                while j >= 0 and weight[j] and not inside[j]:
+                    if _heading(elements, found[j].at):
+                        keep[j:i] = [True] * (i - j)
+                    j -= 1
+    return " ".join(found[k].text for k in range(n) if keep[k])
+
+
+def _heading(elements: list[Element], at: int) -> bool:
+    while at and elements[at].name not in BLOCKS:
+        at = elements[at].parent
+    return elements[at].name in ("h1", "h2", "h3")
 
 
 def extract(pages: DataFrame, id_col: str = "page_id", url_col: str = "url", html_col: str = "html", window: int = 3, surge: int = 60) -> DataFrame:

@@ -217,6 +217,15 @@ def test_html(spark):
     assert {(r["page_id"], r["n_chars"]) for r in html_blocks.extract(df).collect()} == {(1, 0), (None, len(text) - 4)}
 
 
+def test_html_runs_the_window_on_every_page():
+    page = lambda body: f"<html><body>{body}</body></html>"
+    text = "A paragraph of a story that is long enough to be found by its length alone, and more."
+    cards = "<article><h3><a href=x>A card</a></h3><p>Its teaser.</p></article>"
+    out = html_blocks.main_text(page(f"<div id=story><h1>Head</h1><p>{text}</p><p>{text}</p></div><div>{cards * 3}</div>"))
+    assert out.startswith(f"Head {text} {text}")
+    assert html_blocks.main_text(page(f"<p>{text}</p><nav>n</nav><nav>n</nav><nav>n</nav><h1>Head</h1><article><p>{text}</p><p>{text}</p></article><p>Firm</p>")) == f"Head {text} {text}"
+
+
 def test_bm25(spark, docs):
     plain = docs.filter("doc_id is not null").dropDuplicates(["doc_id"])
     src = [(k, Counter(bm25.WORDS(t.lower()))) for k, t in rows_of(plain)]
