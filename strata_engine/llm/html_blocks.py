@@ -3,7 +3,8 @@
 Markup is stripped into lines, one for each block of the page. A line's weight is the length of its text, or nothing
 where it is boilerplate: within menus, forms, notices, adverts, comments and the like, or made of links. Sums of
 weights over a sliding window of lines show where the text surges and where it dives, on every page; the lines between
-such points are kept. As a final check, a marked article or main part is taken as a whole if a single one weighs no less than all that was kept outside such parts; of the
+such points are kept, with adjoining unmarked ones before them and those of the same parent. As a final check, a marked
+article or main part is taken as a whole if a single one weighs no less than all that was kept outside such parts; of the
 outside, only a heading directly before it stays then. Otherwise, the marks don't count.
 """
 
@@ -31,6 +32,8 @@ NAMES = frozenset(
     " legal login masthead menu menubar modal nav navbar navigation newsletter notice notification outbrain overlay pager pagination paywall popup promo promoted promotion recommended registration related replies reply respond search share sharing shoutbox"
     " sidebar sidenav signin signup skip skyscraper social sponsor sponsored sponsors subscribe subscription tagcloud taboola teaser teasers toc toolbar topbar tracking trending warning widget widgets".split()
 )
+HOLDS = frozenset("with without has no".split())
+CONTAINERS = frozenset("article body center dd div li main section td".split())
 PAGE_HEADS = frozenset("header head masthead topbar".split())
 ROLES = frozenset("navigation banner contentinfo complementary search dialog alert form menu".split())
 TAG = re.compile(r"""<!--.*?(?:-->|$)|<(/?)([a-zA-Z][^\s/>]*)((?:[^>"']|"[^"]*"|'[^']*')*)>|<[!?][^>]*>""", re.S)
@@ -39,7 +42,10 @@ WORD = re.compile(r"[A-Z]?[a-z]+|[A-Z]+")
 
 
 def _marked(name: str, attrs: str, inside: bool) -> tuple[bool, bool]:
-    """Whether an element is boilerplate by its attributes, and whether by its class or id; ``inside`` the article, page headers aren't."""
+    """Whether an element is boilerplate by its attributes, and whether by its class or id; ``inside`` the article, page headers aren't.
+
+    A class such as with-sidebar tells what an element holds, not what it is.
+    """
     named = False
     for key, value in ATTR.findall(attrs):
         key, value = key.lower(), value.strip("\"'")
@@ -52,7 +58,7 @@ def _marked(name: str, attrs: str, inside: bool) -> tuple[bool, bool]:
         if key in ("class", "id") and name not in ("html", "body", "main"):
             for one in value.split():
                 words = {w.lower() for w in WORD.findall(one)}
-                named = named or bool(words & NAMES or not inside and words & PAGE_HEADS)
+                named = named or not words & HOLDS and bool(words & NAMES or not inside and words & PAGE_HEADS)
     return False, named
 
 
@@ -60,7 +66,7 @@ class Element(NamedTuple):
     name: str
     parent: int
     hard: bool  # boilerplate by its kind or attributes
-    soft: bool  # boilerplate by its class or id, or a form
+    soft: bool  # boilerplate by its class or id, or a form: not so if it holds the article
     main: int  # the outermost article or main part that it is or is in, -1 outside
 
 
@@ -141,11 +147,39 @@ def parse(page: str) -> tuple[list[Line], list[Element]]:
     return out, elements
 
 
-def _boilerplate(elements: list[Element]) -> list[bool]:
-    """By element, whether it is boilerplate or in it."""
-    bad = [False] * len(elements)
+def _boilerplate(found: list[Line], elements: list[Element], weight: list[int], window: int, surge: int) -> list[bool]:
+    """By element, whether it is boilerplate or in it.
+
+    An element that is only named like boilerplate isn't if it holds the page's main part; or if it weighs no less than
+    all unmarked text, and has the page's only articles or a main heading; or, where the unmarked text has no surge, if it is the
+    heaviest such element of several blocks.
+    """
+    n = len(elements)
+    own, blocks, mains, articles, heads = ([0] * n for _ in range(5))
+    inner, outer = [False] * n, [-1] * n  # in or at a hard element; the outermost soft one
+    for i, e in enumerate(elements):
+        up = e.parent
+        inner[i] = e.hard or up >= 0 and inner[up]
+        outer[i] = outer[up] if up >= 0 and outer[up] >= 0 else i if e.soft else -1
+        free = not inner[i] and not e.soft
+        mains[i], articles[i], heads[i] = int(free and e.main == i and e.name != "article"), int(free and e.name == "article"), int(free and e.name == "h1")
+    bare = [0] * len(found)
+    for k, (x, w) in enumerate(zip(found, weight, strict=True)):
+        if not inner[x.at]:
+            own[x.at] += w
+            blocks[x.at] += w > 0
+            bare[k] = w if outer[x.at] < 0 else 0
+    for i in range(n - 1, 0, -1):
+        for t in (own, blocks, mains, articles, heads):
+            t[elements[i].parent] += t[i]
+    rest = sum(bare)
+    flat = max((sum(bare[k : k + window]) for k in range(len(found))), default=0) < surge
+    several = [i for i, e in enumerate(elements) if e.soft and not inner[i] and outer[i] == i and blocks[i] >= window]
+    heaviest = max(several, key=own.__getitem__, default=-1)
+    bad = [False] * n
     for i, e in enumerate(elements):
-        bad[i] = e.hard or e.soft or e.parent >= 0 and bad[e.parent]
+        holds = mains[i] or own[i] >= rest and (heads[i] or articles[i] and articles[i] == articles[0] and not heads[0]) or flat and i == heaviest and not (mains[0] or heads[0])
+        bad[i] = e.hard or e.soft and not holds or e.parent >= 0 and bad[e.parent]
     return bad
 
 
@@ -155,22 +189,28 @@ def main_text(page: str, window: int = 3, surge: int = 60, links: float = 0.6) -
     if not found:
         return ""
     weight = [0 if x.linked > links * len(x.text) else len(x.text) for x in found]
-    bad = _boilerplate(elements)
+    bad = _boilerplate(found, elements, weight, window, surge)
     weight = [0 if bad[x.at] else w for x, w in zip(found, weight, strict=True)]
     n = len(weight)
     sums = [sum(weight[i : i + window]) for i in range(n)]
+    least = min(surge, max(sums) / 2)  # a page of short blocks surges by its own measure
     keep = [False] * n
     i = 0
     while i < n:
-        if weight[i] and sums[i] >= surge:  # surge point
+        if weight[i] and sums[i] >= least:  # surge point
+            j = i - 1
+            while j >= 0 and weight[j] and not keep[j]:  # a heading or byline before it
+                keep[j] = True
+                j -= 1
             j = i
             while j < n and sum(weight[max(i, j - window + 1) : j + 1]):  # to the dive point
                 keep[j] = bool(weight[j])
                 j += 1
             i = j
         i += 1
-    if not any(keep) and any(weight):
-        keep[max(range(n), key=weight.__getitem__)] = True
+    parents = [_container(elements, x.at) for x in found]
+    kept = {c for c, k in zip(parents, keep, strict=True) if k}
+    keep = [k or w > 0 and c in kept for k, w, c in zip(keep, weight, parents, strict=True)]  # short blocks beyond an advert
     mass: dict[int, int] = {}
     for x, k, w in zip(found, keep, weight, strict=True):
         part = elements[x.at].main
@@ -188,6 +228,16 @@ def main_text(page: str, window: int = 3, surge: int = 60, links: float = 0.6) -
     return " ".join(found[k].text for k in range(n) if keep[k])
 
 
+def _container(elements: list[Element], at: int) -> int:
+    """The element that holds the block of ``at``, paragraphs, lists and the like not counted."""
+    while at and elements[at].name not in BLOCKS:
+        at = elements[at].parent
+    at = elements[at].parent if at and elements[at].name != "body" else at
+    while at > 0 and elements[at].name not in CONTAINERS:
+        at = elements[at].parent
+    return at
+
+
 def _heading(elements: list[Element], at: int) -> bool:
     while at and elements[at].name not in BLOCKS:
         at = elements[at].parent

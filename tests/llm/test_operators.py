@@ -226,6 +226,25 @@ def test_html_runs_the_window_on_every_page():
     assert html_blocks.main_text(page(f"<p>{text}</p><nav>n</nav><nav>n</nav><nav>n</nav><h1>Head</h1><article><p>{text}</p><p>{text}</p></article><p>Firm</p>")) == f"Head {text} {text}"
 
 
+def test_html_keeps_short_blocks_and_named_wrappers():
+    page = lambda body: f"<html><body>{body}</body></html>"
+    text = "A paragraph of a story that is long enough to be found by its length alone, and more."
+    ad = f"<div class=ad>{'<p>Buy this now</p>' * 4}</div>"
+    cases = {
+        f"<div><h1>A title</h1><p>By X</p><p>1 May</p>{ad}<p>{text}</p></div>": f"A title By X 1 May {text}",
+        f"<div><h1>A title</h1><p>{text}</p>{ad}<p>The end.</p></div>": f"A title {text} The end.",
+        "<div>" + "<p>今日は天気がいい日ですね。</p>" * 5 + "</div>": " ".join(["今日は天気がいい日ですね。"] * 5),
+        f"<div class='layout with-sidebar'><article><p>{text}</p></article><div class=sidebar>{text}</div></div>": text,
+        f"<div id='search-page'><article><p>{text}</p></article><div class=sidebar>{text}</div></div><p>Firm</p>": text,
+        f"<div id='search-page'><h2>H</h2><p>{text}</p><p>{text}</p><div class=sidebar>{text}</div></div>": f"H {text} {text}",
+        f"<form id=all><div><h1>H</h1><p>{text}</p></div></form>": f"H {text}",
+        f"<div><h1>H</h1><p>{text}</p></div><div id=comments>{f'<article><p>{text}</p></article>' * 9}</div>": f"H {text}",
+        f"<div class=cookie>{text}</div>": "",
+    }
+    for body, want in cases.items():
+        assert html_blocks.main_text(page(body)) == want
+
+
 def test_bm25(spark, docs):
     plain = docs.filter("doc_id is not null").dropDuplicates(["doc_id"])
     src = [(k, Counter(bm25.WORDS(t.lower()))) for k, t in rows_of(plain)]
