@@ -3,7 +3,9 @@
 import hashlib
 import math
 import random
+import textwrap
 from collections import Counter
+from pathlib import Path
 
 import duckdb
 import numpy as np
@@ -171,6 +173,26 @@ def test_licenses(spark, docs):
     assert licenses.scan(empty(spark), licenses.known(spark)).count() == 0
 
 
+def test_license_files(spark):
+    mit, isc = (licenses.TEXTS[n][i] for n, i in (("MIT", 1), ("ISC", 0)))
+    folder = Path(licenses.__file__).with_name("license_texts")
+    apache = (folder / "Apache-2.0.txt").read_text()
+    wrapped = isc.replace("above copyright notice", "above\ncopyright notice")
+    bsd = "Redistribution and use" + next(t for t in licenses.TEXTS["BSD-3-Clause"] if "\n1. " in t and "THE COPYRIGHT OWNER" in t).split("Redistribution and use", 1)[1]
+    cases = {
+        "MIT": "The MIT License (MIT)\n\nCopyright (c) 2020 Someone\nCopyright Another Holder\n\n" + mit,
+        "ISC": "ISC License\n\n(c) 2019 Someone\n\n" + wrapped,
+        "BSD-3-Clause": "BSD 3-Clause License\n\nCopyright (c) 2020, Someone\nAll rights reserved.\n\n" + textwrap.fill(bsd, 60),
+        "Apache-2.0": apache.replace("[yyyy] [name of copyright owner]", "2020 Someone"),
+        "MPL-2.0": textwrap.fill((folder / "MPL-2.0.txt").read_text(), 50),
+        "GPL-2.0": (folder / "GPL-2.0.txt").read_text(), "GPL-3.0": (folder / "GPL-3.0.txt").read_text(), "LGPL-2.1": (folder / "LGPL-2.1.txt").read_text(),
+    }
+    lost = isc.replace(" and this permission notice appear in all copies", "").replace("above copyright notice", "above\ncopyright notice")
+    df = spark.createDataFrame([*cases.items(), ("none", lost)], "doc_id string, text string")
+    for limit in (1000, 2):
+        assert {r["doc_id"]: r["license"] for r in licenses.scan(df, licenses.known(spark), limit=limit).collect()} == {n: n for n in cases} | {"none": None}
+
+
 def test_decontamination(spark):
     rng = random.Random(9)
     items = [(i, prose(rng, 30)) for i in range(5)] + [(90, None), (91, ""), (92, "one two")]
