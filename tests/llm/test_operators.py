@@ -10,6 +10,7 @@ from pathlib import Path
 import duckdb
 import numpy as np
 import pytest
+from pyspark.sql import functions as F
 
 from strata_engine.llm import bm25, bpe, components, decontaminate, html_blocks, importance, langid, licenses, queries, simhash, suffix_dedup, toxicity
 
@@ -348,3 +349,35 @@ def test_pipeline(spark):
     final = {r["doc_id"]: r["decoded_sha256"] for r in kept.collect()}
     assert final == {k: hashlib.sha256(t.encode()).hexdigest() for k, t in seen[3].items()}
     assert len(final) > 0.8 * src.count()
+
+
+def test_pipeline_null_and_repeated_ids(spark):
+    import corpus_pipeline
+
+    d = "/root/testdata/sf0.001"
+    steps = dict(corpus_pipeline.STAGES)
+    src = spark.read.parquet(f"{d}/documents.parquet")
+    some = [tuple(r) for r in src.filter("text is not null and length(text) > 300").orderBy("doc_id").limit(40).collect()]
+    item = spark.read.parquet(f"{d}/benchmark.parquet").orderBy(F.length("text").desc()).first()["text"]
+    at, n = src.columns.index("doc_id"), src.columns.index("n_chars")
+    row = lambda key, text: tuple(key if i == at else text if c == "text" else len(text or "") if i == n else some[0][i] for i, c in enumerate(src.columns))
+    run = lambda name, rows: sorted(((r["doc_id"] is None, r["doc_id"], r["text"]) for r in steps[name](spark, spark.createDataFrame(rows, src.schema), d).collect()), key=repr)
+    texts = [r[src.columns.index("text")] for r in some]
+
+    out = run("language_id", [*some, row(None, texts[0]), row(some[1][at], texts[2]), row(some[1][at], "12 34"), row(None, None)])
+    assert (True, None, texts[0]) in out and (False, some[1][at], texts[2]) in out
+    assert not [x for x in out if x[2] in ("12 34", None)]
+
+    out = run("simhash_near_dedup", [row(5, texts[0]), row(5, texts[0]), row(5, texts[0]), row(7, texts[0]), row(None, texts[0]), row(None, texts[7]), row(None, texts[7])])
+    assert out == sorted([(False, 5, texts[0]), (True, None, texts[7])], key=repr)
+
+    a, b, c = ("".join(random.Random(i).choices("abcdefgh ", k=120)).strip() + "." for i in range(3))
+    out = run("suffix_dedup", [row(1, a), row(2, b), row(2, "x" * 9 + a), row(2, c), row(None, b + "tail"), row(None, b)])
+    assert out == sorted([(False, 1, a), (False, 2, b), (False, 2, "x" * 9), (False, 2, c), (True, None, "tail")], key=repr)
+    assert run("suffix_dedup", [row(3, a), row(3, a)]) == [(False, 3, a)]
+
+    out = run("decontamination", [row(4, item), row(4, a), row(None, item), row(None, c)])
+    assert out == sorted([(False, 4, a), (True, None, c)], key=repr)
+
+    rows = steps["bpe"](spark, spark.createDataFrame([row(4, a), row(4, a), row(None, c)], src.schema), d).collect()
+    assert sorted((r["doc_id"] is None, r["decoded_sha256"]) for r in rows) == sorted((k is None, hashlib.sha256(t.encode()).hexdigest()) for k, t in ((4, a), (4, a), (None, c)))
