@@ -235,7 +235,10 @@ def assign_nearest(spark, d):
 
 
 def _dist_matrix(spark, d):
-    got = sorted(_dist(spark, d).select("id", "dist").limit(core.EXACT_ROWS).collect(), key=lambda r: r["id"])
+    got = _dist(spark, d).select("id", "dist").limit(core.EXACT_ROWS + 1).collect()
+    if len(got) > core.EXACT_ROWS:
+        raise ValueError(f"exact trials are for at most {core.EXACT_ROWS} rows; assign in buckets instead")
+    got.sort(key=lambda r: r["id"])
     return np.array([r["id"] for r in got]), np.array([r["dist"] for r in got])
 
 

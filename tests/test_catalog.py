@@ -118,3 +118,10 @@ def test_training_lowers_the_discrepancy(spark):
 
     got = {(r["loss"], r["sampler"]): r["med"] for r in x14_heldout_discrepancy(spark, DIR, n=200, steps=60).collect()}
     assert got["med", "swks"] < got["erm", "uniform"]
+
+
+def test_trials_refuse_what_they_cannot_hold(spark, monkeypatch):
+    monkeypatch.setattr(core, "EXACT_ROWS", 400)  # of 500 embeddings
+    for name in ("assign_trials", "assign_relaxed", "assign_loss_methods", "topk_trials"):
+        with pytest.raises(ValueError, match="at most 400 rows"):
+            catalog.queries()[name](spark, DIR).collect()
