@@ -208,7 +208,18 @@ def _sampled_seeds(dealt: DataFrame, fmap, k: int, seed: int, sample: int, total
     return centres
 
 
-def stratify_mapped(ff: DataFrame, fmap, k: int, rounds: int = 5, buckets: int | None = None, parallel: int = 10, seed: int = 42, sample: int = 20_000, weighted: bool = True, seeding: str = "sample") -> DataFrame:
+def _cheapest(d: np.ndarray, trials: int, parallel: int, seed: int) -> np.ndarray:
+    """The cheapest of shuffled passes, as many at once as keep their orders and picks within about 64 MB."""
+    lanes, best, best_cost = max(1, (4 << 20) // max(len(d), 1)), None, np.inf
+    for lo in range(0, trials, lanes):
+        orders = [np.random.default_rng([seed, t]).permutation(len(d)) for t in range(lo, min(trials, lo + lanes))]
+        found, cost, _ = G.best_of(d, 0, parallel, orders=orders)
+        if best is None or cost < best_cost:
+            best, best_cost = found, cost
+    return best
+
+
+def stratify_mapped(ff: DataFrame, fmap, k: int, rounds: int = 5, buckets: int | None = None, parallel: int = 10, seed: int = 42, sample: int = 20_000, weighted: bool = True, seeding: str = "sample", trials: int = 100) -> DataFrame:
     """Fit centroids over all rows of each domain, one job a round, and assign every row in the last, best round.
 
     Seeds come from a bounded sample (documented: ``sample`` rows of smallest uniforms), or from all rows with
@@ -225,27 +236,27 @@ def stratify_mapped(ff: DataFrame, fmap, k: int, rounds: int = 5, buckets: int |
         centres = {dom: seed_parallel(ff.filter(F.col("domain") == dom), fmap, k, seed=seed)[1] for dom in domains}
     else:
         centres = _sampled_seeds(dealt, fmap, k, seed, sample, total)
-    best, best_value = centres, np.inf
+    best, best_value = (centres, 0), np.inf
 
-    def pick(t: pa.Table, centres):
+    def pick(t: pa.Table, centres, it: int):
         t = t.sort_by("id")
         f = fmap(np.array(t["z"].to_pylist(), dtype=float))
         c = centres[t["domain"][0].as_py()]
         d = np.maximum((f * f).sum(1)[:, None] - 2 * f @ c.T + (c * c).sum(1), 0)
-        return t, f, d, G.greedy(d, None, parallel) if weighted else G.nearest(d)
+        return t, f, d, _cheapest(d, trials, parallel, seed + it) if weighted else G.nearest(d)
 
-    def summing(now):
+    def summing(now, it: int):
         def sums(t: pa.Table) -> pa.Table:
-            t, f, d, s = pick(t, now)
+            t, f, d, s = pick(t, now, it)
             out = np.zeros((k, f.shape[1] + 2))
             np.add.at(out, s, np.concatenate((np.ones((len(s), 1)), d[np.arange(len(s)), s][:, None], f), axis=1))
             return pa.table({"domain": pa.array([t["domain"][0].as_py()] * out.size), "i": pa.array(np.arange(out.size)), "v": pa.array(out.ravel())})
 
         return sums
 
-    for _ in range(rounds):
+    for it in range(rounds):
         now = dict(centres)
-        got = dealt.groupBy("domain", "b").applyInArrow(summing(now), "domain string, i long, v double").groupBy("domain", "i").agg(F.sum("v").alias("v")).collect()
+        got = dealt.groupBy("domain", "b").applyInArrow(summing(now, it), "domain string, i long, v double").groupBy("domain", "i").agg(F.sum("v").alias("v")).collect()
         value, fresh = 0.0, {}
         for dom in centres:
             m = np.zeros(k * (centres[dom].shape[1] + 2))
@@ -256,11 +267,11 @@ def stratify_mapped(ff: DataFrame, fmap, k: int, rounds: int = 5, buckets: int |
             value += float((m[:, 0] * m[:, 1]).sum())
             fresh[dom] = np.where(m[:, :1] > 0, m[:, 2:] / np.maximum(m[:, :1], 1), centres[dom])
         if value < best_value:
-            best, best_value = now, value
+            best, best_value = (now, it), value
         centres = fresh
 
     def final(t: pa.Table) -> pa.Table:
-        t, _, _, s = pick(t, best)
+        t, _, _, s = pick(t, *best)
         return pa.table({"domain": t["domain"], "id": t["id"], "stratum": pa.array(s, pa.int32())})
 
     return dealt.groupBy("domain", "b").applyInArrow(final, "domain string, id long, stratum int")

@@ -3,6 +3,7 @@
 import os
 
 import duckdb
+import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
@@ -10,7 +11,8 @@ from strata_engine import catalog
 from strata_engine.functions import exprs as E
 from strata_engine.functions import frames
 from strata_engine.functions.kernels import MIXTURE, RBF
-from strata_engine.operators import core
+from strata_engine.operators import cluster, core
+from strata_engine.operators import greedy as G
 from strata_engine.sources import io
 from strata_engine.streaming import drift
 
@@ -125,3 +127,17 @@ def test_trials_refuse_what_they_cannot_hold(spark, monkeypatch):
     for name in ("assign_trials", "assign_relaxed", "assign_loss_methods", "topk_trials"):
         with pytest.raises(ValueError, match="at most 400 rows"):
             catalog.queries()[name](spark, DIR).collect()
+
+
+def test_mapped_strata_gain_by_trials(spark):
+    """One bucket and one round from the same seeds: the summed cost is that of the cheapest of all passes."""
+    ff = frames.embeddings(spark, DIR, "null").withColumn("domain", F.lit("s")).cache()
+    small = core.Small(ff)
+    kernel = cluster.Linear()
+    centres = small.z[cluster.seed_kpp(small.z, small.ids, kernel, 8, 42)]
+    d = ((small.z[:, None] - centres[None]) ** 2).sum(2)
+    costs = {}
+    for trials in (1, 40):
+        got = {r["id"]: r["stratum"] for r in cluster.stratify_mapped(ff, lambda x: x, 8, rounds=1, buckets=1, trials=trials).collect()}
+        costs[trials] = G.assignment_cost(d, np.array([got[i] for i in small.ids]))
+    assert costs[40] == pytest.approx(G.best_of(d, 40, 10, 42)[1]) and costs[40] < costs[1]
