@@ -3,8 +3,8 @@
 The vocabulary is a file of token bytes and ranks. Every byte has a printable character in the byte table; tokens are
 kept as strings over those characters, and merges follow from the ranks: a pair merges if its union is a token, in the
 order of the union's rank. Decoding reverses the byte table. Text never leaves its row, so both directions are
-embarrassingly parallel; the tokenizer is built once in each Python worker. Texts are cut at the pattern's matches, and
-the library encodes each distinct match once: a bounded memo holds the ids of those seen, which words repeat in.
+embarrassingly parallel; the tokenizer is built once in each Python worker. The library itself cuts texts at the pattern's
+matches: its letter and digit tables, not those of another regular-expression package, decide what a match is.
 """
 
 from __future__ import annotations
@@ -22,8 +22,6 @@ from pyspark.sql import functions as F
 from .common import prepare_workers, trim
 
 _built: dict[str, tuple] = {}
-#: Matches whose ids a worker remembers; beyond that it forgets all and starts anew.
-MEMO = 200_000
 
 
 def byte_table() -> list[str]:
@@ -55,38 +53,26 @@ def merges_of(tokens: list[bytes]) -> list[tuple[bytes, bytes]]:
 
 
 def tokenizer(path: str, pattern: str):
-    """(tokenizers.Tokenizer, token bytes by id, the cutter of the pattern, the memo), built once a process."""
+    """(tokenizers.Tokenizer, token bytes by id), built once a process; what the pattern doesn't match gives no tokens."""
     key = f"{path}\0{pattern}"
     if key not in _built:
         os.environ["TOKENIZERS_PARALLELISM"] = "false"
-        import regex
-        from tokenizers import Tokenizer, models, pre_tokenizers
+        from tokenizers import Regex, Tokenizer, models, pre_tokenizers
 
         tokens, chars = read_ranks(path), byte_table()
         show = lambda b: "".join(chars[x] for x in b)
-        model = models.BPE(vocab={show(t): i for i, t in enumerate(tokens)}, merges=[(show(a), show(b)) for a, b in merges_of(tokens)], ignore_merges=True, cache_capacity=0)
+        model = models.BPE(vocab={show(t): i for i, t in enumerate(tokens)}, merges=[(show(a), show(b)) for a, b in merges_of(tokens)], ignore_merges=True)
         out = Tokenizer(model)
-        out.pre_tokenizer = pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)
+        out.pre_tokenizer = pre_tokenizers.Sequence([pre_tokenizers.Split(Regex(pattern), "removed", invert=True), pre_tokenizers.ByteLevel(add_prefix_space=False, use_regex=False)])
         byte_of = {c: b for b, c in enumerate(chars)}
         by_id = [bytes(byte_of[c] for c in out.id_to_token(i)) for i in range(out.get_vocab_size(with_added_tokens=False))]
-        _built[key] = (out, by_id, regex.compile(pattern).findall, {})
+        _built[key] = (out, by_id)
     return _built[key]
 
 
 def packed_ids(texts: list[str], path: str, pattern: str) -> list[bytes]:
     """Little-endian 32-bit ids of each text."""
-    tok, _, cut, memo = tokenizer(path, pattern)
-    if len(memo) > MEMO:
-        memo.clear()
-        trim()
-    pieces = [cut(t) for t in texts]
-    new = list(set().union(*pieces).difference(memo)) if pieces else []
-    for i in range(0, len(new), 4096):
-        some = new[i : i + 4096]
-        found = tok.encode(some, is_pretokenized=True, add_special_tokens=False)
-        ids, ends = np.array(found.ids, dtype="<u4").tobytes(), np.cumsum(4 * np.bincount(np.array(found.word_ids, dtype=np.int64), minlength=len(some))).tolist()
-        memo.update(zip(some, (ids[a:b] for a, b in zip([0, *ends], ends, strict=False)), strict=True))
-    return [b"".join(map(memo.__getitem__, p)) for p in pieces]
+    return [np.array(e.ids, dtype="<u4").tobytes() for e in tokenizer(path, pattern)[0].encode_batch_fast(texts, add_special_tokens=False)]
 
 
 def _pieces(texts: list[str], limit: int) -> Iterator[list[int]]:
@@ -117,7 +103,7 @@ def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", tex
         size_of = np.array([len(b) for b in by_id], dtype=np.int64)
         for batch in batches:
             keys, texts = batch.column(0), [t or "" for t in batch.column(1).to_pylist()]
-            for some in _pieces(texts, 1 << 20):
+            for some in _pieces(texts, 1 << 18):
                 ids = packed_ids([texts[i] for i in some], path, pattern)
                 cols = [keys.slice(some[0], len(some)), pa.array([len(x) // 4 for x in ids], pa.int64()), pa.array(ids, pa.binary())]
                 if offsets:
@@ -125,6 +111,7 @@ def encode(docs: DataFrame, path: str, pattern: str, id_col: str = "doc_id", tex
                     ends = [np.cumsum(size_of[x]) for x in ids]
                     cols.append(pa.array([np.column_stack((e - size_of[x], e)).ravel() for x, e in zip(ids, ends, strict=True)], pa.list_(pa.int64())))
                 yield pa.RecordBatch.from_arrays(cols, names=[id_col, "n_tokens", "ids"] + ["offsets"] * offsets)
+            trim()
 
     key = docs.schema[id_col].dataType.simpleString()
     src = docs.select(F.col(id_col), F.col(text_col).cast("string").alias("strata_text"))

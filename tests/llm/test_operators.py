@@ -106,9 +106,10 @@ def test_bpe_round_trip(spark, docs):
     lib = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks={t: i for i, t in enumerate(ranks)}, special_tokens={})
     odd = spark.createDataFrame([(1, "<|endoftext|> I'll  go\n\n  x 漢字🙂é½   a"), (2, "a" * 300), (3, None), (3, "é"), (None, " ")], "doc_id long, text string")
     src = docs.select("doc_id", "text").unionByName(odd)
-    got = bpe.decode(bpe.encode(src, path, pattern, offsets=True), path, pattern).collect()
-    want = Counter((k, len(lib.encode_ordinary(t)), t.encode()) for k, t in rows_of(src))
-    assert Counter((r["doc_id"], r["n_tokens"], bytes(r["decoded"])) for r in got) == want
+    got = bpe.decode(bpe.encode(src, path, pattern, offsets=True).withColumn("packed", F.col("ids")), path, pattern).collect()
+    packed = lambda t: np.array(lib.encode_ordinary(t), dtype="<u4").tobytes()
+    want = Counter((k, packed(t), len(lib.encode_ordinary(t)), t.encode()) for k, t in rows_of(src))
+    assert Counter((r["doc_id"], bytes(r["packed"]), r["n_tokens"], bytes(r["decoded"])) for r in got) == want
     assert all(r["offsets"][-1] == len(r["decoded"]) for r in got if r["n_tokens"])
     one = bpe.encode(odd, path, pattern).filter("doc_id = 1").select("ids", bpe.unpack_ids("ids").alias("a")).first()
     ids = lib.encode_ordinary("<|endoftext|> I'll  go\n\n  x 漢字🙂é½   a")
@@ -117,6 +118,22 @@ def test_bpe_round_trip(spark, docs):
     assert bpe.encode(empty(spark), path, pattern).count() == 0
 
 
+def test_bpe_ids_of_every_code_point():
+    """Ids as tiktoken's for each code point after and before letters, digits, signs and spaces, and for random texts."""
+    import tiktoken
+
+    path, pattern = queries.vocabulary()
+    lib = tiktoken.Encoding("own", pat_str=pattern, mergeable_ranks={t: i for i, t in enumerate(bpe.read_ranks(path))}, special_tokens={})
+    points = [chr(c) for c in range(0x110000) if not 0xD800 <= c < 0xE000]
+    texts = ["\n".join(f"a{c}a{c}1{c}!{c} {c}" for c in points[i : i + 2000]) for i in range(0, len(points), 2000)]
+    rng = random.Random(3)
+    letters = [c for c in points if c.isalnum()]
+    texts += ["".join(rng.choice((rng.choice(points), rng.choice(letters), rng.choice("ab 1'!\n\t"))) for _ in range(rng.randint(1, 30))) for _ in range(50_000)]
+    for i in range(0, len(texts), 500):
+        some = texts[i : i + 500]
+        assert bpe.packed_ids(some, path, pattern) == [np.array(lib.encode_ordinary(t), dtype="<u4").tobytes() for t in some]
+
+
 def test_language_id(spark, sf):
     d = spark.read.parquet(f"{sf}/documents.parquet")
     got = queries.op3_language_id(spark, sf).join(d.select("doc_id", "lang"), "doc_id").collect()
