@@ -4,6 +4,7 @@ import hashlib
 import math
 import random
 import textwrap
+import time
 from collections import Counter
 from pathlib import Path
 
@@ -285,6 +286,47 @@ def test_html_keeps_short_blocks_and_named_wrappers():
         assert html_blocks.main_text(page(body)) == want
 
 
+def test_html_class_words_and_owner_lines():
+    page = lambda body: f"<html><body>{body}</body></html>"
+    text = "A paragraph of a story that is long enough to be found by its length alone, and more."
+    cases = {
+        f"<article><h1>H</h1><section class='legal-analysis'><p>{text}</p></section><div class='search-results-study'><p>Second.</p></div><div class='search-results'>no</div><div class=related-posts>no</div></article>": f"H {text} Second.",
+        f"<div><h1>H</h1><section class='legal-analysis'><p>{text}</p></section><p>{text}</p><p>Copyright 2020 Firm</p></div><div class='site-legal'>{text}</div>": f"H {text} {text}",
+        f"<div><h1>H</h1><p>{text}</p><p>{text}</p></div><div>© A Firm. All rights reserved.</div>": f"H {text} {text}",
+        f"<main><p>{text}</p><p>Copyright 2020 was the matter.</p></main>": f"{text} Copyright 2020 was the matter.",
+        f"<main><p title='a > b' data-x=it's>{text}</p></main><!-- open": text,
+    }
+    for body, want in cases.items():
+        assert html_blocks.main_text(page(body)) == want
+
+
+def test_html_windows_by_brute_force():
+    rng = random.Random(12)
+    for _ in range(3000):
+        weight = [rng.choice((0, 0, 5, 30, 90)) for _ in range(rng.randint(0, 25))]
+        window, least = rng.randint(1, 4), rng.choice((30, 60, 100))
+        want = [False] * len(weight)
+        for i, w in enumerate(weight):
+            if w and sum(weight[i : i + window]) >= least:
+                lo = hi = i
+                while lo and weight[lo - 1]:
+                    lo -= 1
+                while hi < len(weight) and any(weight[max(i, hi - window + 1) : hi + 1]):
+                    hi += 1
+                for j in range(lo, hi):
+                    want[j] = want[j] or weight[j] > 0
+        assert html_blocks.regions(weight, window, least) == want
+
+
+def test_html_linear_time():
+    """What is left open a hundred thousand times over costs no more than one pass each: a megabyte in seconds."""
+    n = 100_000
+    for body in ("<a " * n, "<svg>" * n, '<a x=">" ' * n, "<i>" * n + "</b>" * n, "<div class=ad>" + "<article>x" * n, "<span>x" * n, "<p a='" * n, "<nav>" * n + "<main>x" * n):
+        start = time.process_time()
+        html_blocks.main_text(body)
+        assert time.process_time() - start < 15
+
+
 def test_bm25(spark, docs):
     plain = docs.filter("doc_id is not null").dropDuplicates(["doc_id"])
     src = [(k, Counter(bm25.WORDS(t.lower()))) for k, t in rows_of(plain)]
