@@ -1,20 +1,27 @@
 """Exact repeated-passage removal by distributed prefix doubling over synchronised positions.
 
-A byte goes when a ``length``-byte string that covers it also starts in a document with a smaller id. Plain prefix
-doubling ranks every position at 1, 2, 4, ... bytes and sorts position-rank pairs each time, which moves a dozen bytes
-for every byte of text in every round. Here the positions that are ranked are *synchronised*: each ``length``-byte
-window elects the position in it whose 8-byte content hashes lowest, so equal windows elect equal offsets and about one
-position in sixteen stands for all windows. Ranks are names (hashes of content), and a round sorts the names of all
-chunks, keeps those that occur again, and goes on with them at a longer length:
-
-* round 1 ranks ``seed`` bytes at each elected position; unique positions leave for good;
-* round 2 ranks the whole stretch of windows that share an elected position (50 to 80 bytes). A stretch that a smaller
-  document has is removed at once; positions whose stretches all agree need no further round;
-* round 3 ranks the single ``length``-byte windows where stretches differ, which are the ends of repeated passages.
-
-Text moves once: documents are dealt into chunks by id and written as a bucketed table, and each round joins its
-answers to the chunks on the bucket key without a new exchange. A chunk sends every name once however often it occurs
-in it, so a passage in a third of all documents costs one row a chunk. Answers are one bit a name.
+A byte goes when a ``length``-byte string that covers it also starts in a document with a smaller id. Prefix doubling
+ranks positions by their first 1, 2, 4, ... bytes: the rank at twice the length is that of a pair, the rank at the position
+and the rank one length further on. Positions whose rank is unique leave, and the rest goes on until the threshold.
+
+To rank every position would move a dozen bytes for each byte of text in each round. So positions are thinned first: each
+``length``-byte window elects the position in it whose 8-byte content hashes lowest, hence equal windows elect equal
+offsets, and about one position in eighteen stands for all windows. Ranks of up to 8 bytes are the bytes themselves, which
+nothing need sort. From there on a pair's rank is a name made of both names, Spark brings equal names of all chunks
+together, they are sorted, and each chunk learns which of its positions go on (for ``length`` 50):
+
+* round 1 ranks 16 bytes at each elected position;
+* round 2 ranks 32 bytes, the pair at offset 16, in the position's windows: those that reach far enough behind it take the
+  pair that starts at it, the others the pair that ends with its 16 bytes;
+* round 3 is past the threshold: it ranks the whole stretch of such windows (50 to 68 bytes) as the overlapping pair of its
+  first and last 32 (or 64) bytes. A stretch that a smaller document has is removed at once; where all stretches of a
+  32-byte rank agree, nothing is left to find;
+* round 4 ranks the single windows, pairs of 32 bytes at offset 18, where stretches differ, which are the ends of passages.
+
+Text moves once: documents are dealt into chunks and written as a bucketed table, and each round joins its answers to the
+chunks on the bucket key without a new exchange. A chunk sends every name once however often it occurs in it, so a passage
+in a third of all documents costs one row a chunk. Names travel as runs of fixed width, a run for each chunk and range of
+names; files, chunks and ranges are sized by the bytes of text, so that tasks stay of one size.
 """
 
 from __future__ import annotations
@@ -34,43 +41,65 @@ U64 = np.uint64
 TILE = 1 << 15
 LOW20 = U64((1 << 20) - 1)
 M1, M2, M3 = U64(0x9E3779B97F4A7C15), U64(0xD6E8FEB86659FD93), U64(0xC2B2AE3D27D4EB4F)
-SENT = "bucket int, chunk int, kind int, n int, names binary, extra binary"
-ANSWER = "chunk int, kind int, bucket int, n int, bits binary"
+#: What chunks send: a run of sorted names of one kind and range, with a second column of names and documents where they matter.
+SENT = pa.schema([("bucket", pa.int32()), ("chunk", pa.int32()), ("kind", pa.int32()), ("n", pa.int32()), ("names", pa.binary()), ("other", pa.binary()), ("extra", pa.binary())])
+ANSWER = pa.schema([("chunk", pa.int32()), ("kind", pa.int32()), ("bucket", pa.int32()), ("n", pa.int32()), ("flags", pa.binary())])
+#: Kinds of names: two that ask whether a name recurs, stretches and windows that ask for a smaller document, and 32-byte ranks that ask whether their stretches differ.
+SEED, TWICE, STRETCH, DIFFER, WINDOW = 1, 2, 3, 4, 5
 
 
-def _words(buf: np.ndarray, offset: int, n: int) -> np.ndarray:
-    """The little-endian 8-byte words that start at ``n`` successive bytes."""
-    return np.ndarray((n,), dtype="<u8", buffer=buf, offset=offset, strides=(1,))
+def _ddl(schema: pa.Schema) -> str:
+    return ", ".join(f"{f.name} {'int' if f.type == pa.int32() else 'binary'}" for f in schema)
 
 
-def _mix(h: np.ndarray, x: np.ndarray, m: np.uint64) -> np.ndarray:
-    h = (h ^ x) * m
+def _pair(x: np.ndarray, y: np.ndarray, m: np.uint64, k: np.uint64) -> np.ndarray:
+    """A name for each pair of names."""
+    h = x * m
+    h ^= h >> U64(32)
+    h ^= y
+    h *= k
     h ^= h >> U64(29)
+    h *= m
+    h ^= h >> U64(32)
     return h
 
 
-def _finish(h: np.ndarray) -> np.ndarray:
-    h = h * M2
-    h ^= h >> U64(32)
-    h = h * M3
-    return h ^ (h >> U64(31))
+def _data(column: pa.ChunkedArray | pa.Array) -> tuple[np.ndarray, np.ndarray]:
+    """(offsets, bytes) of a binary column, without copies of its values."""
+    arr = column.combine_chunks() if isinstance(column, pa.ChunkedArray) else column
+    if isinstance(arr, pa.ChunkedArray):
+        arr = pa.concat_arrays(arr.chunks) if arr.num_chunks else pa.array([], pa.binary())
+    if not len(arr):
+        return np.zeros(1, dtype=np.int64), np.zeros(0, dtype=np.uint8)
+    _, offsets, data = arr.buffers()
+    ends = np.frombuffer(offsets, dtype=np.int32)[arr.offset : arr.offset + len(arr) + 1].astype(np.int64)
+    values = np.frombuffer(data, dtype=np.uint8) if data is not None and data.size else np.zeros(0, dtype=np.uint8)
+    return ends - ends[0], values[ends[0] : ends[-1]]
+
+
+def _runs(values: np.ndarray, ends: np.ndarray) -> pa.Array:
+    """Successive runs of ``values``'s bytes, which end at ``ends`` bytes, as a binary column."""
+    offsets = np.concatenate(([0], ends)).astype(np.int32)
+    return pa.Array.from_buffers(pa.binary(), len(ends), [None, pa.py_buffer(offsets), pa.py_buffer(np.ascontiguousarray(values))])
+
+
+def spread(first: np.ndarray, count: np.ndarray) -> np.ndarray:
+    """The ranges that start at ``first`` and have ``count`` members, end to end."""
+    return np.arange(int(count.sum()), dtype=np.int64) + np.repeat(first - (np.cumsum(count) - count), count)
 
 
 class Chunk:
-    """The documents of one chunk as one buffer, in the order of their ids, with their window stretches."""
+    """The documents of one chunk as one buffer, in the order of their ids, with the stretches of windows of each elected position."""
 
     def __init__(self, table: pa.Table, length: int, seed: int):
         order = pc.sort_indices(table.select(["doc_id", "row"]), sort_keys=[("doc_id", "ascending"), ("row", "ascending")])
         table = table.select(["doc_id", "row", "text"]).take(order)
-        self.ids = table["doc_id"].to_numpy()
-        self.row = table["row"]
-        texts = [x.as_py() or b"" for x in table["text"]]
-        sizes = np.array([len(x) for x in texts], dtype=np.int64)
-        self.ends = np.cumsum(sizes)
-        self.starts = self.ends - sizes
-        self.size = int(self.ends[-1]) if len(sizes) else 0
-        self.buf = np.frombuffer(b"".join(texts) + bytes(128), dtype=np.uint8)
+        self.ids, self.row = table["doc_id"].to_numpy(), table["row"]
+        offsets, data = _data(table["text"])
+        self.starts, self.ends, self.size = offsets[:-1], offsets[1:], int(offsets[-1])
+        self.buf = np.concatenate((data, np.zeros(128 + length, dtype=np.uint8)))
         self.length, self.seed = length, seed
+        self.words = np.ndarray((self.size + 120,), dtype="<u8", buffer=self.buf, strides=(1,))  # the 8 bytes from each on
         self._stretches()
 
     def _stretches(self) -> None:
@@ -83,7 +112,7 @@ class Chunk:
         lows, highs, seats = [], [], []
         for t in range(0, n, TILE):
             m = min(TILE, n - t)
-            key = _words(self.buf, t, min(m + w, n + 120 - t)) * M1
+            key = self.words[t : min(t + m + w, n + 120)] * M1
             key ^= key >> U64(32)
             key *= M2
             key = (key & ~LOW20) | np.arange(len(key), dtype=U64)
@@ -105,174 +134,151 @@ class Chunk:
         self.lo, self.hi, self.seat = cat(lows), cat(highs), cat(seats)
         self.doc = self.ids[np.searchsorted(self.ends, self.lo, side="right")] if len(self.lo) else np.zeros(0, dtype=np.int64)
 
-    def name(self, at: np.ndarray, sizes: np.ndarray | int) -> tuple[np.ndarray, np.ndarray]:
-        """Two independent 64-bit names of the strings at ``at``."""
-        words = _words(self.buf, 0, self.size + 120)
-        sizes = np.broadcast_to(np.asarray(sizes, dtype=np.int64), at.shape)
-        a = sizes.astype(U64) * M3
-        b = sizes.astype(U64) * M2 + M1
-        for j in range(0, int(sizes.max(initial=0)), 8):
-            left = np.clip(sizes - j, 0, 8)
-            x = words[np.minimum(at + j, self.size + 112)]
-            if (left < 8).any():
-                keep = np.where(left == 8, U64(0xFFFFFFFFFFFFFFFF), (U64(1) << (np.minimum(left, 7) * 8).astype(U64)) - U64(1))
-                x = x & keep
-            a, b = _mix(a, x, M1), _mix(b ^ (b << U64(7)), x, M2)
-        return _finish(a), _finish(b)
-
-    # Each round's names are recomputed from the text, so that they are the same whenever a lost task runs again.
-    def seeds(self):
-        return self.name(self.seat, self.seed)[0]
-
-
-def _unique(names: np.ndarray, docs: np.ndarray):
-    """Sorted distinct names, the smallest document of each, whether several documents have it, and each row's place."""
-    order = np.argsort(names)
-    s = names[order]
-    new = np.ones(len(s), dtype=bool)
-    np.not_equal(s[1:], s[:-1], out=new[1:])
-    head = np.flatnonzero(new)
-    inverse = np.empty(len(s), dtype=np.int64)
-    inverse[order] = np.cumsum(new) - 1
-    if not len(s):
-        return s, docs, new, inverse, order, head
-    sorted_docs = docs[order]
-    first, last = np.minimum.reduceat(sorted_docs, head), np.maximum.reduceat(sorted_docs, head)
-    return s[head], first, last != first, inverse, order, head
-
-
-def _cuts(names: np.ndarray, buckets: int) -> np.ndarray:
-    edges = (np.arange(1, buckets, dtype=np.float64) * (2.0**64 / buckets)).astype(U64)
-    return np.concatenate(([0], np.searchsorted(names, edges), [len(names)]))
-
-
-def _send(chunk: int, kind: int, names: np.ndarray, pack, buckets: int) -> list[tuple]:
-    cuts = _cuts(names, buckets)
-    out = []
-    for b in np.flatnonzero(np.diff(cuts)):
-        i, j = cuts[b], cuts[b + 1]
-        head, extra = pack(i, j)
-        out.append((int(b), chunk, kind, int(j - i), head, extra))
-    return out
-
-
-def _bits(answers: pa.Table, kind: int, names: np.ndarray, buckets: int) -> np.ndarray:
-    """The answers to what :func:`_send` sent, in the order of the names."""
-    got = np.zeros(len(names), dtype=bool)
-    cuts = _cuts(names, buckets)
-    for k, b, n, bits in zip(*(answers[c].to_pylist() for c in ("kind", "bucket", "n", "bits")), strict=True):
-        if k == kind:
-            got[cuts[b] : cuts[b + 1]] = np.unpackbits(np.frombuffer(bits, dtype=np.uint8), count=n).astype(bool)
-    return got
-
-
-def _first_round(c: Chunk, chunk: int, buckets: int):
-    names, _, several, inverse, _, _ = _unique(c.seeds(), c.doc)
-    low5 = lambda i, j: (np.ascontiguousarray(names[i:j].view(np.uint8).reshape(-1, 8)[:, :5]).tobytes(), b"")
-    return names, several, inverse, low5
-
-
-def _second_names(c: Chunk, alive: np.ndarray):
-    at = np.flatnonzero(alive)
-    a, b = c.name(c.lo[at], c.hi[at] - c.lo[at] + c.length)
-    return at, a, b
-
-
-def _by_doc(names, second, docs):
-    """Names by which a smaller document is sought: their second halves and smallest documents go with them."""
-    uniq, first, _, inverse, order, head = _unique(names, docs)
-    other = second[order[head]]
-    return uniq, first, inverse, lambda i, j: (np.ascontiguousarray(uniq[i:j]).tobytes() + np.ascontiguousarray(other[i:j]).tobytes(), np.ascontiguousarray(first[i:j]).tobytes())
-
-
-def _by_seed(seed_names, stretch_names):
-    """For each seed the least and the greatest of its stretches' names: they differ if the seed has several stretches."""
-    order = np.lexsort((stretch_names, seed_names))
-    s, v = seed_names[order], stretch_names[order]
-    head = np.flatnonzero(np.concatenate(([True], s[1:] != s[:-1]))) if len(s) else np.zeros(0, dtype=np.int64)
-    tail = np.concatenate((head[1:], [len(s)])) - 1 if len(s) else head
-    uniq, least, most = s[head], v[head], v[tail]
-    inverse = np.empty(len(s), dtype=np.int64)
-    inverse[order] = np.repeat(np.arange(len(head)), np.diff(np.concatenate((head, [len(s)])))) if len(s) else 0
-    return uniq, inverse, lambda i, j: (np.ascontiguousarray(uniq[i:j]).tobytes(), np.ascontiguousarray(least[i:j]).tobytes() + np.ascontiguousarray(most[i:j]).tobytes())
-
-
-def _resolve(c: Chunk, upto: int, answers: dict[int, pa.Table], chunk: int, buckets: int):
+    # Names are recomputed from the text in each round, so that they are the same whenever a lost task runs again.
+    def rank(self, at: np.ndarray, size: int, m: np.uint64 = M1, k: np.uint64 = M2) -> np.ndarray:
+        """Ranks by ``size`` bytes, a power of two, 8 at least: those of pairs at half the size."""
+        if size == 8:
+            return self.words[at]
+        return _pair(self.rank(at, size // 2, m, k), self.rank(at + size // 2, size // 2, m, k), m, k)
+
+    def string(self, at: np.ndarray, sizes: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+        """Two independent ranks by ``sizes`` bytes: those of the pair of first and last bytes, overlapping, a power of two each."""
+        a, b = np.zeros(len(at), dtype=U64), np.zeros(len(at), dtype=U64)
+        half = 1 << (np.frexp(sizes.astype(np.float64))[1] - 1)
+        for one in np.unique(half).tolist():
+            pick = np.flatnonzero(half == one)
+            first, last = at[pick], at[pick] + sizes[pick] - one
+            size = sizes[pick].astype(U64)
+            a[pick] = _pair(_pair(self.rank(first, one), self.rank(last, one), M1, M2), size, M3, M1)
+            b[pick] = _pair(_pair(self.rank(first, one, M3, M1), self.rank(last, one, M3, M1), M3, M1), size, M1, M2)
+        return a, b
+
+    def parts(self, pick: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+        """(first window, last window, where twice the seed's bytes start that all of them hold, document) of the stretches picked.
+
+        Windows that end at least twice the seed after the seat take the bytes from the seat on; the others, which start
+        at least a seed before it, those that end with the seat's seed.
+        """
+        lo, hi, seat, doc = self.lo[pick], self.hi[pick], self.seat[pick], self.doc[pick]
+        edge = seat + 2 * self.seed - self.length  # the first window of the former sort
+        near, far = np.flatnonzero(hi >= edge), np.flatnonzero(lo < edge)
+        join = lambda x, y: np.concatenate((x[near], y[far]))
+        return join(np.maximum(lo, edge), lo), join(hi, np.minimum(hi, edge - 1)), join(seat, seat - self.seed), join(doc, doc)
+
+
+class Names:
+    """Distinct names in order; of each its smallest document, whether several documents have it, and the rows' places."""
+
+    def __init__(self, names: np.ndarray, docs: np.ndarray):
+        order = np.argsort(names)
+        s = names[order]
+        head = np.flatnonzero(np.concatenate(([True], s[1:] != s[:-1]))) if len(s) else np.zeros(0, dtype=np.int64)
+        self.order, self.head, self.names = order, head, s[head]
+        self.place = np.empty(len(s), dtype=np.int64)
+        self.place[order] = np.repeat(np.arange(len(head)), np.diff(np.append(head, len(s))))
+        self.first = self.least(docs)
+        self.several = self.first != self.most(docs)
+
+    def least(self, values: np.ndarray) -> np.ndarray:
+        return np.minimum.reduceat(values[self.order], self.head) if len(self.head) else values[:0]
+
+    def most(self, values: np.ndarray) -> np.ndarray:
+        return np.maximum.reduceat(values[self.order], self.head) if len(self.head) else values[:0]
+
+
+class Mail:
+    """One chunk's exchange with the ranges of names: what it sends, and the flags that came back."""
+
+    def __init__(self, chunk: int, buckets: int, width: int, answers: pa.Table | None):
+        self.chunk, self.width, self.answers = chunk, width, answers
+        self.buckets, self.edges = buckets, (np.arange(1, buckets, dtype=np.float64) * (2.0**64 / buckets)).astype(U64)
+
+    def cuts(self, names: np.ndarray) -> np.ndarray:
+        return np.concatenate(([0], np.searchsorted(names, self.edges), [len(names)]))
+
+    def send(self, kind: int, names: np.ndarray, other: np.ndarray | None = None, extra: np.ndarray | None = None) -> pa.Table:
+        """A run for each range with names; recurring names alone are cut to ``width`` bytes, the range tells the rest."""
+        cuts = self.cuts(names)
+        some = np.flatnonzero(np.diff(cuts))
+        ends, n = cuts[some + 1], np.diff(cuts)[some]
+        same = lambda v: pa.array(np.full(len(some), v, dtype=np.int32))
+        size = 8 if other is not None else self.width
+        short = np.ascontiguousarray(names).view(np.uint8).reshape(-1, 8)[:, :size]
+        rest = [pa.nulls(len(some), pa.binary()) if x is None else _runs(np.ascontiguousarray(x).view(np.uint8), 8 * ends) for x in (other, extra)]
+        return pa.Table.from_arrays([pa.array(some.astype(np.int32)), same(self.chunk), same(kind), pa.array(n.astype(np.int32)), _runs(short, size * ends), *rest], schema=SENT)
+
+    def flags(self, kind: int, names: np.ndarray) -> np.ndarray:
+        """The flags of what :meth:`send` sent, in the order of the names; none came for runs without a set one."""
+        got = np.zeros(len(names), dtype=bool)
+        if self.answers is not None:
+            mine = self.answers.filter(pc.equal(self.answers["kind"], kind))
+            if mine.num_rows:
+                at = spread(self.cuts(names)[mine["bucket"].to_numpy()], mine["n"].to_numpy().astype(np.int64))
+                got[at] = _data(mine["flags"])[1].astype(bool)
+        return got
+
+
+def _resolve(c: Chunk, upto: int, mail: Mail) -> pa.Table | np.ndarray:
     """Replay the rounds that have answers and return what round ``upto`` sends, or the removed-byte mask at the end."""
-    names, several, inverse, low5 = _first_round(c, chunk, buckets)
+    seeds = Names(c.rank(c.seat, c.seed), c.doc)
     if upto == 1:
-        return _send(chunk, 1, names, low5, buckets)
-    shared = (_bits(answers[1], 1, names, buckets) | several)[inverse]
-    seed_names = names[inverse]
-    at, a, b = _second_names(c, shared)
-    s_names, s_first, s_inv, s_pack = _by_doc(a, b, c.doc[at])
-    k_names, k_inv, k_pack = _by_seed(seed_names[at], a)
+        return mail.send(SEED, seeds.names)
+    lo, hi, at, doc = c.parts(np.flatnonzero((mail.flags(SEED, seeds.names) | seeds.several)[seeds.place]))
+    rank = c.rank(at, 2 * c.seed)
+    twice = Names(rank, doc)
     if upto == 2:
-        return _send(chunk, 2, s_names, s_pack, buckets) + _send(chunk, 3, k_names, k_pack, buckets)
-    earlier = _bits(answers[2], 2, s_names, buckets)[s_inv] | (c.doc[at] > s_first[s_inv])
-    open_ = ~earlier & _bits(answers[2], 3, k_names, buckets)[k_inv]
-    todo = at[open_]
-    counts = c.hi[todo] - c.lo[todo] + 1
-    starts = np.repeat(c.lo[todo] - np.concatenate(([0], np.cumsum(counts)[:-1])), counts) + np.arange(int(counts.sum())) if len(todo) else np.zeros(0, dtype=np.int64)
-    docs = np.repeat(c.doc[todo], counts)
-    wa, wb = c.name(starts, c.length)
-    w_names, w_first, w_inv, w_pack = _by_doc(wa, wb, docs)
+        return mail.send(TWICE, twice.names)
+    live = np.flatnonzero((mail.flags(TWICE, twice.names) | twice.several)[twice.place])
+    lo, hi, doc, rank = lo[live], hi[live], doc[live], rank[live]
+    a, b = c.string(lo, hi - lo + c.length)
+    whole, differ = Names(a, doc), Names(rank, doc)
     if upto == 3:
-        return _send(chunk, 4, w_names, w_pack, buckets)
-    gone = _bits(answers[3], 4, w_names, buckets)[w_inv] | (docs > w_first[w_inv])
+        return pa.concat_tables([mail.send(STRETCH, whole.names, b[whole.order[whole.head]], whole.first), mail.send(DIFFER, differ.names, differ.least(a), differ.most(a))])
+    earlier = mail.flags(STRETCH, whole.names)[whole.place] | (doc > whole.first[whole.place])
+    todo = np.flatnonzero(~earlier & mail.flags(DIFFER, differ.names)[differ.place])
+    count = hi[todo] - lo[todo] + 1
+    starts, docs = spread(lo[todo], count), np.repeat(doc[todo], count)
+    a, b = c.string(starts, np.full(len(starts), c.length))
+    single = Names(a, docs)
+    if upto == 4:
+        return mail.send(WINDOW, single.names, b[single.order[single.head]], single.first)
+    gone = starts[mail.flags(WINDOW, single.names)[single.place] | (docs > single.first[single.place])]
     step = np.zeros(c.size + 1, dtype=np.int32)  # how many windows cover a byte, by differences
-    whole = at[earlier]
-    np.add.at(step, c.lo[whole], 1)
-    np.add.at(step, c.hi[whole] + c.length, -1)
-    np.add.at(step, starts[gone], 1)
-    np.add.at(step, starts[gone] + c.length, -1)
+    for first, last in ((lo[earlier], hi[earlier]), (gone, gone)):
+        np.add.at(step, first, 1)
+        np.add.at(step, last + c.length, -1)
     return np.cumsum(step[: c.size], dtype=np.int32) > 0
 
 
-def _table(rows: list[tuple], schema: pa.Schema) -> pa.Table:
-    return pa.Table.from_arrays([pa.array([r[i] for r in rows], type=f.type) for i, f in enumerate(schema)], schema=schema)
-
-
-SENT_ARROW = pa.schema([("bucket", pa.int32()), ("chunk", pa.int32()), ("kind", pa.int32()), ("n", pa.int32()), ("names", pa.binary()), ("extra", pa.binary())])
-ANSWER_ARROW = pa.schema([("chunk", pa.int32()), ("kind", pa.int32()), ("bucket", pa.int32()), ("n", pa.int32()), ("bits", pa.binary())])
-
-
 def _judge(table: pa.Table) -> pa.Table:
-    """All chunks' names of one bucket and kind, sorted together; a bit for each name goes back to its chunk."""
-    rows = table.to_pylist()
-    if not rows:
-        return _table([], ANSWER_ARROW)
-    kind, bucket = rows[0]["kind"], rows[0]["bucket"]
-    sizes = np.array([r["n"] for r in rows])
-    if kind == 1:
+    """All chunks' names of one range and kind, sorted together; a flag for each name goes back to its chunk."""
+    if not table.num_rows:
+        return ANSWER.empty_table()
+    kind, sizes = table["kind"][0].as_py(), table["n"].to_numpy().astype(np.int64)
+    whole = lambda c, t: np.ascontiguousarray(_data(table[c])[1]).view(t)
+    if kind in (SEED, TWICE):
+        short = whole("names", np.uint8)
         raw = np.zeros((int(sizes.sum()), 8), dtype=np.uint8)
-        raw[:, :5] = np.frombuffer(b"".join(r["names"] for r in rows), dtype=np.uint8).reshape(-1, 5)
+        raw[:, : len(short) // len(raw)] = short.reshape(len(raw), -1)
         names = raw.view("<u8").ravel()
         order = np.argsort(names)
         s = names[order]
         same = s[1:] == s[:-1]
         flag = np.concatenate(([False], same)) | np.concatenate((same, [False]))
-    elif kind == 3:
-        names = np.concatenate([np.frombuffer(r["names"], dtype="<u8") for r in rows])
-        least = np.concatenate([np.frombuffer(r["extra"], dtype="<u8")[: r["n"]] for r in rows])
-        most = np.concatenate([np.frombuffer(r["extra"], dtype="<u8")[r["n"] :] for r in rows])
-        order = np.argsort(names)
-        s = names[order]
-        head = np.flatnonzero(np.concatenate(([True], s[1:] != s[:-1])))
-        lo, hi = np.minimum.reduceat(least[order], head), np.maximum.reduceat(most[order], head)
-        flag = np.repeat(lo != hi, np.diff(np.concatenate((head, [len(s)]))))
+    elif kind == DIFFER:
+        names = Names(whole("names", "<u8"), whole("other", "<u8"))
+        order, flag = names.order, (names.first != names.most(whole("extra", "<u8")))[names.place[names.order]]
     else:
-        a = np.concatenate([np.frombuffer(r["names"], dtype="<u8")[: r["n"]] for r in rows])
-        b = np.concatenate([np.frombuffer(r["names"], dtype="<u8")[r["n"] :] for r in rows])
-        docs = np.concatenate([np.frombuffer(r["extra"], dtype="<i8") for r in rows])
+        a, b, docs = whole("names", "<u8"), whole("other", "<u8"), whole("extra", "<i8")
         order = np.lexsort((docs, b, a))
         sa, sb, sd = a[order], b[order], docs[order]
         head = np.flatnonzero(np.concatenate(([True], (sa[1:] != sa[:-1]) | (sb[1:] != sb[:-1]))))
-        flag = sd > np.repeat(sd[head], np.diff(np.concatenate((head, [len(sa)]))))
-    back = np.empty(len(flag), dtype=bool)
+        flag = sd > np.repeat(sd[head], np.diff(np.append(head, len(sa))))
+    back = np.empty(len(flag), dtype=np.uint8)
     back[order] = flag
     ends = np.cumsum(sizes)
-    return _table([(r["chunk"], kind, bucket, r["n"], np.packbits(back[e - r["n"] : e]).tobytes()) for r, e in zip(rows, ends, strict=True) if back[e - r["n"] : e].any()], ANSWER_ARROW)
+    out = pa.Table.from_arrays([table["chunk"], table["kind"], table["bucket"], table["n"], _runs(back, ends)], schema=ANSWER)
+    return out.filter(pa.array(np.add.reduceat(back.astype(np.int64), ends - sizes) > 0))
 
 
 def _result(c: Chunk, gone: np.ndarray) -> pa.Table:
@@ -305,37 +311,44 @@ def _result(c: Chunk, gone: np.ndarray) -> pa.Table:
 
 RESULT = "doc_id long, row long, n_bytes long, n_removed long, n_spans long, span_starts array<long>, span_ends array<long>, kept binary"
 LAST = np.iinfo(np.int64).max
+#: Tables are bucketed into no more files than Spark allows by default.
+MOST_FILES = 100_000
 
 
-def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 50, seed: int = 20, chunk_mb: float = 5.0) -> DataFrame:
+def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text", length: int = 50, chunk_mb: float = 5.0, range_mb: float = 40.0, file_mb: float = 128.0) -> DataFrame:
     """One row per row of ``docs``: (doc_id, row, n_bytes, n_removed, n_spans, span_starts, span_ends, kept).
 
     ``kept`` holds the bytes that stay, ``span_*`` the maximal removed runs as byte offsets. Null texts count as empty
     and give zeros. Rows with equal ids don't remove each other's passages; a null id counts as greater than all others
-    and comes back null. Repeated rows each give a row (``row`` tells them apart). Texts shorter than ``length`` are
-    kept whole. An empty table gives an empty result; other columns of ``docs`` are not read.
+    and comes back null. Repeated rows each give a row (``row`` tells texts apart). Texts shorter than ``length`` (23 at
+    least) are kept whole. An empty table gives an empty result; other columns of ``docs`` are not read. Beyond a gigabyte
+    of text, chunks grow with its square root, up to 64 MB, and ranges of names (``range_mb`` of text) likewise to eight
+    times their size; files hold ``file_mb`` of text.
     """
     spark = docs.sparkSession
     prepare_workers(spark)
-    if not 8 <= seed < length:
-        raise ValueError("seed must be at least 8 and less than length")
+    if length < 23:
+        raise ValueError("length must be at least 23")
+    seed = 1 << int(math.log2((length + 1) / 3))  # a seed before the seat or two behind it are within every window
     src = docs.select(F.coalesce(F.col(id_col).cast("long"), F.lit(LAST)).alias("doc_id"), F.coalesce(F.col(text_col).cast("string"), F.lit("")).cast("binary").alias("text"))
     total = text_bytes(docs, text_col)
-    chunks = max(48, math.ceil(total / (chunk_mb * 1e6 * max(1.0, math.sqrt(total / 1e12)))))
-    buckets = max(64, chunks)
-    dealt = src.select(F.pmod(F.xxhash64("doc_id", F.length("text")), F.lit(chunks)).cast("int").alias("chunk"), "doc_id", F.xxhash64("text").alias("row"), "text")
+    grow = lambda unit, most: min(most, max(1.0, math.sqrt(total / unit)))
+    chunks = max(48, math.ceil(total / (chunk_mb * 1e6 * grow(1e9, 12.8))))
+    buckets = max(64, math.ceil(total / (range_mb * 1e6 * grow(3e10, 8.0))))
+    width = min(8, max(4, math.ceil((math.log2(total + 2) + 4) / 8)))  # of a name, so that few differ that look equal
+    dealt = src.withColumn("row", F.xxhash64("text")).select(F.pmod(F.xxhash64("doc_id", "row"), F.lit(chunks)).cast("int").alias("chunk"), "doc_id", "row", "text")
     name, path = f"strata_chunks_{uuid.uuid4().hex}", new_path(spark, "chunks")
-    n = parts(spark)
+    n = min(MOST_FILES, max(parts(spark), math.ceil(total / (file_mb * 1e6))))
     dealt.repartition(n, "chunk").write.bucketBy(n, "chunk").option("path", path).option("compression", "zstd").format("parquet").saveAsTable(name)
-    answers: dict[int, DataFrame] = {}
-    written = []
+    answers, written = None, []
     try:
-        for upto in (1, 2, 3):
-            sent = _pass(spark.table(name), answers, upto, length, seed, buckets, SENT)
-            judged = sent.groupBy("bucket", "kind").applyInArrow(_judge, ANSWER)
-            answers[upto], where = stage(judged, f"answers{upto}")
+        for upto in (1, 2, 3, 4):
+            sent = _pass(spark.table(name), answers, upto, length, seed, buckets, width, _ddl(SENT))
+            judged = sent.repartition(min(n, buckets), "bucket").groupBy("bucket", "kind").applyInArrow(_judge, _ddl(ANSWER))
+            found, where = stage(judged, f"answers{upto}")
+            answers = found if answers is None else answers.unionByName(found)
             written.append(where)
-        out, _ = stage(_pass(spark.table(name), answers, 4, length, seed, buckets, RESULT), "passages")
+        out, _ = stage(_pass(spark.table(name), answers, 5, length, seed, buckets, width, RESULT), "passages")
     finally:
         spark.sql(f"DROP TABLE IF EXISTS {name}")
         for p in [path, *written]:
@@ -343,31 +356,20 @@ def repeated_passages(docs: DataFrame, id_col: str = "doc_id", text_col: str = "
     return out.withColumn("doc_id", F.when(F.col("doc_id") != LAST, F.col("doc_id")))
 
 
-def _pass(table: DataFrame, answers: dict[int, DataFrame], upto: int, length: int, seed: int, buckets: int, schema: str) -> DataFrame:
+def _pass(table: DataFrame, answers: DataFrame | None, upto: int, length: int, seed: int, buckets: int, width: int, schema: str) -> DataFrame:
     def work(left: pa.Table, right: pa.Table | None) -> pa.Table:
         if not left.num_rows:
-            return _table([], SENT_ARROW) if upto < 4 else _result_empty()
-        chunk = left["chunk"][0].as_py()
+            return SENT.empty_table() if upto < 5 else _result(Chunk(left, length, seed), np.zeros(0, dtype=bool))
         c = Chunk(left, length, seed)
-        got = {r: right.filter(pc.equal(right["round"], r)) for r in range(1, upto)} if right is not None else {}
-        out = _resolve(c, upto, got, chunk, buckets)
-        out = _result(c, out) if upto == 4 else _table(out, SENT_ARROW)
-        del c, got
+        out = _resolve(c, upto, Mail(left["chunk"][0].as_py(), buckets, width, right))
+        out = _result(c, out) if upto == 5 else out
+        del c
         trim()
         return out
 
-    if not answers:
+    if answers is None:
         return table.groupBy("chunk").applyInArrow(lambda left: work(left, None), schema)
-    both = None
-    for r, df in answers.items():
-        df = df.withColumn("round", F.lit(r))
-        both = df if both is None else both.unionByName(df)
-    return table.groupBy("chunk").cogroup(both.groupBy("chunk")).applyInArrow(work, schema)
-
-
-def _result_empty() -> pa.Table:
-    long, lists = pa.int64(), pa.list_(pa.int64())
-    return pa.table({"doc_id": pa.array([], long), "row": pa.array([], long), "n_bytes": pa.array([], long), "n_removed": pa.array([], long), "n_spans": pa.array([], long), "span_starts": pa.array([], lists), "span_ends": pa.array([], lists), "kept": pa.array([], pa.binary())})
+    return table.groupBy("chunk").cogroup(answers.groupBy("chunk")).applyInArrow(work, schema)
 
 
 def brute_force(rows: list[tuple[int, bytes]], length: int = 50) -> dict[int, tuple[int, int, int, bytes]]:

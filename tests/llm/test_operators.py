@@ -54,6 +54,25 @@ def test_suffix_dedup(spark, docs):
     assert suffix_dedup.repeated_passages(empty(spark)).count() == 0
 
 
+@pytest.mark.parametrize("length", [23, 50, 100])
+def test_suffix_dedup_edges_of_passages(spark, length):
+    """Passages of about the threshold, cut and overlapping anywhere, runs of one letter and long periods, few letters."""
+    rng = random.Random(length)
+    letters = lambda n, some: "".join(rng.choices(some, k=n))
+    pool = [letters(rng.randint(length - 3, 3 * length), "abcdefghij ") for _ in range(12)] + ["a" * 3 * length, "xyz" * 2 * length, letters(length + 1, "ab"), letters(4 * length, "ab")]
+    rows = []
+    for i in range(150):
+        text = ""
+        for _ in range(rng.randint(0, 4)):
+            one = rng.choice(pool)
+            k = rng.randint(0, 12)
+            text += letters(rng.randint(0, 60), "abcdefghij ") + one[k : len(one) - rng.randint(0, 12)]
+        rows.append((i, text))
+    got = suffix_dedup.repeated_passages(spark.createDataFrame(rows, "doc_id long, text string"), length=length).collect()
+    want = suffix_dedup.brute_force([(i, t.encode()) for i, t in rows], length)
+    assert {r["doc_id"]: (r["n_bytes"], r["n_removed"], r["n_spans"], bytes(r["kept"])) for r in got} == want
+
+
 def test_simhash(spark, docs):
     rng = random.Random(1)
     base = prose(rng, 300).split()
