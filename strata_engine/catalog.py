@@ -16,6 +16,7 @@ from .operators import cluster, core, diverse
 from .operators import greedy as G
 from .operators import relational as R
 from .oracles import SQL
+from .sources import io
 from .sources.io import TABLES, load
 from .streaming import drift
 
@@ -56,13 +57,9 @@ def _domain_strata(spark, d) -> DataFrame:
 
 
 def _domain_draws(spark, d, iters=20, uniform=False) -> DataFrame:
-    s = _domain_strata(spark, d)
-    out = None
-    for seed, dom in ((42, "s"), (43, "t")):
-        one = s.filter(F.col("domain") == dom).drop("domain")
-        part = (core.draw_uniform(one, K, iters, seed) if uniform else core.draw_strata(one, iters, seed)).select("iter", "id", "weight").withColumn("domain", F.lit(dom))
-        out = part if out is None else out.unionByName(part)
-    return out
+    s, seeds = _domain_strata(spark, d), {"s": 42, "t": 43}
+    out = core.draw_uniform(s, K, iters, seeds, ("domain",)) if uniform else core.draw_strata(s, iters, seeds, 1, ("domain",))
+    return out.select("iter", "id", "weight", "domain")
 
 
 def entry(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -117,13 +114,9 @@ def cad_exact(spark, d):
 
 
 def _line_draws(spark, d, iters=20):
-    ff = frames.lineitem(spark, d)
+    ff = io.staged(frames.lineitem(spark, d).select("id", "z", "domain"))
     s = ff.select("id", "domain", F.pmod("id", F.lit(K)).cast("int").alias("stratum"))
-    out = None
-    for seed, dom in ((42, "s"), (43, "t")):
-        part = core.draw_strata(s.filter(F.col("domain") == dom).drop("domain"), iters, seed).select("iter", "id", "weight").withColumn("domain", F.lit(dom))
-        out = part if out is None else out.unionByName(part)
-    return ff, out
+    return ff, core.draw_strata(s, iters, {"s": 42, "t": 43}, 1, ("domain",)).select("iter", "id", "weight", "domain")
 
 
 def _line_cov(spark, d, known=False):
@@ -291,7 +284,7 @@ def _line_first(ff):
 @query
 def kmeans_features(spark, d):
     """Linear strata of all line items: two rounds from the rows of smallest ids."""
-    ff = frames.lineitem(spark, d, "null")
+    ff = io.staged(frames.lineitem(spark, d, "null").select("id", "z"))
     return cluster.nearest_rounds(ff, _line_first(ff), 2)
 
 
@@ -314,7 +307,8 @@ def kernel_kmeans(spark, d):
 
 @query
 def strata_by_label(spark, d):
-    return _emb(spark, d).select(F.col("id").alias("vec_id"), F.col("y").alias("stratum"), F.ntile(K).over(Window.orderBy("id")).cast("int").alias("equal_count"))
+    ff = _emb(spark, d)
+    return ff.select("id", "y").join(core.equal_count(ff, K), "id").select(F.col("id").alias("vec_id"), F.col("y").alias("stratum"), F.col("stratum").alias("equal_count"))
 
 
 @query
@@ -414,7 +408,7 @@ def variance_gain(spark, d):
 @query
 def mean_variance_mc(spark, d):
     """Mean squared distance of drawn to population means of all line items under the linear kernel."""
-    ff = frames.lineitem(spark, d, "null")
+    ff = io.staged(frames.lineitem(spark, d, "null").select("id", "z"))
     s = ff.select("id", F.pmod("id", F.lit(K)).cast("int").alias("stratum"))
     mu = ff.agg(*[F.avg(F.col("z")[i]).alias(f"m{i}") for i in range(4)]).first()
     g = core.fetch(core.draw_strata(s, 50), ff).groupBy("iter").agg(*[F.sum(F.col("weight") * F.col("z")[i]).alias(f"x{i}") for i in range(4)])

@@ -6,6 +6,7 @@ rows is assigned greedily with its own sizes, and sums of features come back, on
 
 from __future__ import annotations
 
+import uuid
 from collections.abc import Iterable, Iterator
 from dataclasses import dataclass
 
@@ -16,6 +17,7 @@ from pyspark.sql import functions as F
 
 from ..functions import exprs as E
 from ..functions.kernels import Kernel, Linear
+from ..sources import io
 from . import greedy as G
 from .core import EXACT_ROWS, Small, _rows
 
@@ -123,7 +125,10 @@ def stratify(z: np.ndarray, kernel: Kernel, k: int, ids: np.ndarray | None = Non
 
 
 def stratify_frame(ff: DataFrame, kernel: Kernel, k: int, fmap=None, **options) -> DataFrame:
-    """(domain, id, stratum), each domain by itself. Exact for bounded domains; with ``fmap`` the mapped path is taken."""
+    """(domain, id, stratum), each domain by itself. Exact for bounded domains; with ``fmap`` the mapped path is taken.
+
+    An empty frame gives no rows, a domain of up to k rows a stratum for each, a null vector an error.
+    """
     spark = ff.sparkSession
     if fmap is not None:
         return stratify_mapped(ff, fmap, k, **options)
@@ -133,7 +138,7 @@ def stratify_frame(ff: DataFrame, kernel: Kernel, k: int, fmap=None, **options)
         at = small.extra["domain"] == dom
         found = stratify(small.z[at], kernel, k, small.ids[at], **options)
         parts.append(pa.table({"domain": pa.array([dom] * int(at.sum())), "id": pa.array(small.ids[at]), "stratum": pa.array(found.strata, pa.int32())}))
-    return spark.createDataFrame(pa.concat_tables(parts))
+    return spark.createDataFrame(pa.concat_tables(parts)) if parts else spark.createDataFrame([], "domain string, id long, stratum int")
 
 
 def seed_parallel(ff: DataFrame, fmap, k: int, rounds: int = 5, oversample: int | None = None, seed: int = 42) -> tuple[np.ndarray, np.ndarray]:
@@ -224,23 +229,36 @@ def stratify_mapped(ff: DataFrame, fmap, k: int, rounds: int = 5, buckets: int |
 
     Seeds come from a bounded sample (documented: ``sample`` rows of smallest uniforms), or from all rows with
     ``seeding="parallel"``. Rows are dealt into hash buckets; a bucket must fit a Python worker, so that by default there
-    are as many as keep its vectors within about 64 MB, and 64 at least.
+    are as many as keep its vectors within about 64 MB, and 64 at least. They are written once, bucketed, so that rounds
+    read and don't shuffle them. An empty frame gives no rows; a null vector raises.
     """
+    spark = ff.sparkSession
     whole = ff.agg(F.count("*").alias("n"), F.max(F.size("z")).alias("d")).first()
     total = whole["n"]
     buckets = buckets or max(64, -(-total * (whole["d"] or 1) * 8 // (64 << 20)))
     b = F.pmod(E.hash_bits(seed, "bucket", F.col("id")), F.lit(buckets)).cast("int")
-    dealt = ff.select("id", "z", "domain", b.alias("b"))
-    if seeding == "parallel":
-        domains = sorted(r["domain"] for r in ff.select("domain").distinct().collect())
-        centres = {dom: seed_parallel(ff.filter(F.col("domain") == dom), fmap, k, seed=seed)[1] for dom in domains}
-    else:
-        centres = _sampled_seeds(dealt, fmap, k, seed, sample, total)
-    best, best_value = (centres, 0), np.inf
+    files = min(buckets, 100_000)
+    table, path = f"strata_dealt_{uuid.uuid4().hex}", io.new_path(spark, "dealt")
+    io.write_bucketed(ff.select("id", "z", "domain", b.alias("b")).repartition(files, "b"), table, path, files, "b")
+    try:
+        dealt = spark.table(table)
+        if seeding == "parallel":
+            domains = sorted(r["domain"] for r in dealt.select("domain").distinct().collect())
+            centres = {dom: seed_parallel(dealt.filter(F.col("domain") == dom), fmap, k, seed=seed)[1] for dom in domains}
+        else:
+            centres = _sampled_seeds(dealt, fmap, k, seed, sample, total)
+        return _lloyd(dealt, fmap, k, rounds, parallel, seed, weighted, trials, centres)
+    finally:
+        spark.sql(f"DROP TABLE IF EXISTS {table}")
+        io.remove(spark, path)
+
+
+def _lloyd(dealt: DataFrame, fmap, k: int, rounds: int, parallel: int, seed: int, weighted: bool, trials: int, centres: dict[str, np.ndarray]) -> DataFrame:
+    """The rounds over a table that is bucketed by ``b``: no round moves a vector."""
 
     def pick(t: pa.Table, centres, it: int):
         t = t.sort_by("id")
-        f = fmap(np.array(t["z"].to_pylist(), dtype=float))
+        f = fmap(_rows(t))
         c = centres[t["domain"][0].as_py()]
         d = np.maximum((f * f).sum(1)[:, None] - 2 * f @ c.T + (c * c).sum(1), 0)
         return t, f, d, _cheapest(d, trials, parallel, seed + it) if weighted else G.nearest(d)
@@ -254,6 +272,7 @@ def stratify_mapped(ff: DataFrame, fmap, k: int, rounds: int = 5, buckets: int |
 
         return sums
 
+    best, best_value = (centres, 0), np.inf
     for it in range(rounds):
         now = dict(centres)
         got = dealt.groupBy("domain", "b").applyInArrow(summing(now, it), "domain string, i long, v double").groupBy("domain", "i").agg(F.sum("v").alias("v")).collect()
@@ -274,7 +293,7 @@ def stratify_mapped(ff: DataFrame, fmap, k: int, rounds: int = 5, buckets: int |
         t, _, _, s = pick(t, *best)
         return pa.table({"domain": t["domain"], "id": t["id"], "stratum": pa.array(s, pa.int32())})
 
-    return dealt.groupBy("domain", "b").applyInArrow(final, "domain string, id long, stratum int")
+    return io.staged(dealt.groupBy("domain", "b").applyInArrow(final, "domain string, id long, stratum int"), "strata")
 
 
 def nearest_rounds(ff: DataFrame, centres: np.ndarray, rounds: int) -> DataFrame:
@@ -292,13 +311,3 @@ def nearest_rounds(ff: DataFrame, centres: np.ndarray, rounds: int) -> DataFrame
 def _nearest(ff: DataFrame, centres: np.ndarray) -> DataFrame:
     cells = F.array(*[F.round(E.sqdist("z", F.array(*[F.lit(float(v)) for v in c])), 9) for c in centres])
     return ff.withColumn("dist", cells).withColumn("stratum", (F.array_position("dist", F.array_min("dist")) - 1).cast("int"))
-
-
-def sketch_rows(ff: DataFrame, fmap) -> DataFrame:
-    """(id, f): mapped rows, for callers that store them once."""
-    def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for b in batches:
-            if len(b):
-                yield pa.RecordBatch.from_arrays([b.column(0), pa.array(list(fmap(_rows(b))), pa.list_(pa.float64()))], names=["id", "f"])
-
-    return ff.select("id", "z").mapInArrow(work, "id long, f array<double>")

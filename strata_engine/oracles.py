@@ -125,7 +125,7 @@ SQL["draw_strata"] = f"{G8}{SIZES} {DS}"
 SQL["draw_overlap"] = f"{G8}{SIZES} select vec_id from ({DU}) intersect select vec_id from ({DS})"
 SQL["draw_except"] = f"{G8}{SIZES} select vec_id from ({DU}) except all select vec_id from ({DS})"
 SQL["draw_alloc"] = f"{G8}{SIZES}, a as (select *, greatest(1, floor(32 * n_h / n))::int as q from sizes) select i::int as iter, stratum, id as vec_id, {r('n_h / n / q')} as weight from range(0, 10) x(i), range(0, 32) y(c), a join places using (stratum) where c < q and pos = floor({u('alloc', 'i', 'stratum', 'c')} * n_h)"
-SQL["draw_weighted"] = f"with w as (select c_custkey as id, greatest(c_acctbal, 0) as w from customer), t as (select sum(w) as s, count(*) as n from w), k as (select i, c, arg_min((id, w), (-ln(1 - {u('race', 'i', 'c', 'id')}) / w, id)) as x from w, range(0, 5) a(i), range(0, 4) b(c) where w > 0 group by i, c) select i::int as iter, c::int as c, x[1] as c_custkey, {r('s / (4 * n * x[2])')} as weight from k, t"
+SQL["draw_weighted"] = f"with w as (select c_custkey as id, greatest(c_acctbal, 0) as w from customer), t as (select sum(w) as s, count(*) as n from w), run as (select id, w, sum(w) over (order by id) as hi from w where w > 0), st as (select *, coalesce(lag(hi) over (order by id), 0) as lo from run), slot as (select i, c, {u('weighted', 'i', 'c')} * s as x, s, n from range(0, 5) a(i), range(0, 4) b(c), t) select i::int as iter, c::int as c, id as c_custkey, {r('s / (4 * n * w)')} as weight from slot join st on lo <= x and x < hi"
 _sc = ", prs as (select a.stratum, sum(exp(-0.5 * list_distance(a.z, b.z) ** 2)) as k from (select * from strata join emb using (id)) a join (select * from strata join emb using (id)) b using (stratum) group by 1), sc as (select stratum, n_h, n, greatest(n_h - k / n_h, 0) as scatter from prs join sizes using (stratum))"
 SQL["strata_objective"] = f"{G8}{SIZES}{_sc} select stratum, n_h, {r('scatter')} as scatter, {r('n_h * scatter')} as weighted from sc"
 SQL["mean_variance"] = f"{G8}{SIZES}{_sc} select 'swks_greedy' as method, {r('1000 * sum(n_h * scatter) / max(n) ** 2')} as variance from sc"

@@ -1,6 +1,7 @@
 """Every catalogued query with SQL against DuckDB on whole tables, and the stream plans against their batches."""
 
 import os
+from collections import Counter
 
 import duckdb
 import numpy as np
@@ -62,11 +63,17 @@ def test_expected_plugin_and_weights(spark):
     assert moved[0] < moved[1] < moved[2]
 
 
-def test_positions_at_scale_match(spark):
-    s = frames.embeddings(spark, DIR).select("id", F.pmod("id", F.lit(5)).cast("int").alias("stratum"))
-    a = core.positions_at_scale(s, 7)
-    assert a.count() == s.count()
-    assert a.groupBy("stratum").agg((F.max("pos") + 1 == F.count("*")).alias("ok"), (F.countDistinct("pos") == F.count("*")).alias("one")).filter("not ok or not one").isEmpty()
+def test_ranges_of_ids_give_the_same_places(spark):
+    ff = frames.embeddings(spark, DIR)
+    s = ff.select("id", F.pmod("id", F.lit(5)).cast("int").alias("stratum"))
+    want = {tuple(r) for r in core.positions(s).collect()}
+    assert {tuple(r) for r in core.positions(s, part_rows=60).collect()} == want and len(want) == 500
+    runs = {tuple(r) for r in core.equal_count(ff, 7).collect()}
+    assert {tuple(r) for r in core.equal_count(ff, 7, 60).collect()} == runs
+    assert sorted(Counter(x for _, x in runs).items()) == [(i + 1, 72 if i < 3 else 71) for i in range(7)]
+    w = ff.select("id", (F.col("id") % 4).cast("double").alias("w"))
+    big = {tuple(r) for r in core.draw_weighted(w, "w", 3, 40).collect()}
+    assert len(big) == 120 and {tuple(r) for r in core.draw_weighted(w, "w", 3, 40, part_rows=60, small=0).collect()} == big
 
 
 def test_bad_vectors_raise(spark):
