@@ -252,7 +252,14 @@ def assign_relaxed(spark, d):
 
 @query
 def stratify_med(spark, d):
-    return cluster.stratify_frame(_emb(spark, d), MIXTURE, K, trials=100, parallel=10, max_iter=5).select("domain", F.col("id").alias("vec_id"), "stratum")
+    return cluster.stratify_frame(_emb(spark, d), MIXTURE, K, trials=100, parallel=10, max_iter=5, portable=True).select("domain", F.col("id").alias("vec_id"), "stratum")
+
+
+@query
+def stratify_cad_exact(spark, d):
+    """Covariance strata of embeddings: the quadratic kernel about each domain's mean."""
+    about_mean = lambda z: Quadratic(tuple(z.mean(0)))
+    return cluster.stratify_frame(_emb(spark, d), about_mean, K, trials=100, parallel=10, max_iter=5, portable=True).select("domain", F.col("id").alias("vec_id"), "stratum")
 
 
 @query
@@ -345,7 +352,7 @@ def draw_weighted(spark, d):
 
 @query
 def draw_seeding(spark, d):
-    return diverse.draws(_emb(spark, d), MIXTURE, K, 20, "seeding")
+    return diverse.draws(_emb(spark, d), MIXTURE, K, 20, "seeding").select("iter", F.col("id").alias("vec_id"), "weight")
 
 
 @query
@@ -366,7 +373,21 @@ def draw_kmeans_inputs(spark, d):
 @query
 def draw_swks(spark, d):
     s = stratify_med(spark, d).filter("domain = 's'").select(F.col("vec_id").alias("id"), "stratum")
-    return core.draw_strata(s, 20)
+    return core.draw_strata(s, 20).select("iter", "stratum", F.col("id").alias("vec_id"), E.r6("weight").alias("weight"))
+
+
+@query
+def draw_distinct(spark, d):
+    """Uniform minibatches without replacement."""
+    return core.draw_distinct(_emb(spark, d), K, 20).select("iter", F.col("id").alias("vec_id"), "weight")
+
+
+@query
+def draw_alloc_deviation(spark, d):
+    """Draws shared out by size times the deviation of a stratum's first component."""
+    ff, s = _emb(spark, d), _strata(spark, d)
+    sd = ff.select("id", F.col("z")[0].alias("x")).join(s, "id").groupBy("stratum").agg(F.round(F.stddev_pop("x"), 9).alias("sd"))
+    return core.draw_allocated(s, 32, 10, deviation=sd).select("iter", "stratum", F.col("id").alias("vec_id"), E.r6("weight").alias("weight"))
 
 
 # ---- measures --------------------------------------------------------------------------------------------------------

@@ -7,7 +7,7 @@ rows is assigned greedily with its own sizes, and sums of features come back, on
 from __future__ import annotations
 
 import uuid
-from collections.abc import Iterable, Iterator
+from collections.abc import Callable, Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
@@ -29,7 +29,7 @@ def u01(*parts) -> float:
     return int(hashlib.md5("|".join(map(str, parts)).encode()).hexdigest()[:13], 16) / float(1 << 52)
 
 
-def seed_kpp(z: np.ndarray, ids: np.ndarray, kernel: Kernel, k: int, seed: int = 42) -> np.ndarray:
+def seed_kpp(z: np.ndarray, ids: np.ndarray, kernel: Kernel, k: int, seed: int | str = 42) -> np.ndarray:
     """Indexes of k seeds: the first by least uniform, each further one by an exponential race on squared image distances."""
     if len(np.unique(z, axis=0)) < k:
         raise ValueError(f"fewer distinct rows than {k} strata")
@@ -83,10 +83,16 @@ def uniform_variance(gram: np.ndarray, k: int, replace: bool = True) -> float:
     return float(v if replace else v * (n - k) / max(n - 1, 1))
 
 
-def stratify(z: np.ndarray, kernel: Kernel, k: int, ids: np.ndarray | None = None, weighted: bool = True, trials: int = 100, parallel: int = 10, max_iter: int = 20, patience: int = 4, seed: int = 42, start: np.ndarray | None = None, polish: bool = False) -> Strata:
+def portable_orders(ids: np.ndarray, trials: int, seed: int, it: int) -> list[np.ndarray]:
+    """Shuffled orders of a round's trials by portable uniforms, which SQL can replay."""
+    return [np.lexsort((ids, [u01(seed, "perm", it, t, i) for i in ids])) for t in range(trials)]
+
+
+def stratify(z: np.ndarray, kernel: Kernel, k: int, ids: np.ndarray | None = None, weighted: bool = True, trials: int = 100, parallel: int = 10, max_iter: int = 20, patience: int = 4, seed: int = 42, start: np.ndarray | None = None, polish: bool = False, portable: bool = False) -> Strata:
     """Alternate image distances and (size-weighted or nearest) assignment, keeping the best round.
 
-    An empty stratum takes the row with the largest weighted distance. ``k`` of at least n gives singletons.
+    An empty stratum takes the row with the largest weighted distance. ``k`` of at least n gives singletons. ``portable``
+    takes the trials' orders from portable uniforms keyed by id.
     """
     n = len(z)
     ids = np.arange(n) if ids is None else ids
@@ -97,7 +103,8 @@ def stratify(z: np.ndarray, kernel: Kernel, k: int, ids: np.ndarray | None = Non
     d = np.maximum(np.diag(gram)[:, None] + np.diag(gram)[picked] - 2 * gram[:, picked], 0)
     best, best_v, history, bad, reseeded, now = None, np.inf, [], 0, 0, None
     for it in range(max_iter):
-        new = G.best_of(d, trials, parallel, seed + it)[0] if weighted and (trials > 1 or parallel > 1) else G.greedy(d) if weighted else G.nearest(d)
+        orders = portable_orders(ids, trials, seed, it) if portable and weighted else None
+        new = G.best_of(d, trials, parallel, seed + it, orders=orders)[0] if weighted and (trials > 1 or parallel > 1) else G.greedy(d) if weighted else G.nearest(d)
         counts = np.bincount(new, minlength=k)
         for h in np.flatnonzero(counts == 0):
             cost = d[np.arange(n), new] * counts[new]
@@ -124,9 +131,10 @@ def stratify(z: np.ndarray, kernel: Kernel, k: int, ids: np.ndarray | None = Non
     return Strata(best, best_v, len(history), history, reseeded)
 
 
-def stratify_frame(ff: DataFrame, kernel: Kernel, k: int, fmap=None, **options) -> DataFrame:
+def stratify_frame(ff: DataFrame, kernel: Kernel | Callable[[np.ndarray], Kernel], k: int, fmap=None, **options) -> DataFrame:
     """(domain, id, stratum), each domain by itself. Exact for bounded domains; with ``fmap`` the mapped path is taken.
 
+    ``kernel`` may also be a function that makes one of a domain's rows, such as the quadratic one about their mean.
     An empty frame gives no rows, a domain of up to k rows a stratum for each, a null vector an error.
     """
     spark = ff.sparkSession
@@ -136,7 +144,7 @@ def stratify_frame(ff: DataFrame, kernel: Kernel, k: int, fmap=None, **options)
     parts = []
     for dom in sorted(set(small.extra["domain"].tolist())):
         at = small.extra["domain"] == dom
-        found = stratify(small.z[at], kernel, k, small.ids[at], **options)
+        found = stratify(small.z[at], kernel if isinstance(kernel, Kernel) else kernel(small.z[at]), k, small.ids[at], **options)
         parts.append(pa.table({"domain": pa.array([dom] * int(at.sum())), "id": pa.array(small.ids[at]), "stratum": pa.array(found.strata, pa.int32())}))
     return spark.createDataFrame(pa.concat_tables(parts)) if parts else spark.createDataFrame([], "domain string, id long, stratum int")
 

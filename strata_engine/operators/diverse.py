@@ -56,7 +56,7 @@ def draws(ff: DataFrame, kernel: Kernel, k: int, iters: int, how: str, seed: int
         for b in batches:
             its, out = [], []
             for it in b.column(0).to_pylist():
-                at = seed_kpp(z, ids, kernel, k, hash((seed, it)) & 0x7FFFFFFF) if how == "seeding" else dpp_sample(*eig, k, np.random.default_rng([seed, it]))
+                at = seed_kpp(z, ids, kernel, k, f"{seed}:{it}") if how == "seeding" else dpp_sample(*eig, k, np.random.default_rng([seed, it]))
                 its += [it] * len(at)
                 out += ids[at].tolist()
             yield pa.RecordBatch.from_arrays([pa.array(its, pa.int64()), pa.array(out, pa.int64()), pa.array([1.0 / k] * len(out), pa.float64())], names=["iter", "id", "weight"])

@@ -65,6 +65,54 @@ SQL["seed_kpp"] = f"""with recursive {EMB}, s(r, id, near) as (select 0, (select
 union all select r + 1, pick, near2 from (select s.r, n.near2, (select arg_min(e.id, (-ln(1 - {u('seed', 's.r + 1', 'e.id')}) / n.near2[e.id], e.id)) from emb e where n.near2[e.id] > 1e-12) as pick
 from s, lateral (select map(list(e.id order by e.id), list(least(s.near[e.id], 2 - 2 * exp(-0.5 * list_distance(e.z, c.z) ** 2)) order by e.id)) as near2 from emb e, (select z from emb where id = s.id) c) n) where r < 7)
 select r::int as r, id as vec_id from s"""
+
+
+def seeding(key: str, seed: str, members: str, on: str) -> str:
+    """Seeds by races on squared image distances from ``gram``, for every ``key`` at once."""
+    race = u("seed", "s.r + 1", "e.id", seed="@").replace("'@'", seed)
+    first = u("seed", "'0'", "id", seed="@").replace("'@'", seed.replace("s.", ""))
+    return f"""sk({key}, r, id, near) as (select {key}, 0, arg_min(id, ({first}, id)), map(list(id order by id), list(1e308::double order by id)) from {members} group by {key}
+union all select {key}, r + 1, pick, near2 from (select s.{key}, s.r, n.near2, (select arg_min(e.id, (-ln(1 - {race}) / n.near2[e.id], e.id)) from {members} e where e.{key} = s.{key} and n.near2[e.id] > 1e-12) as pick
+from sk s, lateral (select map(list(g.i order by g.i), list(least(s.near[g.i], greatest(g.ki + g.kj - 2 * g.k, 0)) order by g.i)) as near2 from gram g where g.j = s.id{on}) n) where r < 7)"""
+
+
+def alternation(rounds: int = 5, trials: int = 100) -> str:
+    """Strata of every domain by rounds of image distances and the cheapest of shuffled passes, ten rows at a time; the best round."""
+    cost = "dd[i] * (p.sizes[i] + 1)"
+    out = [seeding("domain", "42", "emb", ""), "d0 as materialized (select g.domain, g.i as id, list(greatest(g.ki + g.kj - 2 * g.k, 0) order by s.r) as d from gram g join sk s on s.domain = g.domain and s.id = g.j group by 1, 2)"]
+    for x in range(rounds):
+        n = x + 1
+        out += [
+            f"blk{n} as materialized (select domain, t, (r - 1) // 10 as b, list(id order by r) as ids, list(d order by r) as ds from (select domain, t, id, d, row_number() over (partition by domain, t order by {u('perm', f'{chr(39)}{x}{chr(39)}', 't', 'id')}, id) as r from d{x}, range(0, {trials}) y(t)) group by 1, 2, 3)",
+            f"""p{n}(domain, t, b, ids, picks, sizes) as (select distinct domain, t, -1::bigint, []::bigint[], []::bigint[], [0,0,0,0,0,0,0,0]::bigint[] from blk{n}
+union all select domain, t, b, ids, picks, list_transform(range(1, 9), lambda i: sizes[i] + len(list_filter(picks, lambda x: x = i))) from (
+select k.domain, k.t, k.b, k.ids, p.sizes, list_transform(k.ds, lambda dd: list_position(list_transform(range(1, 9), lambda i: {cost}), list_min(list_transform(range(1, 9), lambda i: {cost})))) as picks from p{n} p join blk{n} k on k.domain = p.domain and k.t = p.t and k.b = p.b + 1))""",
+            f"flat{n} as materialized (select domain, t, unnest(ids) as id, unnest(picks) as h from p{n} where b >= 0)",
+            f"best{n} as materialized (select domain, arg_min(t, (c, t)) as t from (select domain, t, sum(n * s) as c from (select f.domain, f.t, f.h, count(*) as n, sum(d[f.h]) as s from flat{n} f join d{x} on d{x}.domain = f.domain and d{x}.id = f.id group by 1, 2, 3) group by 1, 2) group by 1)",
+            f"a{n} as materialized (select f.domain, f.id, f.h from flat{n} f join best{n} b on b.domain = f.domain and b.t = f.t)",
+            f"s{n} as materialized (select g.domain, g.i, max(g.ki) as ki, a.h, sum(g.k) as s, count(*) as n from gram g join a{n} a on a.domain = g.domain and a.id = g.j group by g.domain, g.i, a.h)",
+            f"w{n} as materialized (select s.domain, s.h, sum(s.s) as inner_sum, sum(s.ki) as diag, max(s.n) as n from s{n} s join a{n} a on a.domain = s.domain and a.id = s.i and a.h = s.h group by 1, 2)",
+            f"d{n} as materialized (select s.domain, s.i as id, list(greatest(s.ki - 2 * s.s / s.n + w.inner_sum / (w.n * w.n), 0) order by s.h) as d from s{n} s join w{n} w on w.domain = s.domain and w.h = s.h group by 1, 2)",
+            f"v{n} as materialized (select domain, {n} as it, sum(n * (diag - inner_sum / n)) / sum(n) ** 2 as v from w{n} group by 1)",
+        ]
+    every = " union all ".join(f"select * from v{n}" for n in range(1, rounds + 1))
+    same = " union all ".join(f"select x.domain, {n} as it, bool_and(x.h = y.h) as same from a{n} x join a{n - 1} y on x.domain = y.domain and x.id = y.id group by 1" for n in range(2, rounds + 1))
+    out += [f"alike as ({same})", f"vs as (select v.* from ({every}) v where not exists (select 1 from alike where alike.domain = v.domain and alike.same and alike.it < v.it))", "won as materialized (select domain, arg_min(it, (round(v, 14), it)) as it from vs group by 1)"]
+    out.append("found as materialized (select a.domain, a.id, (a.h - 1)::int as stratum from (" + " union all ".join(f"select {n} as it, * from a{n}" for n in range(1, rounds + 1)) + ") a join won on won.domain = a.domain and won.it = a.it)")
+    return ", ".join(out)
+
+
+GRAM_MIX = "gram as materialized (select a.domain, a.id as i, b.id as j, list_sum(list_transform([0.001, 0.01, 0.1, 1.0, 10.0], lambda g: exp(-g * list_distance(a.z, b.z) ** 2))) as k, 5.0 as ki, 5.0 as kj from emb a join emb b on a.domain = b.domain)"
+GRAM_QUAD = """mu as materialized (select domain, list(m order by i) as m from (select domain, i, avg(z[i]) as m from emb, range(1, 65) t(i) group by 1, 2) group by 1),
+cen as materialized (select e.id, e.domain, list_transform(range(1, 65), lambda i: e.z[i] - mu.m[i]) as c from emb e join mu on mu.domain = e.domain),
+gram as materialized (select a.domain, a.id as i, b.id as j, list_inner_product(a.c, b.c) ** 2 as k, list_inner_product(a.c, a.c) ** 2 as ki, list_inner_product(b.c, b.c) ** 2 as kj from cen a join cen b on a.domain = b.domain)"""
+SQL["stratify_med"] = f"with recursive {EMB}, {GRAM_MIX}, {alternation()} select domain, id as vec_id, stratum from found"
+SQL["stratify_cad_exact"] = f"with recursive {EMB}, {GRAM_QUAD}, {alternation()} select domain, id as vec_id, stratum from found"
+SQL["draw_swks"] = f"with recursive {EMB}, {GRAM_MIX}, {alternation()}, strata as (select id, stratum from found where domain = 's'){{SIZES}} select i::int as iter, stratum, id as vec_id, {r('n_h / n')} as weight from range(0, 20) x(i), sizes join places using (stratum) where pos = floor({u('draw', 'i', 'stratum', chr(39) + '0' + chr(39))} * n_h)".replace("{SIZES}", SIZES)
+SQL["draw_seeding"] = f"with recursive {EMB}, {GRAM_MIX.replace(' from emb a join emb b on a.domain = b.domain', ' from emb a, emb b')}, many as materialized (select it, id from emb, range(0, 20) x(it)), " + seeding("it", "concat('42:', s.it)", "many", "") + " select it as iter, id as vec_id, 0.125::double as weight from sk"
+SQL["draw_distinct"] = f"""with recursive {EMB}, n as (select count(*) as n from emb), f(i, c, s) as (select i, 0, []::bigint[] from range(0, 20) x(i)
+union all select i, c + 1, list_append(s, case when list_contains(s, p) then l else p end) from (select f.i, f.c, f.s, n.n - 8 + f.c as l, floor({u('distinct', 'f.i', 'f.c')} * (n.n - 8 + f.c + 1))::bigint as p from f, n) where c < 8)
+select f.i::int as iter, e.id as vec_id, 0.125::double as weight from (select i, unnest(s) as pos from f where c = 8) f join (select id, row_number() over (order by id) - 1 as pos from emb) e using (pos)"""
 ALL_PAIRS = "pairs as materialized (select a.domain as da, b.domain as db, avg(list_sum(list_transform([0.001, 0.01, 0.1, 1.0, 10.0], lambda g: exp(-g * list_distance(a.z, b.z) ** 2)))) as m from emb a, emb b group by 1, 2)"
 SQL["med_exact"] = f"with {EMB}, {ALL_PAIRS} select (select count(*) from emb where domain = 's') as n_s, (select count(*) from emb where domain = 't') as n_t, {r('sum(case when da = db then m else -m end)')} as med from pairs"
 DOM = EMB + ", strata as (select id, domain, (id % 8)::int as stratum, row_number() over (partition by domain, id % 8 order by id) - 1 as pos, count(*) over (partition by domain, id % 8) as n_h, count(*) over (partition by domain) as n from emb)"
@@ -125,6 +173,7 @@ SQL["draw_strata"] = f"{G8}{SIZES} {DS}"
 SQL["draw_overlap"] = f"{G8}{SIZES} select vec_id from ({DU}) intersect select vec_id from ({DS})"
 SQL["draw_except"] = f"{G8}{SIZES} select vec_id from ({DU}) except all select vec_id from ({DS})"
 SQL["draw_alloc"] = f"{G8}{SIZES}, a as (select *, greatest(1, floor(32 * n_h / n))::int as q from sizes) select i::int as iter, stratum, id as vec_id, {r('n_h / n / q')} as weight from range(0, 10) x(i), range(0, 32) y(c), a join places using (stratum) where c < q and pos = floor({u('alloc', 'i', 'stratum', 'c')} * n_h)"
+SQL["draw_alloc_deviation"] = f"{G8}{SIZES}, sd as (select stratum, round(stddev_pop(z[1]), 9) as sd from strata join emb using (id) group by 1), a as (select s.*, greatest(1, floor(32 * n_h * sd / sum(n_h * sd) over ()))::int as q from sizes s join sd using (stratum)) select i::int as iter, stratum, id as vec_id, {r('n_h / n / q')} as weight from range(0, 10) x(i), range(0, 32) y(c), a join places using (stratum) where c < q and pos = floor({u('alloc', 'i', 'stratum', 'c')} * n_h)"
 SQL["draw_weighted"] = f"with w as (select c_custkey as id, greatest(c_acctbal, 0) as w from customer), t as (select sum(w) as s, count(*) as n from w), run as (select id, w, sum(w) over (order by id) as hi from w where w > 0), st as (select *, coalesce(lag(hi) over (order by id), 0) as lo from run), slot as (select i, c, {u('weighted', 'i', 'c')} * s as x, s, n from range(0, 5) a(i), range(0, 4) b(c), t) select i::int as iter, c::int as c, id as c_custkey, {r('s / (4 * n * w)')} as weight from slot join st on lo <= x and x < hi"
 _sc = ", prs as (select a.stratum, sum(exp(-0.5 * list_distance(a.z, b.z) ** 2)) as k from (select * from strata join emb using (id)) a join (select * from strata join emb using (id)) b using (stratum) group by 1), sc as (select stratum, n_h, n, greatest(n_h - k / n_h, 0) as scatter from prs join sizes using (stratum))"
 SQL["strata_objective"] = f"{G8}{SIZES}{_sc} select stratum, n_h, {r('scatter')} as scatter, {r('n_h * scatter')} as weighted from sc"
