@@ -360,6 +360,23 @@ def draw_dpp(spark, d):
     return diverse.draws(_emb(spark, d), MIXTURE, K, 20, "dpp")
 
 
+def _every_line(spark, d, how):
+    ff = frames.lineitem(spark, d, "null")
+    return diverse.draws_over_rows(ff, Quadratic((0.0,) * 4).feature_map, K, 10, how).select("iter", "id", E.r6("weight").alias("weight"))
+
+
+@query
+def draw_seeding_lines(spark, d):
+    """Squared-distance seeding anew in every minibatch, from all line items."""
+    return _every_line(spark, d, "seeding")
+
+
+@query
+def draw_dpp_lines(spark, d):
+    """Determinantal minibatches from all line items."""
+    return _every_line(spark, d, "dpp")
+
+
 @query
 def draw_kmeans_features(spark, d):
     return core.draw_strata(kmeans_features(spark, d), 20).select("iter", "stratum", "id", E.r6("weight").alias("weight"))

@@ -9,10 +9,10 @@ import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 
-from ..functions.kernels import MIXTURE, RBF, Linear, Quadratic
+from ..functions.kernels import MIXTURE, RBF, FourierMap, Linear, Quadratic
 from ..operators import greedy as G
 from ..operators.cluster import mean_variance, seed_kpp, stratify, uniform_variance
-from ..operators.diverse import dpp_sample
+from ..operators.diverse import EXACT_PAIRS, dpp_sample
 from .model import Adam, Net
 
 SAMPLERS = ("uniform", "seeding", "dpp", "kmeans_inputs", "kmeans_features", "swks")
@@ -21,8 +21,8 @@ SAMPLERS = ("uniform", "seeding", "dpp", "kmeans_inputs", "kmeans_features", "sw
 class Sampler:
     """Minibatches of one domain: rows and weights. Strata are rebuilt when told to."""
 
-    def __init__(self, name: str, k: int, loss: str, seed: int, trials: int = 100, parallel: int = 10, pool: int = 400):
-        self.name, self.k, self.loss, self.trials, self.parallel, self.pool = name, k, loss, trials, parallel, pool
+    def __init__(self, name: str, k: int, loss: str, seed: int, trials: int = 100, parallel: int = 10):
+        self.name, self.k, self.loss, self.trials, self.parallel = name, k, loss, trials, parallel
         self.rng, self.strata, self.seed, self.eig, self.objective = np.random.default_rng(seed), None, seed, None, None
 
     def rebuild(self, x: np.ndarray, z: np.ndarray) -> None:
@@ -34,10 +34,13 @@ class Sampler:
         elif self.name == "kmeans_features" or self.name == "kmeans_inputs" and self.strata is None:
             self.strata = stratify(z if self.name == "kmeans_features" else x, Linear(), k, weighted=False, max_iter=10, seed=self.seed, start=np.sort(self.rng.choice(n, k, replace=False))).strata
         elif self.name == "dpp":
-            self.at = np.sort(self.rng.choice(n, min(n, self.pool), replace=False))
-            self.eig = np.linalg.eigh(MIXTURE.block(z[self.at], z[self.at]))
-        elif self.name == "seeding":
-            self.at = np.sort(self.rng.choice(n, min(n, self.pool), replace=False))
+            if n <= EXACT_PAIRS:
+                self.eig = np.linalg.eigh(MIXTURE.block(z, z))
+            else:  # the kernel's finite map: its second moments have the same eigenvalues
+                f = FourierMap(MIXTURE, z.shape[1], 32)(z)
+                val, vec = np.linalg.eigh(f.T @ f)
+                keep = val > 1e-10 * val.max()
+                self.eig = val[keep], f @ (vec[:, keep] / np.sqrt(val[keep]))
         self.z = z
 
     def draw(self) -> tuple[np.ndarray, np.ndarray]:
@@ -45,15 +48,15 @@ class Sampler:
         if self.name == "uniform":
             return self.rng.integers(0, n, k), np.full(k, 1.0 / k)
         if self.name == "seeding":
-            z = self.z[self.at]
+            z = self.z
             near, got = np.full(len(z), np.inf), [int(self.rng.integers(len(z)))]
             for _ in range(k - 1):
                 near = np.minimum(near, ((z - z[got[-1]]) ** 2).sum(1))
                 s = near.sum()
                 got.append(int(self.rng.choice(len(z), p=near / s)) if s > 0 else int(self.rng.integers(len(z))))
-            return self.at[np.array(got)], np.full(k, 1.0 / k)
+            return np.array(got), np.full(k, 1.0 / k)
         if self.name == "dpp":
-            got = self.at[dpp_sample(*self.eig, min(k, len(self.at)), self.rng)]
+            got = dpp_sample(*self.eig, min(k, len(self.eig[0])), self.rng)
             return got, np.full(len(got), 1.0 / len(got))
         order = np.argsort(self.strata, kind="stable")
         sizes = np.bincount(self.strata, minlength=k)

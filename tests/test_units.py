@@ -7,7 +7,7 @@ from strata_engine.functions import theory as T
 from strata_engine.functions.kernels import MIXTURE, RBF, FourierMap, LandmarkMap, Linear, Quadratic, map_error
 from strata_engine.operators import cluster as C
 from strata_engine.operators import greedy as G
-from strata_engine.operators.diverse import bias_variance, dpp_sample
+from strata_engine.operators.diverse import bias_variance, dpp_sample, draws_over_rows
 from strata_engine.plans.choose import choose, explain_strata
 from strata_engine.train.model import METHODS, Net
 
@@ -129,6 +129,26 @@ def test_dpp_inclusion():
     assert b == pytest.approx(0, abs=1e-12) and v == pytest.approx(0, abs=1e-12)
 
 
+def test_draws_over_all_rows(spark):
+    """Through a finite map, whatever the partitions: inclusion as by determinants, one row of every far cluster."""
+    z = R.normal(size=(6, 2))
+    ff = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(z)], "id long, z array<double>")
+    from itertools import combinations
+
+    k = z @ z.T
+    sets = list(combinations(range(6), 2))
+    p = np.array([np.linalg.det(k[np.ix_(s, s)]) for s in sets])
+    want = np.array([sum(q for s, q in zip(sets, p / p.sum(), strict=True) if i in s) for i in range(6)])
+    rows = draws_over_rows(ff.repartition(3), lambda x: x, 2, 1500, "dpp", 7).collect()
+    assert len(rows) == 3000 and np.abs(np.bincount([r["id"] for r in rows], minlength=6) / 1500 - want).max() < 0.06
+    far = np.concatenate([R.normal(c, 0.01, (20, 2)) for c in ((0, 0), (50, 0), (0, 50))])
+    ff = spark.createDataFrame([(i, v.tolist()) for i, v in enumerate(far)], "id long, z array<double>")
+    one, two = ([tuple(r) for r in draws_over_rows(x, lambda x: x, 3, 30, "seeding").collect()] for x in (ff.coalesce(1), ff.repartition(4)))
+    assert one == two
+    assert np.mean([len({i // 20 for j, i, _ in one if j == it}) == 3 for it in range(30)]) > 0.9
+    assert draws_over_rows(spark.createDataFrame([], "id long, z array<double>"), lambda x: x, 3, 4, "seeding").count() == 0
+
+
 @pytest.mark.parametrize("method", METHODS)
 def test_gradients(method):
     xs, ys, ws, xt, wt, env = R.normal(size=(9, 5)), R.integers(0, 3, 9), R.dirichlet(np.ones(9)), R.normal(size=(7, 5)), R.dirichlet(np.ones(7)), R.integers(0, 2, 9)
