@@ -41,25 +41,23 @@ def pick_pairs(lam: np.ndarray, e: np.ndarray, rng: np.random.Generator) -> list
 
 
 def dpp_sample(eigval: np.ndarray, eigvec: np.ndarray, k: int, rng: np.random.Generator) -> np.ndarray:
-    """k rows of a determinantal process of fixed size, from its kernel's eigenpairs."""
+    """k rows of a determinantal process of fixed size, from its kernel's eigenpairs; no more than its rank, one at least."""
     lam = np.maximum(eigval, 0)
     lam = lam / max(lam.max(), 1e-300)  # the size is fixed, so a common scale doesn't matter
-    keep = pick_pairs(lam, symmetric_sums(lam, k), rng)
+    keep = pick_pairs(lam, symmetric_sums(lam, min(k, max(1, int((lam > 1e-10).sum())))), rng)
     v = eigvec[:, keep]
-    out = []
-    for _ in range(v.shape[1]):
-        p = np.maximum((v * v).sum(1), 0)
-        i = int(rng.choice(len(p), p=p / p.sum()))
+    left, c, out = (v * v).sum(1), np.zeros((len(keep), len(v))), []
+    for t in range(len(keep)):  # what the picked rows leave of every row's length in the subspace
+        i = int(rng.choice(len(left), p=left / left.sum()))
         out.append(i)
-        c = int(np.abs(v[i]).argmax())
-        v = np.delete(v - np.outer(v[:, c], v[i] / v[i, c]), c, axis=1)
-        if v.shape[1]:
-            v, _ = np.linalg.qr(v)
+        c[t] = (v @ v[i] - c[:t].T @ c[:t, i]) / left[i] ** 0.5
+        left = np.maximum(left - c[t] ** 2, 0)
+        left[i] = 0
     return np.sort(np.array(out))
 
 
 def draws(ff: DataFrame, kernel: Kernel, k: int, iters: int, how: str, seed: int = 42, freqs: int = 64) -> DataFrame:
-    """(iter, id, weight = 1/k) of iterations spread over tasks.
+    """(iter, id, weight = 1/k, or 1 by the draws of an iteration that has fewer) of iterations spread over tasks.
 
     ``how``: 'seeding' restarts the squared-distance race every iteration; 'dpp' draws from the rows' kernel. Neither
     is weighted, so the kernel mean of its draws is biased; measure that beside its variance. Beyond ``EXACT_PAIRS``
@@ -75,12 +73,13 @@ def draws(ff: DataFrame, kernel: Kernel, k: int, iters: int, how: str, seed: int
 
     def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            its, out = [], []
+            its, out, weights = [], [], []
             for it in b.column(0).to_pylist():
                 at = seed_kpp(z, ids, kernel, k, f"{seed}:{it}") if how == "seeding" else dpp_sample(*eig, k, np.random.default_rng([seed, it]))
                 its += [it] * len(at)
                 out += ids[at].tolist()
-            yield pa.RecordBatch.from_arrays([pa.array(its, pa.int64()), pa.array(out, pa.int64()), pa.array([1.0 / k] * len(out), pa.float64())], names=["iter", "id", "weight"])
+                weights += [1.0 / len(at)] * len(at)
+            yield pa.RecordBatch.from_arrays([pa.array(its, pa.int64()), pa.array(out, pa.int64()), pa.array(weights, pa.float64())], names=["iter", "id", "weight"])
 
     return spark.range(iters).mapInArrow(work, "iter long, id long, weight double")
 

@@ -248,5 +248,5 @@ SQL["stream_reservoir"] = f"select {_w.format('''date_trunc('day', ts)''')}, eve
 _f = ["ln(1 + value)", "sin(hour(ts) * (pi() / 12))", "cos(hour(ts) * (pi() / 12))"]
 _mom = ", ".join([*(f"avg(f{i}) as m{i}" for i in range(3)), *(f"covar_samp(f{i}, f{j}) as c{i}{j}" for i in range(3) for j in range(i, 3))])
 SQL["x16_drift"] = f"with f as (select ts, {', '.join(f'{x} as f{i}' for i, x in enumerate(_f))} from events), ref as (select {_mom} from f where ts < timestamp '2024-01-08'), g as (select date_trunc('day', ts) as w, count(*) as n, {_mom} from f group by 1) select {_w.format('g.w')}, g.n, {r(' + '.join(f'{1 if i == j else 2} * (g.c{i}{j} - ref.c{i}{j}) ** 2' for i in range(3) for j in range(i, 3)))} as cad, {r(' + '.join(f'(g.m{i} - ref.m{i}) ** 2' for i in range(3)))} as mean_shift from g, ref"
-SQL["splits"] = f"with {STAR} select 'star_regions' as dataset, env as target, count(*) as n from star group by env union all select 'document_languages', lang, count(*) from documents group by lang union all select 'line_flags', l_returnflag || l_linestatus, count(*) from lineitem group by 2"
+SQL["splits"] = f"with {STAR} select 'star_regions' as dataset, env as target, count(*) as n from star group by env union all select 'document_languages', lang, count(*) from documents group by lang union all select 'line_flags', l_returnflag || l_linestatus, count(*) from lineitem group by 2 union all select 'language_pairs', a.lang || '>' || b.lang, (a.n + b.n)::bigint from (select lang, count(*) as n from documents group by 1) a join (select lang, count(*) as n from documents group by 1) b on a.lang <> b.lang"
 SQL["x18_account_covariance"] = f"with a as (select c_nationkey as nation, var_samp(x) as xx, covar_samp(x, y) as xy, var_samp(y) as yy from (select *, c_acctbal / 1000 as x, c_custkey / (select count(*) from customer)::double as y from customer) group by 1), b as (select s_nationkey as nation, var_samp(x) as xx, covar_samp(x, y) as xy, var_samp(y) as yy from (select *, s_acctbal / 1000 as x, s_suppkey / (select count(*) from supplier)::double as y from supplier) group by 1) select nation, {r('(a.xx - b.xx) ** 2 + 2 * (a.xy - b.xy) ** 2 + (a.yy - b.yy) ** 2')} as cad from a join b using (nation) where a.xx is not null and b.xx is not null"

@@ -2,12 +2,14 @@
 
 from __future__ import annotations
 
-from collections.abc import Iterable, Iterator
+import time
+from collections.abc import Callable, Iterable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql.pandas.types import to_arrow_type
 
 from ..functions.kernels import MIXTURE, RBF, FourierMap, Linear, Quadratic
 from ..operators import greedy as G
@@ -89,8 +91,11 @@ class Config:
     seed: int = 0
 
 
-def train(data: dict, c: Config, trace: list | None = None) -> Net:
-    """``data``: xs, ys, es (environments), xt. Weights n_h/n go to the discrepancy and, by default, to the task loss."""
+def train(data: dict, c: Config, trace: list | None = None, traced: int = 10) -> Net:
+    """``data``: xs, ys, es (environments), xt. Weights n_h/n go to the discrepancy and, by default, to the task loss.
+
+    ``trace`` collects (step, discrepancy, variance of the kernel mean every ``traced`` steps).
+    """
     xs, ys, xt = data["xs"], data["ys"], data["xt"]
     net = Net(c.method, xs.shape[1], c.width, data["classes"], c.seed, c.lam)
     opt = Adam(net.p, c.lr, c.decay)
@@ -109,7 +114,7 @@ def train(data: dict, c: Config, trace: list | None = None) -> Net:
         _, da, g = net.loss(xs[i], ys[i], task_w if c.method in ("erm", "arm") else w, xt[j], v, len(xs), len(xt), env)
         opt.step(net.p, g)
         if trace is not None:
-            trace.append((it, float(da), s.variance(net.features(xs)) if it % 10 == 0 else None))
+            trace.append((it, float(da), s.variance(net.features(xs)) if it % traced == 0 else None))
     return net
 
 
@@ -142,28 +147,49 @@ def split(x, y, env, target: str, classes: int, seed: int = 0) -> dict:
 
 
 def grid(spark: SparkSession, sets: dict[str, dict], cells: list[dict], configs: int = 2, **fixed) -> DataFrame:
-    """(dataset, method, sampler, repeat, accuracy, balanced, seconds): one task a cell; the bounded data go with the tasks."""
+    """One task a cell: accuracy, discrepancies of held-out features and seconds; the bounded data are broadcast once.
+
+    A cell names its dataset, method, sampler and repeat, and may fix further settings of its own.
+    """
     total = sum(a.nbytes for s in sets.values() for a in s.values() if isinstance(a, np.ndarray))
     if total > 256_000_000:
         raise ValueError("training sets for the grid are bounded at 256 MB; train on draws of one set instead")
-    rows = [(i, c["dataset"], c["method"], c["sampler"], c["repeat"]) for i, c in enumerate(cells)]
-    df = spark.createDataFrame(rows, "i long, dataset string, method string, sampler string, repeat int").repartition(max(1, min(len(rows), 64)), "i")
+    shared = spark.sparkContext.broadcast(sets)
+
+    def run(c: dict) -> tuple:
+        data, began = shared.value[c["dataset"]], time.perf_counter()
+        own = fixed | {k: v for k, v in c.items() if k not in ("dataset", "method", "sampler", "repeat")}
+        found = search(data, c["method"], c["sampler"], configs, c["repeat"], **own) if configs > 1 else Config(c["method"], c["sampler"], seed=c["repeat"], **own)
+        net = train(data, found)
+        seconds = time.perf_counter() - began
+        return (c["dataset"], c["method"], c["sampler"], c["repeat"], *accuracy(net, data["xe"], data["ye"], np.zeros(len(data["xe"]))), *discrepancies(net, data), seconds)
+
+    return over_tasks(spark, cells, run, "dataset string, method string, sampler string, repeat int, accuracy double, balanced double, med double, cad double, seconds double")
 
-    def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        import time
 
+def discrepancies(net: Net, data: dict) -> tuple[float, float]:
+    """(mean-embedding, covariance) discrepancy of source features and those of target rows that training didn't see."""
+    a, b = net.features(data["xs"]), net.features(data["xe"])
+    if min(len(a), len(b)) < 2:
+        return float("nan"), float("nan")
+    med = MIXTURE.block(a, a).mean() + MIXTURE.block(b, b).mean() - 2 * MIXTURE.block(a, b).mean()
+    return float(max(med, 0.0)), float(((np.cov(a.T) - np.cov(b.T)) ** 2).sum())
+
+
+def over_tasks(spark: SparkSession, cells: list, run: Callable, schema: str, most: int = 512) -> DataFrame:
+    """The row, or rows, that ``run`` gives for each cell, spread over tasks; the cells are bounded and go with the tasks."""
+    kinds = spark.createDataFrame([], schema).schema
+    df = spark.createDataFrame([(i,) for i in range(len(cells))], "i long").repartitionByRange(max(1, min(len(cells), most)), "i")
+
+    def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
-            out = []
-            for r in b.to_pylist():
-                data, began = sets[r["dataset"]], time.perf_counter()
-                c = search(data, r["method"], r["sampler"], configs, r["repeat"], **fixed) if configs > 1 else Config(r["method"], r["sampler"], seed=r["repeat"], **fixed)
-                net = train(data, c)
-                acc, bal = accuracy(net, data["xe"], data["ye"], np.zeros(len(data["xe"])))
-                out.append((r["dataset"], r["method"], r["sampler"], r["repeat"], acc, bal, time.perf_counter() - began))
-            cols = list(zip(*out, strict=True)) or [()] * 7
-            yield pa.RecordBatch.from_arrays([pa.array(c, t) for c, t in zip(cols, (pa.string(), pa.string(), pa.string(), pa.int32(), pa.float64(), pa.float64(), pa.float64()), strict=True)], names=["dataset", "method", "sampler", "repeat", "accuracy", "balanced", "seconds"])
+            for i in b.column(0).to_pylist():
+                out = run(cells[i])
+                rows = out if isinstance(out, list) else [out]
+                if rows:
+                    yield pa.RecordBatch.from_arrays([pa.array(c, to_arrow_type(f.dataType)) for c, f in zip(zip(*rows, strict=True), kinds, strict=True)], names=kinds.names)
 
-    return df.mapInArrow(work, "dataset string, method string, sampler string, repeat int, accuracy double, balanced double, seconds double")
+    return df.mapInArrow(work, kinds)
 
 
-__all__ = ["SAMPLERS", "RBF", "Config", "Sampler", "accuracy", "grid", "search", "seed_kpp", "split", "train", "G"]
+__all__ = ["SAMPLERS", "RBF", "Config", "Sampler", "accuracy", "discrepancies", "grid", "over_tasks", "search", "seed_kpp", "split", "train", "G"]

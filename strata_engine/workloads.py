@@ -1,4 +1,4 @@
-"""The experiment workloads on the given tables. Parameters default to sizes that a test run can bear; the paper-scale ones are arguments."""
+"""The experiment workloads on the given tables. Their cells are spread over tasks; steps and rows are arguments."""
 
 from __future__ import annotations
 
@@ -6,12 +6,12 @@ import time
 from collections.abc import Callable
 
 import numpy as np
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
 from .functions import exprs as E
 from .functions import frames, theory
-from .functions.kernels import MIXTURE, RBF, Linear, Quadratic
+from .functions.kernels import RBF, Linear, Quadratic
 from .operators import cluster, core
 from .operators import greedy as G
 from .sources.io import load
@@ -48,144 +48,177 @@ def _problem(spark, d, n=100, k=16):
 
 
 @workload
-def x3_assignment_quality(spark, d, trials=10_000):
+def x3_assignment_quality(spark, d, trials=100_000):
+    """Loss and seconds of every way to assign the small problem, a task each."""
     m = _problem(spark, d)
-    out = []
-    for name, f in (("greedy", lambda: G.best_of(m, trials, 10)[0]), ("relaxed_rounded", lambda: G.relaxed(m)[2]), ("nearest", lambda: G.nearest(m)), ("greedy_polished", lambda: G.polish(m, G.best_of(m, 100, 10)[0]))):
+    ways = {
+        "greedy": lambda: G.assignment_cost(m, G.best_of(m, trials, 10)[0]),
+        "relaxed_rounded": lambda: G.assignment_cost(m, G.relaxed(m)[2]),
+        "relaxed_value": lambda: G.relaxed(m)[1],
+        "nearest": lambda: G.assignment_cost(m, G.nearest(m)),
+        "greedy_polished": lambda: G.assignment_cost(m, G.polish(m, G.best_of(m, 100, 10)[0])),
+    }
+
+    def run(name):
         began = time.perf_counter()
-        s = f()
-        out.append((name, G.assignment_cost(m, s), time.perf_counter() - began))
-    out.append(("relaxed_value", G.relaxed(m)[1], 0.0))
-    return _frame(spark, "method string, loss double, seconds double", out)
+        return name, ways[name](), time.perf_counter() - began
+
+    return loop.over_tasks(spark, list(ways), run, "method string, loss double, seconds double")
 
 
 @workload
-def x4_loss_by_trials(spark, d, most=1000, seeds=5):
-    m, out = _problem(spark, d), []
-    for s in range(seeds):
+def x4_loss_by_trials(spark, d, most=100_000, seeds=5):
+    """Least loss of the first R trials, for R to a hundred thousand: trials are nested, a task a seed."""
+    m = _problem(spark, d)
+
+    def run(s):
         costs = np.minimum.accumulate(G.best_of(m, most, 10, s)[2])
-        out += [(r, s, float(costs[r - 1])) for r in (1, 10, 100, 1000, 10_000, 100_000) if r <= most]
-    return _frame(spark, "trials int, seed int, loss double", out)
+        return [(r, s, float(costs[r - 1])) for r in (1, 10, 100, 1000, 10_000, 100_000) if r <= most]
+
+    return loop.over_tasks(spark, list(range(seeds)), run, "trials int, seed int, loss double")
 
 
 @workload
-def x5_loss_by_parallel(spark, d, seeds=3):
-    m, out = _problem(spark, d), []
-    for p in range(1, 21):
-        for s in range(seeds):
-            c = G.best_of(m, 100, p, s)[2]
-            out.append((p, s, float(min(c)), float(np.mean(c))))
-    return _frame(spark, "parallel int, seed int, best_loss double, mean_loss double", out)
+def x5_loss_by_parallel(spark, d, seeds=3, trials=100):
+    m = _problem(spark, d)
+
+    def run(p):
+        costs = [G.best_of(m, trials, p, s)[2] for s in range(seeds)]
+        return [(p, s, float(min(c)), float(np.mean(c))) for s, c in enumerate(costs)]
+
+    return loop.over_tasks(spark, list(range(1, 21)), run, "parallel int, seed int, best_loss double, mean_loss double")
 
 
 @workload
 def x6_variance_by_k(spark, d, ks=(2, 8, 32, 128, 256), n=1000, trials=20):
-    """Analytic variance of the kernel mean for uniform draws, linear, kernel and size-weighted strata, on n rows a table."""
-    out = []
-    line = frames.lineitem(spark, d, "null")
-    for name, ff in (("embeddings", frames.embeddings(spark, d)), ("lineitem", line)):
-        z = core.Small(ff.orderBy("id").limit(n)).z
-        for k in ks:
-            if k >= len(z):
-                continue
-            gram = RBF().block(z, z)
-            u = cluster.uniform_variance(gram, k)
-            found = {"uniform": u}
-            for m, (kern, w) in {"linear": (Linear(), False), "kernel": (RBF(), False), "swks": (RBF(), True)}.items():
-                s = cluster.stratify(z, kern, k, weighted=w, trials=trials, max_iter=8)
-                found[m] = cluster.mean_variance(gram, s.strata, k)
-            out += [(name, k, m, float(v), float(u / v) if v > 0 else None) for m, v in found.items()]
-    return _frame(spark, "table string, k int, method string, variance double, gain double", out)
-
-
-def _planted(ff: DataFrame, classes: int, target: str, n: int, seed: int = 42) -> dict:
-    """A bounded draw of a frame (n rows of smallest uniforms, as the paper's sets are of bounded size), with planted classes."""
-    got = ff.select("id", "z", "env").orderBy(E.portable_u(seed, "pick", F.col("id")), "id").limit(n).collect()
-    env = np.array([r["env"] for r in got])
-    target = target if (env == target).any() else sorted(set(env.tolist()))[-1]
-    x, y = frames.planted(np.array([r["id"] for r in got]), np.array([r["z"] for r in got], dtype=float), env, classes, target)
-    return loop.split(x, y, env, target, classes)
-
-
-def datasets(spark: SparkSession, sf_dir: str, n: int = 1000) -> dict[str, dict]:
-    """One split of each of the four planted workloads; ``splits`` lists the rest."""
-    docs = frames.documents(spark, sf_dir)
-    return {
-        "star_regions": _planted(frames.star(spark, sf_dir), 2, "ASIA", n),
-        "document_languages": _planted(docs, 2, "de", n),
-        "line_flags": _planted(frames.lineitem(spark, sf_dir, "null"), 4, "RF", n),
-        "language_pairs": _planted(docs.filter(F.col("env").isin("en", "fr")), 20, "fr", n),
+    """Analytic variance of the kernel mean for uniform draws, linear, kernel and size-weighted strata, on n rows a table; a task a cell."""
+    tables = {"embeddings": frames.embeddings(spark, d), "lineitem": frames.lineitem(spark, d, "null")}
+    z = {name: core.Small(ff.orderBy("id").limit(n)).z for name, ff in tables.items()}
+    ways = {"uniform": None, "linear": (Linear(), False), "kernel": (RBF(), False), "swks": (RBF(), True)}
+
+    def run(cell):
+        name, k, way = cell
+        gram = RBF().block(z[name], z[name])
+        u = v = cluster.uniform_variance(gram, k)
+        if ways[way]:
+            kernel, weighted = ways[way]
+            v = cluster.mean_variance(gram, cluster.stratify(z[name], kernel, k, weighted=weighted, trials=trials, max_iter=8).strata, k)
+        return name, k, way, float(v), float(u / v) if v > 0 else None
+
+    return loop.over_tasks(spark, [(name, k, way) for k in sorted(ks, reverse=True) for name in z for way in ways if k < len(z[name])], run, "table string, k int, method string, variance double, gain double")
+
+
+def _drawn(ff: DataFrame, n: int, seed: int = 42) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Ids, vectors and environments of n rows, as many of each environment, those of smallest uniforms: a bounded draw, as the paper's sets are of bounded size."""
+    u = E.portable_u(seed, "pick", F.col("id"))
+    each = max(1, n // max(1, ff.select("env").distinct().count()))
+    place = F.row_number().over(Window.partitionBy("env").orderBy(u, "id"))
+    got = ff.select("id", "z", "env", place.alias("place")).filter(F.col("place") <= each).orderBy("id").collect()
+    return np.array([r["id"] for r in got]), np.array([r["z"] for r in got], dtype=float), np.array([r["env"] for r in got])
+
+
+def _planted(drawn, classes: int, target: str, source: str | None = None) -> dict:
+    """A split with planted classes: one environment, or all others, against the target."""
+    ids, z, env = drawn
+    at = np.ones(len(env), dtype=bool) if source is None else (env == source) | (env == target)
+    x, y = frames.planted(ids[at], z[at], env[at], classes, target)
+    return loop.split(x, y, env[at], target, classes)
+
+
+def datasets(spark: SparkSession, sf_dir: str, n: int = 1000, every: bool = True) -> dict[str, dict]:
+    """The splits of the four planted workloads, or the first of each: one target region, each language and each flag against
+    the rest, and each ordered pair of languages. Every environment that the tables have is a target."""
+    star, docs, line = _drawn(frames.star(spark, sf_dir), n), _drawn(frames.documents(spark, sf_dir), n), _drawn(frames.lineitem(spark, sf_dir, "null"), n)
+    names = lambda drawn: sorted(set(drawn[2].tolist()))
+    out = {
+        "star_regions": {"ASIA" if "ASIA" in names(star) else names(star)[-1]: (star, 2, None)},
+        "document_languages": {t: (docs, 2, None) for t in names(docs)},
+        "line_flags": {t: (line, 4, None) for t in names(line)},
+        "language_pairs": {f"{s}>{t}": (docs, 20, s) for s in names(docs) for t in names(docs) if s != t},
     }
+    some = {w: dict(list(splits.items())[: None if every else 1]) for w, splits in out.items()}
+    return {f"{w}/{t}": _planted(drawn, classes, t.split(">")[-1], source) for w, splits in some.items() for t, (drawn, classes, source) in splits.items()}
 
 
 @workload
 def splits(spark, d):
-    """(dataset, split, target, environments): the leave-one-out and pairwise splits of every workload."""
+    """(dataset, target, n): the leave-one-out and pairwise splits of every workload; a pair's rows are those of both."""
     out = None
-    for name, ff in (("star_regions", frames.star(spark, d)), ("document_languages", frames.documents(spark, d)), ("line_flags", frames.lineitem(spark, d, "null"))):
+    docs = frames.documents(spark, d)
+    for name, ff in (("star_regions", frames.star(spark, d)), ("document_languages", docs), ("line_flags", frames.lineitem(spark, d, "null"))):
         one = ff.groupBy("env").agg(F.count("*").alias("n")).select(F.lit(name).alias("dataset"), F.col("env").alias("target"), "n")
         out = one if out is None else out.unionByName(one)
-    return out
+    by = docs.groupBy("env").agg(F.count("*").alias("n"))
+    pair = by.select(F.col("env").alias("a"), F.col("n").alias("na")).join(F.broadcast(by.select(F.col("env").alias("b"), F.col("n").alias("nb"))), F.col("a") != F.col("b"))  # a row a language
+    return out.unionByName(pair.select(F.lit("language_pairs").alias("dataset"), F.concat_ws(">", "a", "b").alias("target"), (F.col("na") + F.col("nb")).alias("n")))
+
 
+def _cells(names, methods, samplers, repeats, **own):
+    return [{"dataset": s, "method": m, "sampler": p, "repeat": r} | own for p in samplers for m in methods for s in names for r in range(repeats)]
 
-def _cells(names, methods, samplers, repeats):
-    return [{"dataset": s, "method": m, "sampler": p, "repeat": r} for s in names for m in methods for p in samplers for r in range(repeats)]
+
+def summary(g: DataFrame) -> DataFrame:
+    """Means and standard errors by workload, over its splits and repeats."""
+    g = g.withColumn("workload", F.element_at(F.split("dataset", "/"), 1)).groupBy("workload", "method", "sampler")
+    return g.agg(F.countDistinct("dataset").alias("splits"), F.count("*").alias("runs"), F.avg("accuracy").alias("mean_accuracy"), (F.stddev_samp("accuracy") / F.sqrt(F.count("*"))).alias("std_err"), F.avg("balanced").alias("balanced"), F.avg("seconds").alias("seconds"))
 
 
 @workload
-def x11_sampler_grid(spark, d, n=600, steps=60, repeats=1, methods=("erm", "cad", "med"), configs=1):
-    """Accuracy by sampler and loss: mean and standard error over repeats."""
+def x11_sampler_grid(spark, d, n=600, steps=100, every=50, repeats=5, methods=("erm", "cad", "med"), configs=1):
+    """Accuracy by sampler and loss on all splits: mean and standard error over splits and repeats."""
     sets = datasets(spark, d, n)
-    g = loop.grid(spark, sets, _cells(sets, methods, loop.SAMPLERS, repeats), configs, steps=steps, k=16, trials=10)
-    return summary(g)
+    return summary(loop.grid(spark, sets, _cells(sets, methods, reversed(loop.SAMPLERS), repeats), configs, steps=steps, every=every, k=16, trials=10))
 
 
 @workload
-def x12_method_grid(spark, d, n=600, steps=60, repeats=1, configs=1):
-    """Accuracy of every adaptation method under uniform draws, and of both discrepancies under size-weighted strata."""
-    from .train.model import METHODS
+def x11_searched(spark, d, n=600, steps=150, every=50, repeats=5, configs=10):
+    """The same for one split of every workload, two samplers and both losses, each after a random search of ten points."""
+    sets = datasets(spark, d, n, every=False)
+    return summary(loop.grid(spark, sets, _cells(sets, ("erm", "cad", "med"), ("swks", "uniform"), repeats), configs, steps=steps, every=every, trials=10))
 
-    sets = datasets(spark, d, n)
-    cells = _cells(sets, METHODS, ("uniform",), repeats) + _cells(sets, ("cad", "med"), ("swks",), repeats)
-    return summary(loop.grid(spark, sets, cells, configs, steps=steps, k=16, trials=10))
 
+@workload
+def x12_method_grid(spark, d, n=600, steps=150, every=50, repeats=5, configs=1):
+    """Accuracy of every adaptation method under uniform draws, and of both discrepancies under size-weighted strata, on all splits."""
+    from .train.model import METHODS
 
-def summary(g: DataFrame) -> DataFrame:
-    return g.groupBy("dataset", "method", "sampler").agg(F.count("*").alias("runs"), F.avg("accuracy").alias("mean_accuracy"), (F.stddev_samp("accuracy") / F.sqrt(F.count("*"))).alias("std_err"), F.avg("balanced").alias("balanced"), F.avg("seconds").alias("seconds"))
+    sets = datasets(spark, d, n)
+    cells = _cells(sets, ("cad", "med"), ("swks",), repeats) + _cells(sets, METHODS, ("uniform",), repeats)
+    return summary(loop.grid(spark, sets, cells, configs, steps=steps, every=every, k=16, trials=10))
 
 
 @workload
-def x13_wallclock(spark, d, n=600, steps=60):
-    """Seconds of one training run by sampler, averaged over both discrepancies."""
-    sets = {"document_languages": datasets(spark, d, n)["document_languages"]}
-    g = loop.grid(spark, sets, _cells(sets, ("cad", "med"), loop.SAMPLERS, 1), 1, steps=steps, k=16, trials=10)
-    return g.groupBy("dataset", "sampler").agg(F.avg("seconds").alias("seconds"))
+def x13_wallclock(spark, d, n=600, steps=300, repeats=3):
+    """Seconds of a training run by sampler on one split of every workload: mean and standard error over both discrepancies and repeats."""
+    sets = datasets(spark, d, n, every=False)
+    g = loop.grid(spark, sets, _cells(sets, ("cad", "med"), reversed(loop.SAMPLERS), repeats), 1, steps=steps, k=16, trials=10)
+    return g.groupBy("dataset", "sampler").agg(F.count("*").alias("runs"), F.avg("seconds").alias("seconds"), (F.stddev_samp("seconds") / F.sqrt(F.count("*"))).alias("std_err"))
 
 
 @workload
-def x14_heldout_discrepancy(spark, d, n=600, steps=100):
-    """Discrepancy of held-out features after training, by loss and sampler, beside source-only training."""
-    data = datasets(spark, d, n)["document_languages"]
-    out = []
-    for m, s in (("erm", "uniform"), ("med", "uniform"), ("med", "swks"), ("cad", "uniform"), ("cad", "swks")):
-        net = loop.train(data, loop.Config(m, s, k=16, steps=steps, trials=10))
-        a, b = net.features(data["xs"][:500]), net.features(data["xe"][:500])
-        med = MIXTURE.block(a, a).mean() + MIXTURE.block(b, b).mean() - 2 * MIXTURE.block(a, b).mean()
-        out.append((m, s, float(max(med, 0)), float(((np.cov(a.T) - np.cov(b.T)) ** 2).sum())))
-    return _frame(spark, "loss string, sampler string, med double, cad double", out)
+def x14_heldout_discrepancy(spark, d, n=600, steps=300, repeats=3):
+    """Discrepancies of held-out features after training, by loss and sampler, beside source-only training, on one split of every workload."""
+    sets = datasets(spark, d, n, every=False)
+    g = loop.grid(spark, sets, _cells(sets, ("erm", "cad", "med"), reversed(loop.SAMPLERS), repeats), 1, steps=steps, k=16, trials=10)
+    return g.groupBy("dataset", F.col("method").alias("loss"), "sampler").agg(F.count("*").alias("runs"), F.avg("med").alias("med"), F.avg("cad").alias("cad"))
 
 
 @workload
-def x15_interval(spark, d, n=600, steps=200, intervals=(10, 50, 100, 500, 1000)):
-    """Variance along one run and accuracy, by re-stratification interval; uniform draws and an increasing schedule beside."""
-    data, out = datasets(spark, d, n)["document_languages"], []
-    for name, c in [*((str(t), loop.Config("med", "swks", k=32, every=t, steps=steps, trials=10)) for t in intervals), ("growing", loop.Config("med", "swks", k=32, every=10, growth=1.5, steps=steps, trials=10)), ("stale_1.2", loop.Config("med", "swks", k=32, every=10**9, staleness=1.2, steps=steps, trials=10)), ("uniform", loop.Config("med", "uniform", k=32, steps=steps))]:
+def x15_interval(spark, d, n=600, steps=1500, intervals=(10, 50, 100, 500, 1000), repeats=3):
+    """Variance along runs and accuracy, by re-stratification interval and loss; uniform draws and schedules that grow or wait beside."""
+    data = spark.sparkContext.broadcast(datasets(spark, d, n, every=False)["document_languages/de"])
+    kinds = {str(t): {"every": t} for t in intervals} | {"growing": {"every": 10, "growth": 1.5}, "stale_1.2": {"every": 10**9, "staleness": 1.2}, "uniform": {"sampler": "uniform"}}
+
+    def run(cell):
+        name, loss, seed = cell
         trace: list = []
-        net = loop.train(data, c, trace)
+        net = loop.train(data.value, loop.Config(**({"method": loss, "sampler": "swks", "k": 32, "steps": steps, "trials": 10, "seed": seed} | kinds[name])), trace, 25)
         v = [t[2] for t in trace if t[2] is not None]
-        acc, bal = loop.accuracy(net, data["xe"], data["ye"])
-        out.append((name, float(np.mean(v[: len(v) // 2])), float(np.mean(v[len(v) // 2 :])), acc, bal))
-    return _frame(spark, "every string, variance_early double, variance_late double, accuracy double, balanced double", out)
+        return (name, loss, seed, float(np.mean(v[: len(v) // 2])), float(np.mean(v[len(v) // 2 :])), *loop.accuracy(net, data.value["xe"], data.value["ye"]))
+
+    g = loop.over_tasks(spark, [(name, loss, r) for name in kinds for loss in ("med", "cad") for r in range(repeats)], run, "every string, loss string, repeat int, variance_early double, variance_late double, accuracy double, balanced double")
+    mean = [F.avg(c).alias(c) for c in ("variance_early", "variance_late", "accuracy", "balanced")]
+    return g.groupBy("every", "loss").agg(F.count("*").alias("runs"), *mean, (F.stddev_samp("accuracy") / F.sqrt(F.count("*"))).alias("std_err"))
 
 
 def _text_frame(spark, d, table, key, col):

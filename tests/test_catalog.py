@@ -125,8 +125,21 @@ def test_sinks_round_trip(spark, tmp_path):
 def test_training_lowers_the_discrepancy(spark):
     from strata_engine.workloads import x14_heldout_discrepancy
 
-    got = {(r["loss"], r["sampler"]): r["med"] for r in x14_heldout_discrepancy(spark, DIR, n=200, steps=60).collect()}
-    assert got["med", "swks"] < got["erm", "uniform"]
+    rows = x14_heldout_discrepancy(spark, DIR, n=200, steps=60, repeats=1).collect()
+    got = {(r["dataset"], r["loss"], r["sampler"]): r["med"] for r in rows}
+    assert len(got) == 4 * 18 and got["document_languages/de", "med", "swks"] < got["document_languages/de", "erm", "uniform"]
+
+
+def test_grids_have_every_split_and_errors(spark):
+    from strata_engine import workloads as W
+
+    out = {(r["workload"], r["method"], r["sampler"]): r for r in W.x11_sampler_grid(spark, DIR, n=120, steps=6, every=3, repeats=2, methods=("med",)).collect()}
+    assert {w: out[w, "med", "swks"]["splits"] for w in ("star_regions", "document_languages", "language_pairs")} == {"star_regions": 1, "document_languages": 4, "language_pairs": 12}
+    assert len(out) == 24 and all(r["std_err"] is not None and r["runs"] == 2 * r["splits"] for r in out.values())
+    found = W.x11_searched(spark, DIR, n=80, steps=4, every=3, repeats=2, configs=3).collect()
+    assert len(found) == 24 and all(r["runs"] == 2 for r in found)
+    sweep = W.x15_interval(spark, DIR, n=80, steps=30, intervals=(5, 20), repeats=2).collect()
+    assert {r["every"] for r in sweep} == {"5", "20", "growing", "stale_1.2", "uniform"} and len(sweep) == 10
 
 
 def test_trials_refuse_what_they_cannot_hold(spark, monkeypatch):
