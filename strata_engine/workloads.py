@@ -171,7 +171,7 @@ def x11_sampler_grid(spark, d, n=600, steps=100, every=50, repeats=5, methods=("
 
 
 @workload
-def x11_searched(spark, d, n=600, steps=150, every=50, repeats=5, configs=10):
+def x11_searched(spark, d, n=600, steps=100, every=50, repeats=3, configs=10):
     """The same for one split of every workload, two samplers and both losses, each after a random search of ten points."""
     sets = datasets(spark, d, n, every=False)
     return summary(loop.grid(spark, sets, _cells(sets, ("erm", "cad", "med"), ("swks", "uniform"), repeats), configs, steps=steps, every=every, trials=10))
