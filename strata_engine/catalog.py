@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from . import sqlapi, workloads
 from .functions import exprs as E
 from .functions import frames, theory
-from .functions.kernels import MIXTURE, RBF, FourierMap, Linear, Quadratic, map_error
+from .functions.kernels import MIXTURE, RBF, FourierMap, LandmarkMap, Linear, Quadratic, map_error
 from .operators import cluster, core, diverse
 from .operators import greedy as G
 from .operators import relational as R
@@ -143,6 +143,21 @@ def cad_hat(spark, d):
     return core.cad_hat(_line_cov(spark, d), 4).select("iter", E.r6("value").alias("value"))
 
 
+@query
+def cad_wide(spark, d):
+    """Covariance discrepancy of 64-dimensional embeddings, by partial Gram matrices."""
+    c = core.gram_covariances(_emb(spark, d))
+    return rows(spark, "n_s long, n_t long, cad double", [(c["s"][1], c["t"][1], float(((c["s"][0] - c["t"][0]) ** 2).sum()))]).withColumn("cad", E.r6(F.col("cad") * 1000))
+
+
+@query
+def combined_objective(spark, d):
+    """Task loss (a fixed function of the features) plus twice the discrepancy of every minibatch."""
+    ff, draws = _emb(spark, d), io.checkpointed(_domain_draws(spark, d))
+    loss = ff.select("id", F.pow(F.col("z")[0] - F.col("z")[1], F.lit(2.0)).alias("loss"))
+    return core.combined(draws, loss, "loss", core.med_hat(draws, ff.drop("domain"), MIXTURE), 2.0).select("iter", *[E.r6(c).alias(c) for c in ("task", "value", "objective")])
+
+
 # ---- kernels: every row against the landmark rows --------------------------------------------------------------------
 
 
@@ -180,6 +195,13 @@ def rff_error(spark, d):
     return rows(spark, "freqs int, max_error double, mean_error double", [(f, *map_error(MIXTURE, FourierMap(MIXTURE, small.z.shape[1], f), small.z)) for f in (64, 256, 1024)])
 
 
+@query
+def landmark_error(spark, d):
+    """Errors of the landmark map for growing numbers of landmark rows, the last of which takes all."""
+    small = core.Small(_emb(spark, d).orderBy("id").limit(500))
+    return rows(spark, "landmarks int, max_error double, mean_error double", [(m, *map_error(RBF(), LandmarkMap(RBF(), small.z[:m]), small.z)) for m in (20, 100, len(small.ids))])
+
+
 # ---- stratification --------------------------------------------------------------------------------------------------
 
 
@@ -222,6 +244,12 @@ def assign_bucketed(spark, d):
     return _named(core.assign(_dist(spark, d), buckets=4))
 
 
+@query
+def assign_by_domain(spark, d):
+    """Each domain's rows assigned by themselves, with sizes of their own."""
+    return core.assign(_dist(spark, d), by=("domain",)).select("domain", F.col("id").alias("vec_id"), "stratum")
+
+
 @query
 def assign_nearest(spark, d):
     return _named(core.assign(_dist(spark, d), "nearest"))
@@ -672,6 +700,30 @@ def price_quartiles(spark, d):
     return load(spark, d, "part", ["p_brand", "p_retailprice"]).groupBy("p_brand").agg(*[E.r6(F.percentile("p_retailprice", F.lit(q))).alias(f"q{int(q * 100)}") for q in (0.25, 0.5, 0.75)])
 
 
+@query
+def approximate_measures(spark, d):
+    """Whether one-pass sketches of large columns keep their stated errors: quantiles by rank, distinct counts by ratio."""
+    li = load(spark, d, "lineitem", ["l_partkey", "l_extendedprice"])
+    a = li.agg(F.count("*").alias("n"), F.percentile_approx("l_extendedprice", [0.25, 0.5, 0.75], 1000).alias("q"), F.approx_count_distinct("l_partkey", 0.02).alias("k")).first()
+    below = [F.sum(F.when(F.col("l_extendedprice") <= F.lit(q), 1).otherwise(0)) / F.lit(a["n"]) for q in a["q"]]
+    near = [(F.abs(b - F.lit(x)) < 0.005).alias(f"q{int(100 * x)}") for b, x in zip(below, (0.25, 0.5, 0.75), strict=True)]
+    return li.agg(F.count("*").alias("n"), *near, (F.abs(F.lit(a["k"]) / F.countDistinct("l_partkey") - 1) < 0.1).alias("distinct_parts"))
+
+
+@query
+def account_unpivot(spark, d):
+    """Parts' numbers as (key, measure, value) rows."""
+    p = load(spark, d, "part", ["p_partkey", "p_size", "p_retailprice"]).select("p_partkey", F.col("p_size").cast("double").alias("size"), F.col("p_retailprice").alias("price"))
+    return p.unpivot("p_partkey", ["size", "price"], "measure", "value")
+
+
+@query
+def grouped_vectors(spark, d):
+    """Mean vector and covariance triangle of line items by environment, as aggregates that combine before the shuffle."""
+    g = frames.lineitem(spark, d, "null").groupBy("env").agg(core.vec_mean("z", 4).alias("m"), core.vec_cov("z", 4).alias("c"))
+    return g.select("env", *[E.r6(F.col("m")[i]).alias(f"m{i}") for i in range(4)], *[E.r6(F.col("c")[i]).alias(f"c{i}") for i in range(10)])
+
+
 @query
 def asof_strata(spark, d):
     """Each event with its user's latest purchase value at or before it."""
@@ -838,7 +890,23 @@ def stream_reservoir(spark, d):
 @query
 def x16_drift(spark, d):
     e = _events(spark, d)
-    return drift.drift(e, drift.reference(e, "2024-01-08")).select(_day(), "n", E.r6("cad").alias("cad"), E.r6("mean_shift").alias("mean_shift"))
+    return _shifts(drift.drift(e, drift.reference(e, "2024-01-08")))
+
+
+def _shifts(found):
+    return found.select(_day(), "n", *[E.r6(c).alias(c) for c in ("cad", "mean_shift", "med")])
+
+
+@query
+def x16_drift_weekly(spark, d):
+    e = _events(spark, d)
+    return _shifts(drift.drift(e, drift.reference(e, "2024-01-08"), "7 days"))
+
+
+@query
+def stream_dedup(spark, d):
+    e = _events(spark, d)
+    return drift.deduplicated(e.unionByName(e.filter("event_id % 3 = 0"))).groupBy("event_type").agg(F.count("*").alias("n"), F.sum("event_id").alias("ids"))
 
 
 for _name, _f in workloads.QUERIES.items():

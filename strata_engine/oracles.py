@@ -246,7 +246,16 @@ SQL["stream_sliding"] = f"with e as (select value, unnest([date_trunc('day', ts)
 SQL["stream_session"] = f"with a as (select *, case when ts <= lag(ts) over w + interval 30 minute then 0 else 1 end as new from events window w as (partition by user_id order by ts)), s as (select *, sum(new) over (partition by user_id order by ts, event_id) as k from a) select user_id, strftime(min(ts), '%Y-%m-%d %H:%M:%S.%f') as session_start, count(*) as n, {r('sum(value)')} as total from s group by user_id, k"
 SQL["stream_reservoir"] = f"select {_w.format('''date_trunc('day', ts)''')}, event_type, arg_min(event_id, ({u('reservoir', 'event_id')}, event_id)) as event_id, count(*) as n from events group by 1, 2"
 _f = ["ln(1 + value)", "sin(hour(ts) * (pi() / 12))", "cos(hour(ts) * (pi() / 12))"]
-_mom = ", ".join([*(f"avg(f{i}) as m{i}" for i in range(3)), *(f"covar_samp(f{i}, f{j}) as c{i}{j}" for i in range(3) for j in range(i, 3))])
-SQL["x16_drift"] = f"with f as (select ts, {', '.join(f'{x} as f{i}' for i, x in enumerate(_f))} from events), ref as (select {_mom} from f where ts < timestamp '2024-01-08'), g as (select date_trunc('day', ts) as w, count(*) as n, {_mom} from f group by 1) select {_w.format('g.w')}, g.n, {r(' + '.join(f'{1 if i == j else 2} * (g.c{i}{j} - ref.c{i}{j}) ** 2' for i in range(3) for j in range(i, 3)))} as cad, {r(' + '.join(f'(g.m{i} - ref.m{i}) ** 2' for i in range(3)))} as mean_shift from g, ref"
+_mom = ", ".join([*(f"avg(f{i}) as m{i}" for i in range(3)), *(f"avg(f{i} * f{j}) as q{i}{j}" for i in range(3) for j in range(i, 3)), *(f"covar_samp(f{i}, f{j}) as c{i}{j}" for i in range(3) for j in range(i, 3))])
+_sum = lambda c: r(" + ".join(f"{1 if i == j else 2} * (g.{c}{i}{j} - ref.{c}{i}{j}) ** 2" for i in range(3) for j in range(i, 3)))
+_drift = lambda start: f"with f as (select ts, {', '.join(f'{x} as f{i}' for i, x in enumerate(_f))} from events), ref as (select {_mom} from f where ts < timestamp '2024-01-08'), g as (select {start} as w, count(*) as n, {_mom} from f group by 1) select {_w.format('g.w')}, g.n, {_sum('c')} as cad, {r(' + '.join(f'(g.m{i} - ref.m{i}) ** 2' for i in range(3)))} as mean_shift, {_sum('q')} as med from g, ref"
+SQL["x16_drift"], SQL["x16_drift_weekly"] = _drift("date_trunc('day', ts)"), _drift("time_bucket(interval 7 days, ts, timestamp '1970-01-01')")
+SQL["stream_dedup"] = "select event_type, count(*) as n, sum(event_id)::bigint as ids from events group by 1"
+SQL["account_unpivot"] = "select p_partkey, 'size' as measure, p_size::double as value from part union all select p_partkey, 'price', p_retailprice from part"
+SQL["approximate_measures"] = "select count(*) as n, true as q25, true as q50, true as q75, true as distinct_parts from lineitem"
+SQL["grouped_vectors"] = f"with {NULL_LINE} select env, " + ", ".join(f"{r(f'avg({x})')} as m{i}" for i, x in enumerate("abce")) + ", " + ", ".join(f"{r('covar_samp(' + 'abce'[i] + ', ' + 'abce'[j] + ')')} as c{k}" for k, (i, j) in enumerate(PAIRS)) + " from raw group by env"
+SQL["cad_wide"] = f"with {EMB}, c as materialized (select domain, i, j, count(*) as n, covar_samp(z[i], z[j]) as c from emb, range(1, 65) a(i), range(1, 65) b(j) group by all) select max(s.n) as n_s, max(t.n) as n_t, {r('1000 * sum((s.c - t.c) ** 2)')} as cad from c s join c t using (i, j) where s.domain = 's' and t.domain = 't'"
+SQL["combined_objective"] = f"with {DOM}, {dom_draws()}, {_hat}, task as (select iter, sum(w * (z[1] - z[2]) ** 2) as t from draws d join emb using (id) where d.domain = 's' group by 1) select iter, {r('t')} as task, {r('v')} as value, {r('t + 2 * v')} as objective from task join vals using (iter)"
+SQL["assign_by_domain"] = "with recursive " + DIST + ", dealt as materialized (select domain, id, d, row_number() over (partition by domain order by id) as r from dist), " + greedy("o.d[i] * (g.sizes[i] + 1)", source="dealt", by="domain") + " select domain, id as vec_id, stratum from g where id is not null"
 SQL["splits"] = f"with {STAR} select 'star_regions' as dataset, env as target, count(*) as n from star group by env union all select 'document_languages', lang, count(*) from documents group by lang union all select 'line_flags', l_returnflag || l_linestatus, count(*) from lineitem group by 2 union all select 'language_pairs', a.lang || '>' || b.lang, (a.n + b.n)::bigint from (select lang, count(*) as n from documents group by 1) a join (select lang, count(*) as n from documents group by 1) b on a.lang <> b.lang"
 SQL["x18_account_covariance"] = f"with a as (select c_nationkey as nation, var_samp(x) as xx, covar_samp(x, y) as xy, var_samp(y) as yy from (select *, c_acctbal / 1000 as x, c_custkey / (select count(*) from customer)::double as y from customer) group by 1), b as (select s_nationkey as nation, var_samp(x) as xx, covar_samp(x, y) as xy, var_samp(y) as yy from (select *, s_acctbal / 1000 as x, s_suppkey / (select count(*) from supplier)::double as y from supplier) group by 1) select nation, {r('(a.xx - b.xx) ** 2 + 2 * (a.xy - b.xy) ** 2 + (a.yy - b.yy) ** 2')} as cad from a join b using (nation) where a.xx is not null and b.xx is not null"

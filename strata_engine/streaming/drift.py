@@ -2,8 +2,12 @@
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
+import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..functions import exprs as E
 
@@ -49,7 +53,8 @@ def features(events: DataFrame) -> DataFrame:
 
 def _moments():
     f = ("f0", "f1", "f2")
-    return [F.count("*").alias("n"), *[F.avg(x).alias(f"m_{x}") for x in f], *[F.covar_samp(x, y).alias(f"c_{x}_{y}") for i, x in enumerate(f) for y in f[i:]]]
+    second = [F.avg(F.col(x) * F.col(y)).alias(f"q_{x}_{y}") for i, x in enumerate(f) for y in f[i:]]
+    return [F.count("*").alias("n"), *second, *[F.avg(x).alias(f"m_{x}") for x in f], *[F.covar_samp(x, y).alias(f"c_{x}_{y}") for i, x in enumerate(f) for y in f[i:]]]
 
 
 def reference(events: DataFrame, until: str) -> dict:
@@ -57,15 +62,47 @@ def reference(events: DataFrame, until: str) -> dict:
 
 
 def drift(events: DataFrame, ref: dict, width: str = "1 day", delay: str = "1 hour") -> DataFrame:
-    """(window_start, n, cad, mean_shift) of each window against the reference moments, which are ten numbers.
+    """(window_start, n, cad, mean_shift, med) of each window against the reference moments, which are sixteen numbers.
 
-    ``mean_shift`` is the squared distance of means, the discrepancy under the linear kernel; in streams as in batches.
+    ``mean_shift`` is the squared distance of means, the discrepancy under the linear kernel, ``med`` that under the
+    quadratic kernel about zero, by its exact map; in streams as in batches. A window of one row has a null ``cad``.
     """
     g = late_limit(features(events), delay).groupBy(F.window("ts", width)).agg(*_moments())
     f = ("f0", "f1", "f2")
-    cad, shift = F.lit(0.0), F.lit(0.0)
+    cad, shift, med = F.lit(0.0), F.lit(0.0), F.lit(0.0)
     for i, x in enumerate(f):
         shift = shift + F.pow(F.col(f"m_{x}") - F.lit(ref[f"m_{x}"]), F.lit(2.0))
         for y in f[i:]:
             cad = cad + (1.0 if x == y else 2.0) * F.pow(F.col(f"c_{x}_{y}") - F.lit(ref[f"c_{x}_{y}"]), F.lit(2.0))
-    return g.select(F.col("window.start").alias("window_start"), "n", cad.alias("cad"), shift.alias("mean_shift"))
+            med = med + (1.0 if x == y else 2.0) * F.pow(F.col(f"q_{x}_{y}") - F.lit(ref[f"q_{x}_{y}"]), F.lit(2.0))
+    return g.select(F.col("window.start").alias("window_start"), "n", cad.alias("cad"), shift.alias("mean_shift"), med.alias("med"))
+
+
+def deduplicated(events: DataFrame, delay: str = "1 hour") -> DataFrame:
+    """The first row of every event id; in streams, ids are remembered no longer than the watermark's delay."""
+    e = clean(events)
+    return late_limit(e, delay).dropDuplicatesWithinWatermark(["event_id"]) if e.isStreaming else e.dropDuplicates(["event_id"])
+
+
+def running_moments(events: DataFrame) -> DataFrame:
+    """(event_type, n, mean_value, var_value) of all rows so far, once a micro-batch for every type in it.
+
+    State is three numbers a type, whatever the rows: counts, means and squared deviations of micro-batches are merged.
+    Null values are left out, a type without any gives no row.
+    """
+
+    def update(key: tuple, batches: Iterator[pd.DataFrame], state: GroupState) -> Iterator[pd.DataFrame]:
+        n, mean, dev = state.get if state.exists else (0, 0.0, 0.0)
+        for b in batches:
+            v = b["value"].dropna()
+            if len(v):
+                m, gap = float(v.mean()), float(v.mean()) - mean
+                dev += float(((v - m) ** 2).sum()) + gap * gap * n * len(v) / (n + len(v))
+                mean += gap * len(v) / (n + len(v))
+                n += len(v)
+        if n:
+            state.update((n, mean, dev))
+            yield pd.DataFrame({"event_type": [key[0]], "n": [n], "mean_value": [mean], "var_value": [dev / n]})
+
+    out, kept = "event_type string, n long, mean_value double, var_value double", "n long, mean double, dev double"
+    return events.select("event_type", "value").groupBy("event_type").applyInPandasWithState(update, out, kept, "update", GroupStateTimeout.NoTimeout)

@@ -87,14 +87,73 @@ def test_bad_vectors_raise(spark):
 def test_stream_equals_batch(spark, tmp_path):
     src = str(tmp_path / "in")
     spark.read.parquet(f"{DIR}/events.parquet").repartitionByRange(4, "ts").write.parquet(src)
-    for f in (drift.tumbling, drift.reservoir):
+    ref = drift.reference(spark.read.parquet(src), "2024-01-08")
+
+    def drifting(events):
+        return drift.drift(events, ref)
+
+    for f in (drift.tumbling, drift.reservoir, drift.sliding, drift.sessions, drifting):
         name = f"s_{f.__name__}"
         q = f(io.stream(spark, src, drift.EVENT_SCHEMA, 100)).writeStream.format("memory").queryName(name).outputMode("append").option("checkpointLocation", str(tmp_path / name)).trigger(availableNow=True).start()
         q.awaitTermination(120)
         got = {tuple(r) for r in spark.table(name).collect()}
         batch = {tuple(r) for r in f(spark.read.parquet(src)).collect()}
-        assert got and got <= batch  # the last windows are still open
-        assert len(batch) - len(got) <= 10
+        near = lambda rows: {tuple(round(x, 6) if isinstance(x, float) else x for x in r) for r in rows}
+        assert got and near(got) <= near(batch)  # the last windows are still open
+        assert len(batch) - len(got) <= (10 if f is not drift.sessions else len(batch) // 5)
+
+
+def test_stateful_streams_and_batch_sink(spark, tmp_path):
+    src, out = str(tmp_path / "in"), str(tmp_path / "out")
+    e = spark.read.parquet(f"{DIR}/events.parquet")
+    e.unionByName(e.filter("event_id % 5 = 0")).repartitionByRange(3, "ts").write.parquet(src)
+    events = io.stream(spark, src, drift.EVENT_SCHEMA, 1)
+    q = drift.running_moments(events).writeStream.format("memory").queryName("moments").outputMode("update").option("checkpointLocation", str(tmp_path / "m")).trigger(availableNow=True).start()
+    q.awaitTermination(120)
+    last = {}
+    for r in spark.table("moments").collect():
+        if r["event_type"] not in last or r["n"] > last[r["event_type"]]["n"]:
+            last[r["event_type"]] = r
+    for r in spark.read.parquet(src).groupBy("event_type").agg(F.count("value").alias("n"), F.avg("value").alias("m"), F.var_pop("value").alias("v")).collect():
+        got = last[r["event_type"]]
+        assert got["n"] == r["n"] and got["mean_value"] == pytest.approx(r["m"]) and got["var_value"] == pytest.approx(r["v"])
+    for _ in range(2):  # a second run finds nothing new
+        io.append_batches(drift.deduplicated(events, "400 days"), out, str(tmp_path / "d")).awaitTermination(120)
+    assert spark.read.parquet(out).drop("batch").distinct().count() == spark.read.parquet(out).count() == e.count()
+
+
+def test_typed_readers(spark, tmp_path):
+    df = spark.createDataFrame([(1, "a", 0.5), (2, "b,c", None)], "id long, name string, x double")
+    for fmt in ("json", "csv", "orc", "parquet"):
+        df.write.format(fmt).option("header", "true").save(str(tmp_path / fmt))
+        got = io.read_typed(spark, str(tmp_path / fmt), "id long, name string, x double", fmt)
+        assert sorted(map(tuple, got.collect())) == sorted(map(tuple, df.collect()))
+    spark.createDataFrame([("id,name,x\noops,x,1",)], "value string").write.text(str(tmp_path / "bad"))
+    with pytest.raises(Exception, match="(?i)malformed"):
+        io.read_typed(spark, str(tmp_path / "bad"), "id long, name string, x double", "csv").collect()
+
+
+def test_empty_one_sided_null_and_repeated_rows(spark):
+    """Frames without rows or with one domain, null vectors, ties, repeated ids and clashing columns have defined results."""
+    schema = "id long, z array<double>, domain string, dist array<double>"
+    none = spark.createDataFrame([], schema)
+    some = spark.createDataFrame([(i, [float(i), 1.0], "s", [1.0, 1.0]) for i in range(6)] + [(3, [3.0, 1.0], "s", [1.0, 1.0])], schema)
+    bad = some.unionByName(spark.createDataFrame([(9, None, "t", None)], schema))
+    ident = lambda x: x
+    for ff in (none, some):
+        assert np.isnan(core.med_exact(ff, RBF())) and np.isnan(core.med_mapped(ff, ident))
+    for f in (lambda: core.med_exact(bad, RBF()), lambda: core.med_mapped(bad, ident), lambda: cluster.stratify_frame(bad, RBF(), 2), lambda: cluster.stratify_frame(bad, None, 2, fmap=ident).count()):
+        with pytest.raises(Exception, match="null vector"):
+            f()
+    assert cluster.stratify_frame(none, RBF(), 2).count() == 0 and cluster.stratify_frame(none, None, 2, fmap=ident).count() == 0
+    assert core.assign(none).count() == 0 and core.assign(none, "nearest").count() == 0
+    got = sorted((r["id"], r["stratum"]) for r in core.assign(some).collect())
+    assert [s for _, s in got].count(0) == 4 and len(got) == 7  # ties go to the lowest, then sizes tell
+    for how in ("greedy", "nearest"):
+        assert {r["stratum"] for r in core.assign(bad, how).filter("id = 9").collect()} == {None}
+    assert core.draw_uniform(none, 3, 2).count() == 0 and core.draw_distinct(none, 3, 2).count() == 0 and core.draw_weighted(none.withColumn("w", F.lit(1.0)), "w", 2, 2).count() == 0
+    assert sorted(r["id"] for r in core.draw_distinct(some, 99, 1).collect()) == [0, 1, 2, 3, 3, 4, 5]
+    assert core.draw_weighted(some.withColumn("w", F.when(F.col("id") == 4, 2.0).otherwise(F.when(F.col("id") == 1, -1.0))), "w", 5, 2).select("id").distinct().collect() == [(4,)]
 
 
 def test_late_rows_leave_closed_windows(spark, tmp_path):
