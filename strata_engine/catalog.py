@@ -649,7 +649,7 @@ def split_counts(spark, d):
 @query
 def doc_features(spark, d):
     f = E.text_features("text")
-    return load(spark, d, "documents", ["doc_id", "text"]).select("doc_id", *[E.r6(v).alias(k) for k, v in f.items()])
+    return io.dealt(load(spark, d, "documents", ["doc_id", "text"])).select("doc_id", *[E.r6(v).alias(k) for k, v in f.items()])
 
 
 @query

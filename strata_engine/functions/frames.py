@@ -6,7 +6,7 @@ import numpy as np
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from ..sources.io import load
+from ..sources.io import dealt, load
 from . import exprs as E
 
 SEED = 42
@@ -51,14 +51,14 @@ def standardised(df: DataFrame, columns) -> DataFrame:
 
 def lineitem(spark: SparkSession, sf_dir: str, how: str = "affine") -> DataFrame:
     """Line items: the id is 60 bits of a hash of the five columns that tell rows apart."""
-    src = load(spark, sf_dir, "lineitem", [*LINE, *LINE_KEY, "l_returnflag", "l_linestatus"])
+    src = dealt(load(spark, sf_dir, "lineitem", [*LINE, *LINE_KEY, "l_returnflag", "l_linestatus"]))
     key = [F.date_format("l_shipdate", "yyyy-MM-dd") if c == "l_shipdate" else F.col(c) for c in LINE_KEY]
     src = src.withColumn("id", E.hash_bits(*key, digits=15)).withColumn("env", F.concat("l_returnflag", "l_linestatus"))
     return with_domain(standardised(src, LINE).select("id", "z", "env", F.floor(F.col("l_quantity") / 12.75).cast("int").alias("y")), how)
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs, labels = load(spark, sf_dir, "documents", ["doc_id", "text", "lang", "source"]), load(spark, sf_dir, "labels")
+    docs, labels = dealt(load(spark, sf_dir, "documents", ["doc_id", "text", "lang", "source"])), load(spark, sf_dir, "labels")
     one = labels.groupBy("doc_id").agg(F.max("quality").alias("quality"), F.max("toxic").alias("toxic"))
     f = E.text_features("text")
     return docs.select("doc_id", F.array(*f.values()).alias("z"), F.col("lang").alias("env"), "source").join(one, "doc_id", "left").select(F.col("doc_id").alias("id"), "z", "env", "source", F.col("quality").alias("y"), "toxic")

@@ -35,6 +35,12 @@ def load(spark: SparkSession, sf_dir: str, name: str, columns: list[str] | None
     return df.withColumns({f.name: F.col(f.name).cast("timestamp") for f in df.schema if isinstance(f.dataType, T.TimestampNTZType)})
 
 
+def dealt(df: DataFrame) -> DataFrame:
+    """``df`` in as many partitions as the cluster has cores where it comes from fewer files; untouched, without a shuffle, from more."""
+    cores = df.sparkSession.sparkContext.defaultParallelism
+    return df if len(df.inputFiles()) >= cores else df.repartition(cores)
+
+
 def read_typed(spark: SparkSession, path: str, schema: str | T.StructType, fmt: str = "parquet") -> DataFrame:
     """JSON, CSV, ORC or Parquet with an explicit schema; malformed rows fail."""
     return spark.read.schema(schema).option("mode", "FAILFAST").option("header", "true").format(fmt).load(path)
