@@ -19,7 +19,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from .common import parts, prepare_workers, remove_path, stage
-from .components import components
+from .components import components, with_least
 
 WIDTH = 4
 SEED = 42
@@ -181,8 +181,7 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     links, lpath = stage(near_links(nodes.select("fp"), radius, cap).distinct(), "near")
     comp, cpath = stage(components(links), "components")
     owner = nodes.join(comp.withColumnRenamed("node", "fp"), "fp", "left").withColumn("component", F.coalesce("component", "fp"))
-    smallest = owner.groupBy("component").agg(F.min("least").alias("component_id"))
-    by_fp = owner.join(smallest, "component").select("fp", "component_id")
+    by_fp = with_least(owner, "component", "least", nodes.count()).select("fp", F.col("m").alias("component_id"))
     return marked.join(by_fp, "fp", "left").select(id_col, "fp", "component_id")
 
 

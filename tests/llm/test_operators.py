@@ -118,6 +118,15 @@ def test_components(spark):
     assert all(got[i] == 0 for i in range(41)) and got[101] == 100 and all(got[301 + i] == 300 for i in range(50)) and 200 not in got
 
 
+def test_least_of_hot_keys(spark):
+    rows = [(1, i, str(i)) for i in range(200, 0, -1)] + [(k, k + j, "x") for k in range(2, 12) for j in range(3)] + [(20, None, None)]
+    df = spark.createDataFrame(rows, "k long, v long, other string")
+    got = sorted(map(tuple, components.with_least(df, "k", "v", len(rows)).collect()), key=str)
+    least = {1: 1, 20: None} | {k: k for k in range(2, 12)}
+    assert got == sorted(((*r, least[r[0]]) for r in rows), key=str)
+    assert components.with_least(df.limit(0), "k", "v", 0).count() == 0
+
+
 def test_bpe_round_trip(spark, docs):
     import tiktoken
 
