@@ -41,11 +41,13 @@ def components(links: DataFrame) -> DataFrame:
         both = stars.unionByName(stars.select(F.col("b").alias("a"), F.col("a").alias("b")))
         hung = with_least(both, "a", "b", 2 * before[0]).filter("b > a")
         large = hung.select(F.col("b").alias("a"), F.least("a", "m").alias("b")).filter("a <> b").distinct()
+        large, middle = stage(large, "larger")
         joined = with_least(large, "a", "b", 2 * before[0])
         least = joined.select("a", F.col("m").alias("b"))
         small = joined.select(F.col("b").alias("a"), F.col("m").alias("b")).filter("a <> b").unionByName(least).distinct()
         stars, newer = stage(small, "stars")
-        remove_path(links.sparkSession, path)
+        for old in (path, middle):
+            remove_path(links.sparkSession, old)
         path, after = newer, _signature(stars)
         if after == before:
             break
