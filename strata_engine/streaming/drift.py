@@ -7,6 +7,7 @@ from collections.abc import Iterator
 import pandas as pd
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
+from pyspark.sql.streaming.query import StreamingQuery
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from ..functions import exprs as E
@@ -23,6 +24,14 @@ def late_limit(events: DataFrame, delay: str) -> DataFrame:
     return events.withWatermark("ts", delay) if events.isStreaming else events
 
 
+def late_rows(query: StreamingQuery) -> int:
+    """Rows that a run dropped as older than its watermark, over the progress reports that it still holds.
+
+    Windowed aggregates pre-aggregate a micro-batch first, so there late rows of one group, window and task count as one.
+    """
+    return sum(o["numRowsDroppedByWatermark"] for p in query.recentProgress for o in p["stateOperators"])
+
+
 def tumbling(events: DataFrame, width: str = "1 day", delay: str = "1 hour") -> DataFrame:
     g = late_limit(clean(events), delay).groupBy(F.window("ts", width), "event_type").agg(F.count("*").alias("n"), F.avg("value").alias("mean_value"))
     return g.select(F.col("window.start").alias("window_start"), "event_type", "n", "mean_value")

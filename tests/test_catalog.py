@@ -161,14 +161,15 @@ def test_late_rows_leave_closed_windows(spark, tmp_path):
     rows = [(1, "2024-01-01 00:10:00", 1, "a", 1.0, "{}"), (2, "2024-01-05 00:00:00", 1, "a", 2.0, "{}"), (3, "2024-01-09 00:00:00", 1, "a", 2.0, "{}")]
     mk = lambda r: spark.createDataFrame(r, "event_id long, ts string, user_id long, event_type string, value double, props string").withColumn("ts", F.col("ts").cast("timestamp_ntz"))
     mk(rows[:2]).coalesce(1).write.mode("append").parquet(src)
-    ck = str(tmp_path / "ck")
+    ck, late = str(tmp_path / "ck"), []
     for i, extra in enumerate((None, rows[2:], [(4, "2024-01-01 01:00:00", 1, "a", 9.0, "{}")], [(5, "2024-01-20 00:00:00", 1, "a", 1.0, "{}")])):
         if extra:
             mk(extra).coalesce(1).write.mode("append").parquet(src)
         q = drift.tumbling(io.stream(spark, src, drift.EVENT_SCHEMA)).writeStream.format("parquet").option("path", str(tmp_path / "out")).option("checkpointLocation", ck).outputMode("append").trigger(availableNow=True).start()
         q.awaitTermination(120)
+        late.append(drift.late_rows(q))
     out = {str(r["window_start"])[:10]: r["n"] for r in spark.read.parquet(str(tmp_path / "out")).collect()}
-    assert out["2024-01-01"] == 1
+    assert out["2024-01-01"] == 1 and late == [0, 0, 1, 0]
 
 
 def test_sinks_round_trip(spark, tmp_path):
