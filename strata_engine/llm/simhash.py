@@ -1,10 +1,11 @@
 """SimHash near-duplicates with bit-sliced comparison.
 
 Fingerprints are compared in blocks that an exact pigeonhole key yields: 64 bits in ``radius + 2`` parts, of which any
-two fingerprints within the radius share two, so that each pair meets under one of the part pairs. Within a block the
-differing bits of many pairs are held vertically, one machine word for one bit of 64 pairs; three carry-save counter
-planes and an overflow plane update all distances at once, and a block is given up once every pair has overflowed.
-Blocks with too many fingerprints are keyed again by parts of the bits that are left, which stays exact.
+two fingerprints within the radius share two, so that each pair meets under one of the part pairs. Fingerprints in the order
+of their keys are stored vertically, 64 bit planes with a machine word for 64 neighbours. Planes against themselves,
+shifted, give the differing bits of 64 pairs a word; three carry-save counter planes and an overflow plane update all
+distances at once, and 64 pairs are given up once all are beyond the radius. Groups of one key with too many fingerprints
+are keyed again by parts of the bits that are left, which stays exact.
 """
 
 from __future__ import annotations
@@ -59,15 +60,41 @@ def fingerprints(docs: DataFrame, id_col: str = "doc_id", text_col: str = "text"
     return src.mapInArrow(work, f"`{id_col}` {docs.schema[id_col].dataType.simpleString()}, fp long")
 
 
-def within(diff: np.ndarray, radius: int, block: int = 1 << 15) -> np.ndarray:
-    """Which of the 64-bit differences have at most ``radius`` (up to 7) bits set, by vertical carry-save counting."""
-    out = np.zeros(len(diff), dtype=bool)
-    for s in range(0, len(diff), block):
-        d = diff[s : s + block]
-        planes = np.packbits(np.unpackbits(np.ascontiguousarray(d).view(np.uint8)).reshape(-1, 64).T, axis=1)
-        one, two, four, over = (np.zeros(planes.shape[1], dtype=np.uint8) for _ in range(4))
+class Planes:
+    """Fingerprints stored vertically: word w of plane k holds bit k of fingerprints 64 w to 64 w + 63."""
+
+    def __init__(self, fps: np.ndarray, at_once: int = 1 << 16):
+        self.words = np.zeros((64, len(fps) // 64 + 2), dtype=np.uint64)  # shifted reads run into a spare word of zeros
+        packed = self.words.view(np.uint8)
+        for s in range(0, len(fps), at_once):
+            bits = np.unpackbits(np.ascontiguousarray(fps[s : s + at_once]).view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+            some = np.packbits(bits.T, axis=1, bitorder="little")
+            packed[:, s // 8 : s // 8 + some.shape[1]] = some
+
+    def near(self, at: np.ndarray, step: int, radius: int) -> np.ndarray:
+        """Those of the ascending places ``at`` whose fingerprint is within ``radius`` (up to 7) bits of the one ``step`` further on.
+
+        64 neighbouring places are a block. Two planes at a time enter the counters of all blocks; blocks whose places have
+        all gone beyond the radius are given up.
+        """
+        if not len(at):
+            return at
+        first = np.flatnonzero(np.diff(at >> 6, prepend=-1))
+        block = at[first] >> 6
+        live = np.bitwise_or.reduceat(np.uint64(1) << (at & 63).astype(np.uint64), first)
+        far, shift = step >> 6, np.uint64(step & 63)
+        rest = np.uint64(64) - shift
+        one, two, four, over = (np.zeros(len(block), dtype=np.uint64) for _ in range(4))
+
+        def differ(plane: np.ndarray) -> np.ndarray:
+            other = plane[block + far]
+            if shift:
+                # places that reach beyond the last fingerprint are none of ``at``
+                other = other >> shift | plane[np.minimum(block + far + 1, len(plane) - 1)] << rest
+            return plane[block] ^ other
+
         for k in range(0, 64, 2):
-            x, y = planes[k], planes[k + 1]
+            x, y = differ(self.words[k]), differ(self.words[k + 1])
             half = x ^ y
             carry = (x & y) | (one & half)  # a full adder takes two planes at a time
             one = one ^ half
@@ -75,16 +102,21 @@ def within(diff: np.ndarray, radius: int, block: int = 1 << 15) -> np.ndarray:
             two = two ^ carry
             over |= four & up
             four = four ^ up
-            if k % 16 == 14 and (over | _beyond(one, two, four, radius)).min() == 255:
-                break
-        dead = over | _beyond(one, two, four, radius)
-        out[s : s + block] = np.unpackbits(~dead, count=len(d)).astype(bool)
-    return out
+            if k % 8 == 6:
+                live &= ~(over | _beyond(one, two, four, radius))
+                left = np.flatnonzero(live)
+                if not len(left):
+                    return at[:0]
+                if 4 * len(left) < 3 * len(live):
+                    block, live, one, two, four, over = (c[left] for c in (block, live, one, two, four, over))
+        bits = np.unpackbits(live.view(np.uint8).reshape(-1, 8), axis=1, bitorder="little")
+        i, lane = np.nonzero(bits)
+        return block[i] * 64 + lane
 
 
 def _beyond(one, two, four, radius: int):
     """Where the three-bit counters exceed ``radius``."""
-    more, same = np.zeros_like(one), np.full_like(one, 255)
+    more, same = np.zeros_like(one), ~np.zeros_like(one)
     for plane, bit in ((four, 4), (two, 2), (one, 1)):
         if radius & bit:
             same = same & plane
@@ -105,7 +137,7 @@ def _links(fps: np.ndarray, keys: list[np.ndarray], radius: int) -> tuple[np.nda
     head = np.flatnonzero(~same)
     sizes = np.diff(np.concatenate((head, [len(fps)])))
     left = np.repeat(head + sizes, sizes) - np.arange(len(fps)) - 1  # partners after each one in its run
-    label, step = np.arange(len(fps)), 1
+    planes, label, step = Planes(fps), np.arange(len(fps)), 1
     while True:
         at = np.flatnonzero(left >= step)
         if not len(at):
@@ -113,7 +145,7 @@ def _links(fps: np.ndarray, keys: list[np.ndarray], radius: int) -> tuple[np.nda
         at = at[label[at] != label[at + step]]  # what is linked already needs no comparison
         for s in range(0, len(at), 1 << 16):
             a = at[s : s + (1 << 16)]
-            a = a[within(fps[a] ^ fps[a + step], radius)]
+            a = planes.near(a, step, radius)
             b = a + step
             while (label[a] != label[b]).any():  # roots sink to the smallest place of the component
                 x, y = label[a], label[b]

@@ -106,10 +106,16 @@ def test_simhash(spark, docs):
 
 def test_bit_slices():
     rng = np.random.default_rng(2)
-    d = rng.integers(0, 1 << 63, 3000, dtype=np.uint64) & rng.integers(0, 1 << 63, 3000, dtype=np.uint64) & rng.integers(0, 1 << 63, 3000, dtype=np.uint64) & rng.integers(0, 1 << 63, 3000, dtype=np.uint64)
-    d[:10] = 0
-    for radius in range(8):
-        assert (simhash.within(d, radius, 640) == (np.bitwise_count(d) <= radius)).all()
+    for n in (2, 63, 64, 65, 700):
+        fps = np.bitwise_xor.accumulate(np.bitwise_and.reduce(rng.integers(0, 1 << 63, (4, n), dtype=np.uint64), axis=0))
+        fps[n // 2 :] ^= np.uint64(1 << 63)
+        fps[: n // 8] = fps[0]
+        planes = simhash.Planes(fps, at_once=128)
+        for step in {1, 2, 5, 63, 64, 65, 130, n - 1} & set(range(1, n)):
+            for at in (np.arange(n - step), np.flatnonzero(rng.random(n - step) < 0.05)):
+                for radius in range(8):
+                    want = at[np.bitwise_count(fps[at] ^ fps[at + step]) <= radius]
+                    assert planes.near(at, step, radius).tolist() == want.tolist()
 
 
 def test_components(spark):
