@@ -209,9 +209,10 @@ def near_duplicates(docs: DataFrame, id_col: str = "doc_id", text_col: str = "te
     cost one comparison. An empty table gives an empty result; other columns are not read.
     """
     marked, _ = stage(fingerprints(docs, id_col, text_col, width), "fingerprints")
-    nodes, path = stage(marked.groupBy("fp").agg(F.min(id_col).alias("least")), "nodes")
+    nodes, _ = stage(marked.groupBy("fp").agg(F.min(id_col).alias("least")), "nodes")
     links, lpath = stage(near_links(nodes.select("fp"), radius, cap).distinct(), "near")
-    comp, cpath = stage(components(links), "components")
+    comp, _ = stage(components(links), "components")
+    remove_path(docs.sparkSession, lpath)
     owner = nodes.join(comp.withColumnRenamed("node", "fp"), "fp", "left").withColumn("component", F.coalesce("component", "fp"))
     by_fp = with_least(owner, "component", "least", nodes.count()).select("fp", F.col("m").alias("component_id"))
     return marked.join(by_fp, "fp", "left").select(id_col, "fp", "component_id")
