@@ -10,7 +10,7 @@ import numpy as np
 import pytest
 from pyspark.sql import functions as F
 
-from strata_engine.llm import decontaminate, importance, langid, toxicity
+from strata_engine.llm import bm25, decontaminate, importance, langid, toxicity
 
 WORDS = [a + b for a in ("ka", "lo", "mi", "ter", "un") for b in ("ra", "vel", "ship", "do", "ing", "ex", "pol")]
 M64 = (1 << 64) - 1
@@ -155,3 +155,59 @@ def test_decontamination_finds_what_all_pairs_align(spark):
     sure = {k for k, v in want.items() if v >= 0.8}
     assert sure <= set(found) and len(set(found)) >= 0.9 * len(want) and len(want) >= 35
     assert sum(r["doc_id"] == 1 for r in got) == 3 * sum(k[0] == 1 for k in found)
+
+
+def slow_pivots(lists, k, block):
+    """Scores of the ``k`` best documents by pivots over posting cursors, one document at a time, and how many pivots that took.
+
+    ``lists`` has (documents, contributions) of each word of a query, documents ascending.
+    """
+    end = 1 << 60
+    lists = [(d, p, max(p), [(d[min(s + block, len(d)) - 1], max(p[s : s + block])) for s in range(0, len(d), block)]) for d, p in lists]
+    place, best, pivots = [0] * len(lists), [], 0
+    at = lambda c: lists[c][0][place[c]] if place[c] < len(lists[c][0]) else end
+    while True:
+        order, reach, pivot = sorted((at(c), c) for c in range(len(lists))), 0.0, end
+        pivots += 1
+        least = best[-1] if len(best) == k else 0.0
+        for d, c in order:
+            reach += lists[c][2]
+            if reach > least:
+                pivot = d
+                break
+        if pivot == end:
+            return best, pivots
+        ahead = [c for d, c in order if d <= pivot]
+        near = [next((x for x in lists[c][3] if x[0] >= pivot), (end, 0.0)) for c in ahead]
+        if sum(x[1] for x in near) <= least:  # no document up to the next end of a block or cursor can be among the best
+            to = min([x[0] + 1 for x in near] + [d for d, _ in order if d > pivot])
+        elif order[0][0] == pivot:
+            best = sorted([*best, sum(lists[c][1][place[c]] for c in ahead)], reverse=True)[:k]
+            to = pivot + 1
+        else:
+            to = pivot
+        for c in ahead:
+            while at(c) < to:
+                place[c] += 1
+
+
+def test_blocks_by_bound_give_what_pivots_give():
+    rng = random.Random(31)
+    docs = [(i, *bm25.terms_of(prose(rng, rng.randint(1, 40), WORDS[: rng.choice((5, 20, 35))]))) for i in range(300)]
+    rows = [(i, t.tobytes(), f.tobytes(), int(f.sum())) for i, t, f in docs]
+    asked = bm25.Asked([(r[0], r[0], r[1], r[2]) for r in rows[::20]])
+    df = np.zeros(len(asked.vocab), dtype=np.int64)
+    for _, t, _ in docs:
+        df[bm25.places(t, asked.vocab)[1]] += 1
+    shard = bm25.Shard(rows, asked.vocab, df, len(rows), sum(r[3] for r in rows) / len(rows), 5, 1.2, 0.75, 8, most_dense=12)
+    doc = np.repeat(np.arange(shard.n), np.diff(shard.first))
+    got = dict(shard.top(asked, 0, len(asked.row), np.zeros(len(asked.row)), 5))
+    for i in range(len(asked.row)):
+        lists = []
+        for word, weight in zip(asked.at[asked.first[i] : asked.first[i + 1]], asked.weight[asked.first[i] : asked.first[i + 1]], strict=True):
+            mine = np.flatnonzero(shard.at == word)
+            lists.append((doc[mine].tolist(), (shard.part[mine] * weight).tolist()))
+        want, pivots = slow_pivots(lists, 5, 4)
+        once = {shard.ids[d][0] for d in range(shard.n)}  # equal documents are scored once
+        scores = sorted((v for v, x in got[i] if x in once), reverse=True)[:5]
+        assert scores == pytest.approx(want, abs=1e-6) and pivots > 0
