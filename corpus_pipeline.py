@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from strata_engine.llm import bpe, decontaminate, langid, simhash, suffix_dedup
-from strata_engine.llm.common import bucket_of, load, stage
+from strata_engine.llm.common import bucket_of, load, remove_path, stage
 from strata_engine.llm.queries import vocabulary
 
 #: A document whose cosine with the nearest language prototype is below this has no recognised language.
@@ -83,7 +83,10 @@ ORACLE_SQL = None
 
 
 def run(spark: SparkSession, sf_dir: str) -> DataFrame:
-    docs = load(spark, sf_dir, "documents")
+    docs, before = load(spark, sf_dir, "documents"), None
     for name, step in STAGES:
-        docs, _ = stage(step(spark, docs, sf_dir), f"pipeline-{name}")
+        docs, path = stage(step(spark, docs, sf_dir), f"pipeline-{name}")
+        if before:  # its successor is written
+            remove_path(spark, before)
+        before = path
     return docs
