@@ -19,7 +19,7 @@ from ..functions import exprs as E
 from ..functions.kernels import Kernel, Linear
 from ..sources import io
 from . import greedy as G
-from .core import EXACT_ROWS, Small, _rows
+from .core import SMALL_ROWS, Small, _rows
 
 
 def u01(*parts) -> float:
@@ -140,7 +140,7 @@ def stratify_frame(ff: DataFrame, kernel: Kernel | Callable[[np.ndarray], Kernel
     spark = ff.sparkSession
     if fmap is not None:
         return stratify_mapped(ff, fmap, k, **options)
-    small = Small(ff, "domain", limit=EXACT_ROWS)
+    small = Small(ff, "domain", limit=SMALL_ROWS)
     parts = []
     for dom in sorted(set(small.extra["domain"].tolist())):
         at = small.extra["domain"] == dom

@@ -16,25 +16,86 @@ def nearest(dist: np.ndarray) -> np.ndarray:
     return dist.argmin(1)
 
 
-def greedy(dist: np.ndarray, order: np.ndarray | None = None, parallel: int = 1, score: str = "printed") -> np.ndarray:
-    """One pass: each row takes the stratum that is cheapest at the sizes so far; ``parallel`` rows share stale sizes.
+class Pass:
+    """One pass in a given order, fed piece by piece: only sizes and sums so far are kept, whatever the number of rows.
 
-    ``score='marginal'`` adds what the residents of a stratum pay for its growth. Ties go to the lowest stratum.
+    Each row takes the stratum that is cheapest at the sizes so far; ``parallel`` rows share stale sizes.
+    ``score='marginal'`` adds what the residents of a stratum pay for its growth. Ties go to the lowest stratum. A stretch
+    of rows is guessed at once and guessed again with the sizes that the guess implies until nothing changes: then each
+    row saw just what the rows before it left, so the picks are those of a row-by-row pass.
     """
-    dist = np.maximum(dist, 0.0)
-    n, k = dist.shape
-    order = np.arange(n) if order is None else order
-    out = np.empty(n, dtype=np.int64)
-    sizes, sums = np.zeros(k), np.zeros(k)
-    for at in range(0, n, parallel):
-        rows = order[at : at + parallel]
-        cost = dist[rows] * (sizes + 1.0)
-        if score == "marginal":
-            cost = cost + sums
-        pick = cost.argmin(1)
-        out[rows] = pick
-        sizes += np.bincount(pick, minlength=k)
-        sums += np.bincount(pick, weights=dist[rows, pick], minlength=k)
+
+    def __init__(self, parallel: int = 1, score: str = "printed"):
+        self.parallel, self.marginal = parallel, score == "marginal"
+        self.sizes = self.sums = np.zeros(0)
+        self.stale, self.open, self.width = (self.sizes, self.sums), 0, parallel
+
+    def take(self, dist: np.ndarray) -> np.ndarray:
+        if not len(self.sizes):
+            self.sizes = self.sums = np.zeros(dist.shape[1])
+        dist = np.maximum(dist, 0.0)
+        out, at = np.empty(len(dist), dtype=np.int64), 0
+        while at < len(dist):
+            if self.open:  # the rest of a group that began in an earlier piece
+                d = dist[at : at + self.parallel - self.open]
+                pick = self._cheapest(d, *self.stale)
+            else:
+                d = dist[at : at + self.width]
+                self.stale, pick = (self.sizes, self.sums), self._settle(d)
+                whole = len(d) // self.parallel * self.parallel
+                if 0 < whole < len(d):  # a group that stays open begins a stretch of its own
+                    d, pick = d[:whole], pick[:whole]
+            self._add(d, pick)
+            self.open = (self.open + len(d)) % self.parallel
+            out[at : at + len(d)] = pick
+            at += len(d)
+        return out
+
+    def cost(self) -> float:
+        """Sum over strata of size times summed distance, added in their order."""
+        return float(np.cumsum(self.sizes * self.sums)[-1]) if len(self.sizes) else 0.0
+
+    def _cheapest(self, d: np.ndarray, sizes: np.ndarray, sums: np.ndarray) -> np.ndarray:
+        cost = d * (sizes + 1.0)
+        return (cost + sums if self.marginal else cost).argmin(1)
+
+    def _settle(self, d: np.ndarray) -> np.ndarray:
+        n, k = d.shape
+        row, first = np.arange(n), np.arange(n) // self.parallel * self.parallel
+        pick, rounds = self._cheapest(d, self.sizes, self.sums), 0
+        while n > self.parallel:
+            before = np.zeros((n + 1, k))
+            before[0] = self.sizes
+            before[row + 1, pick] = 1.0
+            sizes, sums = np.cumsum(before, axis=0)[first], 0.0
+            if self.marginal:
+                before = np.zeros((n + 1, k))
+                before[0] = self.sums
+                before[row + 1, pick] = d[row, pick]
+                sums = np.cumsum(before, axis=0)[first]
+            now, rounds = self._cheapest(d, sizes, sums), rounds + 1
+            if (now == pick).all():
+                break
+            pick = now
+        if rounds <= 6 and self.width < 4096:
+            self.width *= 2
+        elif rounds > 12 and self.width > self.parallel:
+            self.width //= 2
+        return pick
+
+    def _add(self, d: np.ndarray, pick: np.ndarray) -> None:
+        self.sizes = self.sizes + np.bincount(pick, minlength=len(self.sizes))
+        add = np.zeros((len(d) + 1, len(self.sums)))
+        add[0] = self.sums
+        add[np.arange(len(d)) + 1, pick] = d[np.arange(len(d)), pick]
+        self.sums = np.cumsum(add, axis=0)[-1]
+
+
+def greedy(dist: np.ndarray, order: np.ndarray | None = None, parallel: int = 1, score: str = "printed") -> np.ndarray:
+    """One ``Pass`` over a matrix, in its order or another."""
+    order = np.arange(len(dist)) if order is None else order
+    out = np.empty(len(dist), dtype=np.int64)
+    out[order] = Pass(parallel, score).take(dist[order])
     return out
 
 

@@ -6,7 +6,7 @@ import math
 from dataclasses import dataclass
 
 from ..functions.kernels import Kernel, Linear, Quadratic
-from ..operators.core import EXACT_ROWS
+from ..operators.core import SMALL_ROWS
 
 
 @dataclass(frozen=True)
@@ -21,11 +21,11 @@ class Plan:
 
 
 def choose(n: int, d: int, k: int, kernel: Kernel, rounds: int = 5, trials: int = 100, freqs: int = 256, worker_mb: float = 128, fit_rows: int = 10_000_000) -> Plan:
-    """Exact for at most ``EXACT_ROWS`` rows; else a finite map, fitted on a sample beyond ``fit_rows``.
+    """Exact for at most ``SMALL_ROWS`` rows; else a finite map, fitted on a sample beyond ``fit_rows``.
 
     A bucket's features fit a worker, and has at least 50 k rows, below which greedy assignment loses quality.
     """
-    if n <= EXACT_ROWS:
+    if n <= SMALL_ROWS:
         return Plan("exact", 1, 0, float(n) ** 2, float(n) * k * 8, rounds, 1.0)
     m = d if isinstance(kernel, Linear) else d * (d + 1) // 2 if isinstance(kernel, Quadratic) else 2 * freqs * len(getattr(kernel, "gammas", (1,)))
     share = min(1.0, fit_rows / n)

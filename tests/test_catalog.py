@@ -221,3 +221,29 @@ def test_mapped_strata_gain_by_trials(spark):
         got = {r["id"]: r["stratum"] for r in cluster.stratify_mapped(ff, lambda x: x, 8, rounds=1, buckets=1, trials=trials).collect()}
         costs[trials] = G.assignment_cost(d, np.array([got[i] for i in small.ids]))
     assert costs[40] == pytest.approx(G.best_of(d, 40, 10, 42)[1]) and costs[40] < costs[1]
+
+
+def test_strata_of_many_rows_are_one_pass(spark):
+    """More than 20,000 rows by themselves, by a key and in blocks of ten: as a pass over all of them in the order of ids."""
+    n = 21_003
+    ff = spark.range(n).select("id", (F.col("id") % 2).cast("string").alias("domain"), F.array(*[F.round(E.portable_u(1, c, F.col("id")) + 0.5, 6) for c in range(3)]).alias("dist")).repartition(5).cache()
+    rows = sorted(ff.collect())
+    d = np.array([r["dist"] for r in rows])
+    for parallel in (1, 10):
+        got = {r["id"]: r["stratum"] for r in core.assign(ff, parallel=parallel).collect()}
+        assert [got[i] for i in range(n)] == G.greedy(d, parallel=parallel).tolist()
+    got = {(r["domain"], r["id"]): r["stratum"] for r in core.assign(ff, by=("domain",)).collect()}
+    for dom in (0, 1):
+        assert [got[str(dom), i] for i in range(dom, n, 2)] == G.greedy(d[dom::2]).tolist()
+
+
+def test_costs_of_passes(spark):
+    """Trials and ways over more rows than were once allowed cost what numpy's passes over all of them do."""
+    n = 20_500
+    ff = spark.range(n).select("id", F.array(*[E.portable_u(1, c, F.col("id")) + 0.5 for c in range(3)]).alias("dist"))
+    d = np.array([r["dist"] for r in ff.orderBy("id").collect()])
+    shuffled = ff.select(F.explode(F.array(F.lit(0), F.lit(1))).alias("trial"), "id", "dist").withColumn("u", E.portable_u(42, "perm", F.col("trial"), F.col("id")))
+    got = {r["trial"]: r["cost"] for r in core.pass_costs(shuffled, "trial", "u", "id").collect()}
+    for t in (0, 1):
+        order = np.lexsort((np.arange(n), [cluster.u01(42, "perm", t, i) for i in range(n)]))
+        assert got[t] == pytest.approx(G.assignment_cost(d[order], G.greedy(d[order])), rel=1e-12)
