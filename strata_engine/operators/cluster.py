@@ -46,6 +46,33 @@ def seed_kpp(z: np.ndarray, ids: np.ndarray, kernel: Kernel, k: int, seed: int |
     return np.array(picked)
 
 
+def seed_rows(ff: DataFrame, kernel: Kernel, k: int, seed: int | str = 42) -> tuple[list[int], np.ndarray]:
+    """The ids and vectors that ``seed_kpp`` picks, from a frame of any size: a pass a seed, which keeps the winner of the race."""
+    first = ff.select("id", "z").orderBy(E.portable_u(seed, "seed", 0, F.col("id")), "id").limit(1).collect()
+    ids, z = [r["id"] for r in first], [r["z"] for r in first]
+
+    def racing(to: np.ndarray):
+        def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                if len(b):
+                    x = _rows(b)
+                    near = np.maximum(kernel.diag(x)[:, None] + kernel.diag(to) - 2 * kernel.block(x, to), 0.0).min(1)
+                    at = np.flatnonzero(near > 1e-12)
+                    race = -np.log(1 - b.column(2).to_numpy()[at]) / near[at]
+                    i = at[np.lexsort((b.column(0).to_numpy()[at], race))[:1]]
+                    yield pa.RecordBatch.from_arrays([b.column(0).take(pa.array(i)), b.column(1).take(pa.array(i)), pa.array(np.sort(race)[:1])], names=["id", "z", "race"])
+
+        return work
+
+    for r in range(1, k):
+        dealt = ff.select("id", E.vec("z").alias("z"), E.portable_u(seed, "seed", r, F.col("id")).alias("u"))
+        won = dealt.mapInArrow(racing(np.array(z, dtype=float)), "id long, z array<double>, race double").orderBy("race", "id").limit(1).collect() if ids else []
+        if not won:
+            raise ValueError(f"fewer distinct rows than {k} strata")
+        ids, z = [*ids, won[0]["id"]], [*z, won[0]["z"]]
+    return ids, np.array(z, dtype=float)
+
+
 @dataclass
 class Strata:
     strata: np.ndarray

@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from strata_engine import catalog
 from strata_engine.functions import exprs as E
 from strata_engine.functions import frames
-from strata_engine.functions.kernels import MIXTURE, RBF
+from strata_engine.functions.kernels import MIXTURE, RBF, FourierMap, map_error
 from strata_engine.operators import cluster, core
 from strata_engine.operators import greedy as G
 from strata_engine.sources import io
@@ -247,3 +247,31 @@ def test_costs_of_passes(spark):
     for t in (0, 1):
         order = np.lexsort((np.arange(n), [cluster.u01(42, "perm", t, i) for i in range(n)]))
         assert got[t] == pytest.approx(G.assignment_cost(d[order], G.greedy(d[order])), rel=1e-12)
+
+
+def test_pairs_in_tiles_and_chunks(spark, monkeypatch):
+    """Vectors in several chunks and tiles give the sums, errors and seeds of whole arrays; no row is too many."""
+    monkeypatch.setattr(core.Spread, "TILE", 100)
+    ff = frames.embeddings(spark, DIR)
+    small, kernel = core.Small(ff, "domain"), RBF()
+    gram, own = kernel.block(small.z, small.z), small.ids % 7
+    spread = core.Spread(ff, rows=150)
+    one = (own[:, None] == np.arange(7)).astype(float)
+    assert len(spread.chunks) == 4 and (spread.ids == small.ids).all()
+    assert np.allclose(spread.sums(kernel, own, 7), gram @ one, atol=1e-9)
+    total, diag = spread.own_sums(kernel, own, 7)
+    assert np.allclose(total, np.einsum("ih,ij,jh->h", one, gram, one)) and np.allclose(diag, one.sum(0))
+    maps = [FourierMap(kernel, 64, f) for f in (16, 64)]
+    assert np.allclose(spread.map_errors(kernel, maps, 90), [map_error(kernel, m, small.z) for m in maps])
+    spread.close()
+    assert cluster.seed_rows(ff, kernel, 8)[0] == small.ids[cluster.seed_kpp(small.z, small.ids, kernel, 8)].tolist()
+
+
+def test_exact_kernel_work_takes_more_rows_than_once(spark):
+    n = 20_400
+    ff = spark.range(n).select("id", F.array(F.lit(1.0), (F.col("id") % 3).cast("double")).alias("z"), F.when(F.col("id") % 2 == 0, "s").otherwise("t").alias("domain"))
+    assert core.med_exact(ff, RBF()) == pytest.approx(0, abs=1e-12)
+    s = ff.select("id", (F.col("id") % 3).cast("int").alias("stratum"))
+    assert [(r["n_h"], round(r["scatter"], 6)) for r in core.scatter(ff, s, RBF()).orderBy("stratum").collect()] == [(n // 3, 0.0)] * 3
+    far = core.kernel_distances(ff, s, RBF(), 3)
+    assert far.count() == n and far.filter("abs(dist[id % 3]) > 1e-9").count() == 0
