@@ -19,7 +19,10 @@ from ..functions import exprs as E
 from ..functions.kernels import Kernel, Linear
 from ..sources import io
 from . import greedy as G
-from .core import SMALL_ROWS, Small, _rows
+from .core import Small, Spread, _rows, distances_of_sums
+
+#: Rows up to which all pairs are kept at once, on the driver.
+GRAM_ROWS = 4_000
 
 
 def u01(*parts) -> float:
@@ -110,9 +113,9 @@ def uniform_variance(gram: np.ndarray, k: int, replace: bool = True) -> float:
     return float(v if replace else v * (n - k) / max(n - 1, 1))
 
 
-def portable_orders(ids: np.ndarray, trials: int, seed: int, it: int) -> list[np.ndarray]:
-    """Shuffled orders of a round's trials by portable uniforms, which SQL can replay."""
-    return [np.lexsort((ids, [u01(seed, "perm", it, t, i) for i in ids])) for t in range(trials)]
+def portable_orders(ids: np.ndarray, trials: int, seed: int, it: int, first: int = 0) -> list[np.ndarray]:
+    """Shuffled orders of a round's trials, from number ``first`` on, by portable uniforms, which SQL can replay."""
+    return [np.lexsort((ids, [u01(seed, "perm", it, t, i) for i in ids.tolist()])) for t in range(first, first + trials)]
 
 
 def stratify(z: np.ndarray, kernel: Kernel, k: int, ids: np.ndarray | None = None, weighted: bool = True, trials: int = 100, parallel: int = 10, max_iter: int = 20, patience: int = 4, seed: int = 42, start: np.ndarray | None = None, polish: bool = False, portable: bool = False) -> Strata:
@@ -159,7 +162,8 @@ def stratify(z: np.ndarray, kernel: Kernel, k: int, ids: np.ndarray | None = Non
 
 
 def stratify_frame(ff: DataFrame, kernel: Kernel | Callable[[np.ndarray], Kernel], k: int, fmap=None, **options) -> DataFrame:
-    """(domain, id, stratum), each domain by itself. Exact for bounded domains; with ``fmap`` the mapped path is taken.
+    """(domain, id, stratum), each domain by itself. Exact; with ``fmap`` the mapped path is taken. Beyond ``GRAM_ROWS``
+    rows pairs are computed anew in the tasks in every round, and the trials of a round are dealt over tasks.
 
     ``kernel`` may also be a function that makes one of a domain's rows, such as the quadratic one about their mean.
     An empty frame gives no rows, a domain of up to k rows a stratum for each, a null vector an error.
@@ -167,7 +171,9 @@ def stratify_frame(ff: DataFrame, kernel: Kernel | Callable[[np.ndarray], Kernel
     spark = ff.sparkSession
     if fmap is not None:
         return stratify_mapped(ff, fmap, k, **options)
-    small = Small(ff, "domain", limit=SMALL_ROWS)
+    if not {"weighted", "start", "polish"} & set(options) and ff.count() > GRAM_ROWS:
+        return _stratify_spread(ff, kernel, k, **options)
+    small = Small(ff, "domain")
     parts = []
     for dom in sorted(set(small.extra["domain"].tolist())):
         at = small.extra["domain"] == dom
@@ -176,6 +182,78 @@ def stratify_frame(ff: DataFrame, kernel: Kernel | Callable[[np.ndarray], Kernel
     return spark.createDataFrame(pa.concat_tables(parts)) if parts else spark.createDataFrame([], "domain string, id long, stratum int")
 
 
+def _stratify_spread(ff: DataFrame, kernel: Kernel | Callable[[np.ndarray], Kernel], k: int, trials: int = 100, parallel: int = 10, max_iter: int = 20, patience: int = 4, seed: int = 42, portable: bool = False) -> DataFrame:
+    """``stratify`` of every domain by sums that come from the tasks; the driver keeps k numbers a row, never pairs."""
+    spark, parts = ff.sparkSession, []
+    for dom in sorted(r["domain"] for r in ff.select("domain").distinct().collect()):
+        one = ff.filter(F.col("domain") == dom)
+        spread = Spread(one)
+        ids, n = spread.ids, len(spread)
+        if n <= k:
+            found = np.arange(n)
+        else:
+            if isinstance(kernel, Kernel):
+                own = kernel
+            else:  # made of the mean of the rows, by chunks
+                own = kernel(sum(x.value.astype(float).sum(0) for x in spread.chunks)[None] / n)
+            found = _alternate(spread, own, seed_rows(one, own, k, seed)[1], k, trials, parallel, max_iter, patience, seed, portable)
+        spread.close()
+        parts.append(pa.table({"domain": pa.array([dom] * n), "id": pa.array(ids), "stratum": pa.array(found, pa.int32())}))
+    return spark.createDataFrame(pa.concat_tables(parts)) if parts else spark.createDataFrame([], "domain string, id long, stratum int")
+
+
+def _alternate(spread: Spread, kernel: Kernel, centres: np.ndarray, k: int, trials: int, parallel: int, max_iter: int, patience: int, seed: int, portable: bool) -> np.ndarray:
+    n, everyone = len(spread), [x.value.astype(float) for x in spread.chunks]
+    diag = np.concatenate([kernel.diag(x) for x in everyone])
+    d = np.concatenate([np.maximum(kernel.diag(x)[:, None] + kernel.diag(centres) - 2 * kernel.block(x, centres), 0) for x in everyone])
+    del everyone
+    best, best_v, bad, now = None, np.inf, 0, None
+    for it in range(max_iter):
+        new = _dealt_trials(spread, d, trials, parallel, seed, it, portable)
+        counts = np.bincount(new, minlength=k)
+        for h in np.flatnonzero(counts == 0):
+            cost = d[np.arange(n), new] * counts[new]
+            cost[counts[new] <= 1] = -1
+            i = int(cost.argmax())
+            counts[new[i]] -= 1
+            new[i], counts[h] = h, 1
+        s = spread.mapped_sums(kernel, new, k) if hasattr(kernel, "feature_map") else spread.sums(kernel, new, k)
+        inner = np.bincount(new, weights=s[np.arange(n), new], minlength=k)
+        v = max(float((counts * (np.bincount(new, weights=diag, minlength=k) - inner / counts)).sum()), 0.0) / n**2
+        if v < best_v - 1e-15:
+            best, best_v, bad = new, v, 0
+        else:
+            bad += 1
+        if now is not None and (new == now).all() or bad >= patience:
+            break
+        now, d = new, distances_of_sums(s, new, counts, diag)
+    return best
+
+
+def _dealt_trials(spread: Spread, d: np.ndarray, trials: int, parallel: int, seed: int, it: int, portable: bool) -> np.ndarray:
+    """The cheapest of a round's shuffled passes, the first of equals; every task takes some and returns its best."""
+    spark = spread.spark
+    shared = spark.sparkContext.broadcast((spread.ids, d))
+    tasks = min(trials, 2 * spark.sparkContext.defaultParallelism)
+
+    def work(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        mine = [t for b in batches for t in b.column(0).to_pylist()]
+        ids, dist = shared.value
+        best = None
+        for lo in range(0, len(mine), 8):
+            some = mine[lo : lo + 8]
+            orders = [portable_orders(ids, 1, seed, it, t)[0] if portable else np.random.default_rng([seed + it, t]).permutation(len(ids)) for t in some]
+            picks, cost, costs = G.best_of(dist, 0, parallel, orders=orders)
+            if best is None or cost < best[0]:
+                best = (cost, some[costs.index(cost)], picks.astype(np.int32).tobytes())
+        if best:
+            yield pa.RecordBatch.from_pydict({"cost": [best[0]], "t": [best[1]], "picks": [best[2]]})
+
+    got = spark.range(0, trials, 1, tasks).mapInArrow(work, "cost double, t long, picks binary").toArrow().sort_by([("cost", "ascending"), ("t", "ascending")])
+    shared.destroy()
+    return np.frombuffer(got.column("picks")[0].as_py(), dtype=np.int32).astype(np.int64)
+
+
 def seed_parallel(ff: DataFrame, fmap, k: int, rounds: int = 5, oversample: int | None = None, seed: int = 42) -> tuple[np.ndarray, np.ndarray]:
     """Ids and mapped rows of k seeds of one domain, drawn from all its rows in ``rounds`` passes instead of k.
 

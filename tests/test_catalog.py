@@ -11,7 +11,7 @@ from pyspark.sql import functions as F
 from strata_engine import catalog
 from strata_engine.functions import exprs as E
 from strata_engine.functions import frames
-from strata_engine.functions.kernels import MIXTURE, RBF, FourierMap, map_error
+from strata_engine.functions.kernels import MIXTURE, RBF, FourierMap, Quadratic, map_error
 from strata_engine.operators import cluster, core
 from strata_engine.operators import greedy as G
 from strata_engine.sources import io
@@ -275,3 +275,15 @@ def test_exact_kernel_work_takes_more_rows_than_once(spark):
     assert [(r["n_h"], round(r["scatter"], 6)) for r in core.scatter(ff, s, RBF()).orderBy("stratum").collect()] == [(n // 3, 0.0)] * 3
     far = core.kernel_distances(ff, s, RBF(), 3)
     assert far.count() == n and far.filter("abs(dist[id % 3]) > 1e-9").count() == 0
+
+
+def test_strata_of_dealt_rows_are_those_of_arrays(spark, monkeypatch):
+    """Pairs in tasks and trials dealt over tasks give the strata of the whole Gram matrix."""
+    ff = frames.embeddings(spark, DIR)
+    for kernel in (MIXTURE, lambda z: Quadratic(tuple(z.mean(0)))):
+        for portable in (True, False):
+            found = []
+            for most in (4_000, 100):
+                monkeypatch.setattr(cluster, "GRAM_ROWS", most)
+                found.append(sorted(map(tuple, cluster.stratify_frame(ff, kernel, 8, trials=20, max_iter=3, portable=portable).collect())))
+            assert found[0] == found[1] and len(found[0]) == 500
