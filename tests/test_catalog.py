@@ -287,3 +287,15 @@ def test_strata_of_dealt_rows_are_those_of_arrays(spark, monkeypatch):
                 monkeypatch.setattr(cluster, "GRAM_ROWS", most)
                 found.append(sorted(map(tuple, cluster.stratify_frame(ff, kernel, 8, trials=20, max_iter=3, portable=portable).collect())))
             assert found[0] == found[1] and len(found[0]) == 500
+
+
+def test_surrogates_are_ranked_over_given_rows(spark):
+    """Suppliers of line items are the populations: as many as there are, and the same whatever the partitions."""
+    from strata_engine import workloads as W
+
+    n = spark.read.parquet(f"{DIR}/lineitem.parquet").select("l_suppkey").distinct().count()
+    mean = {(r["dims"], r["law"]): r for r in W.x1_surrogate_mean(spark, DIR).collect()}
+    assert len(mean) == 6 and all(r["populations"] == n and -1 <= r["rho"] <= 1 for r in mean.values())
+    assert all(mean[k, "isotropic"]["rho"] == pytest.approx(1.0) for k in (1, 2, 4)) and mean[1, "measured"]["rho"] == pytest.approx(1.0)
+    cov = {(r["dims"], r["law"]): r for r in W.x2_surrogate_covariance(spark, DIR, batches=300).collect()}
+    assert len(cov) == 6 and all(r["populations"] == n and -1 <= r["rho"] <= 1 for r in cov.values())
