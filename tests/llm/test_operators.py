@@ -169,6 +169,27 @@ def test_bpe_ids_of_every_code_point():
         assert bpe.packed_ids(some, path, pattern) == [np.array(lib.encode_ordinary(t), dtype="<u4").tobytes() for t in some]
 
 
+def test_bpe_repeated_words_are_encoded_once(monkeypatch):
+    """The library sees a word once while it is kept; what it gives for whole texts doesn't change, nor under another pattern."""
+    path, pattern = queries.vocabulary()
+    rng, whole, seen = random.Random(5), bpe._library_ids, []
+    signs = ["a", "b", "é", "ß", "1", "'s", "!", ",", " ", " ", "  ", "\n", "\t", "\r\n", "\x0b", "\x1c", "\x85", "\xa0", "\u200b", "\u2003", "\u2019", "\u3000", "漢", "🙂", "the ", "x" * 90]
+    texts = ["".join(rng.choice(signs) for _ in range(rng.randint(0, 60))) for _ in range(3_000)]
+    want = whole(texts, path, pattern)
+    monkeypatch.setattr(bpe, "_library_ids", lambda t, *a: (seen.extend(t), whole(t, *a))[1])
+    for most in (bpe.KEPT, 100):
+        monkeypatch.setattr(bpe, "KEPT", most)
+        monkeypatch.setattr(bpe, "_ids", {})
+        assert [x for i in range(0, len(texts), 70) for x in bpe.packed_ids(texts[i : i + 70], path, pattern)] == want
+    monkeypatch.setattr(bpe, "_ids", {})
+    seen.clear()
+    often = "of words\nthat come again, " * 5_000
+    assert bpe.packed_ids([often, often], path, pattern) == whole([often, often], path, pattern)
+    assert sum(map(len, seen)) < 100
+    joined = r"\S+\s|\s+|\S+"  # a pattern whose matches end in white space: words are no pieces of it
+    assert bpe.packed_ids(["ab cd \n ef"], path, joined) == whole(["ab cd \n ef"], path, joined)
+
+
 def test_language_id(spark, sf):
     d = spark.read.parquet(f"{sf}/documents.parquet")
     got = queries.op3_language_id(spark, sf).join(d.select("doc_id", "lang"), "doc_id").collect()
