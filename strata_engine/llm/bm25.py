@@ -1,12 +1,13 @@
 """Exact top-k BM25 search: an inverted index for each shard, pruned by block maxima, merged with global statistics.
 
-Document frequencies and lengths are counted over all documents first, so that scores don't depend on the shards. A
-shard puts documents of like vocabulary into blocks. For a query, the bound of a block is the sum of its words' block
-maxima, or what the block's documents really get from rare words, whose postings are short. Blocks are taken by falling
-bound, and those whose bound can't reach the k-th best score so far are never scored. Bounds are never below scores, so
-nothing of the true top k is lost. Small shares of the documents go first, each share several times the one before, so
-that the rest starts with a good score to beat and yields few candidates however many tasks there are. Frequent words are scored for many queries at once in single precision; whatever
-could be in the top k despite rounding is scored again in double precision.
+Document frequencies and lengths are counted over all documents first and once for all queries, so that scores don't
+depend on the shards. A shard puts documents of like vocabulary into blocks. For a query, the bound of a block is the sum
+of its words' block maxima, or what the block's documents really get from rare words, whose postings are short. Blocks are
+taken by falling bound, and those whose bound can't reach the k-th best score so far are never scored. Bounds are never
+below scores, so nothing of the true top k is lost. Small shares of the documents go first, each share several times the
+one before, so that the rest starts with a good score to beat and yields few candidates however many tasks there are.
+Frequent words are scored for many queries of like length at once in single precision; how many words count as frequent is
+what is cheapest for those queries. Whatever could be in the top k despite rounding is scored again in double precision.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 from pyspark.sql import Window
 
-from .common import new_path, prepare_workers, stage, trim
+from .common import new_path, prepare_workers, remove_path, stage, trim
 from .grams import WORDS
 
 
@@ -40,27 +41,63 @@ def places(words: np.ndarray, vocab: np.ndarray) -> tuple[np.ndarray, np.ndarray
     """Which words are in the sorted ``vocab``, and the places of those."""
     if not len(vocab):
         return np.zeros(len(words), dtype=bool), np.zeros(0, dtype=np.int64)
-    at = np.searchsorted(vocab, words)
-    at[at == len(vocab)] = 0
+    if len(words) * 4 > len(vocab):
+        at = near(words, vocab)
+    else:
+        at = np.searchsorted(vocab, words)
+        at[at == len(vocab)] = 0
     known = vocab[at] == words
     return known, at[known]
 
 
+def near(words: np.ndarray, vocab: np.ndarray) -> np.ndarray:
+    """For each word its place in the sorted ``vocab``, or any place if it isn't there.
+
+    Hashes are spread evenly, so their leading bits tell a place to within a few, and the rest is a short walk.
+    """
+    shift = np.uint64(63 - len(vocab).bit_length())
+    lead = lambda x: ((x.view(np.uint64) ^ np.uint64(1 << 63)) >> shift).astype(np.int64)
+    at = np.searchsorted(lead(vocab), np.arange(1 << (64 - int(shift))))[lead(words)]
+    end = np.append(vocab, np.iinfo(np.int64).max)
+    walk = np.flatnonzero(end[at] < words)
+    for _ in range(16):
+        if not len(walk):
+            break
+        at[walk] += 1
+        walk = walk[end[at[walk]] < words[walk]]
+    at[walk] = np.searchsorted(vocab, words[walk])  # words that aren't spread
+    at[at == len(vocab)] = 0
+    return at
+
+
 def spread(first: np.ndarray, count: np.ndarray) -> np.ndarray:
     """The ranges that start at ``first`` and have ``count`` members, end to end."""
     return np.arange(int(count.sum())) + np.repeat(first - (np.cumsum(count) - count), count)
 
 
+def by_value(x: np.ndarray) -> np.ndarray:
+    """Places of ``x`` by value, equal ones in order; ``x`` isn't negative. Sorting both as one number is faster than an argsort."""
+    bits = len(x).bit_length()
+    both = (x.astype(np.int64) << bits) | np.arange(len(x))
+    both.sort()
+    return both & ((1 << bits) - 1)
+
+
+#: A posting, fetched as one number.
+PACKED = np.dtype([("doc", np.int32), ("part", np.float32)])
+#: Following a posting takes about as long as so many multiplications in a product of matrices, with blocks left out.
+POSTING = 350
+
+
 class Asked:
-    """A block of queries: their words as places in a sorted vocabulary, in an order that puts like queries together."""
+    """A block of queries: their words as places in a sorted vocabulary, in the order of their numbers of words."""
 
     def __init__(self, rows: list[tuple[int, int, bytes, bytes]]):
         sizes = np.array([len(r[2]) // 8 for r in rows], dtype=np.int64)
         words = np.frombuffer(b"".join(r[2] for r in rows), dtype="<i8")
         self.vocab, at = np.unique(words, return_inverse=True)
         weight = np.frombuffer(b"".join(r[3] for r in rows), dtype="<i4").astype(np.float64)
-        head = leading(at, weight, sizes, np.bincount(at, minlength=len(self.vocab)))
-        order = np.lexsort((sizes, head))
+        order = np.argsort(sizes, kind="stable")
         pick = spread((np.cumsum(sizes) - sizes)[order], sizes[order])
         self.row = np.array([r[0] for r in rows], dtype=np.int64)[order]
         self.id = np.array([r[1] for r in rows], dtype=np.int64)[order]
@@ -88,7 +125,7 @@ class Shard:
     ``rows`` are (id, terms, tfs, size). Equal documents are scored once; of their ids the ``k`` smallest can matter.
     """
 
-    def __init__(self, rows: list[tuple[int, bytes, bytes, int]], vocab: np.ndarray, df: np.ndarray, n: int, mean: float, k: int, k1: float, b: float, block: int, most_dense: int = 1024):
+    def __init__(self, rows: list[tuple[int, bytes, bytes, int]], vocab: np.ndarray, df: np.ndarray, n: int, mean: float, k: int, k1: float, b: float, block: int, most_dense: int = 2048):
         same: dict[tuple[bytes, bytes], list[int]] = {}
         for i, t, f, _ in rows:
             same.setdefault((t, f), []).append(i)
@@ -111,7 +148,7 @@ class Shard:
         self.starts = np.arange(0, self.n, block)
         self.block = block
         local = np.bincount(at, minlength=len(vocab))
-        often = np.flatnonzero(local * 32 >= max(1, self.n))
+        often = np.flatnonzero(local * 128 >= max(1, self.n))
         often = often[np.argsort(-local[often], kind="stable")[:most_dense]]
         self.column = np.full(len(vocab), -1, dtype=np.int32)
         self.column[often] = np.arange(len(often))
@@ -120,26 +157,38 @@ class Shard:
         d = col >= 0
         self.dense[col[d], doc[d]] = self.part[d]
         self.maxima = np.maximum.reduceat(self.dense, self.starts, axis=1) if len(often) and self.n else np.zeros((len(often), len(self.starts)), dtype=np.float32)
-        r = np.flatnonzero(~d)
-        r = r[np.argsort(at[r], kind="stable")]
-        self.rare_doc, self.rare_part = doc[r], self.part[r]
-        self.rare_first = np.concatenate(([0], np.cumsum(np.bincount(at[r], minlength=len(vocab)))))
+        r = by_value(at)
+        posts = np.empty(len(r), dtype=PACKED)
+        posts["doc"], posts["part"] = doc[r], self.part[r]
+        self.posts, self.posts_first = posts.view(np.int64), np.concatenate(([0], np.cumsum(local)))
 
     def top(self, asked: Asked, lo: int, hi: int, least: np.ndarray, k: int) -> Iterator[tuple[int, list[tuple[float, int]]]]:
         """(query, its documents that can be among the k best) of queries lo to hi; ``least`` has scores to reach."""
         nq, a, z = hi - lo, asked.first[lo], asked.first[hi]
         count = np.diff(asked.first[lo : hi + 1])
         owner, at, w = np.repeat(np.arange(nq), count), asked.at[a:z], asked.weight[a:z]
-        col = self.column[at]
-        d = col >= 0
-        q = np.zeros((nq, len(self.dense)), dtype=np.float32)
+        col, first = self.column[at], self.posts_first[at]
+        size = self.posts_first[at + 1] - first
+        left = np.bincount(col + 1, weights=size, minlength=len(self.dense) + 1)
+        left = left.sum() - np.concatenate(([0], np.cumsum(left[1:])))  # postings to follow if so many words are dense
+        width = int(np.argmin(left * POSTING + np.arange(len(left)) * (nq * self.n)))
+        d = (col >= 0) & (col < width)
+        q = np.zeros((nq, width), dtype=np.float32)
         q[owner[d], col[d]] = w[d]
-        r = ~d
-        n = self.rare_first[at[r] + 1] - self.rare_first[at[r]]
-        post = spread(self.rare_first[at[r]], n)
-        rare = np.bincount(np.repeat(owner[r] * self.n, n) + self.rare_doc[post], weights=self.rare_part[post] * np.repeat(w[r], n), minlength=nq * self.n).astype(np.float32).reshape(nq, self.n)
+        dense, maxima = self.dense[:width], self.maxima[:width]
+        r = np.flatnonzero(~d & (size > 0))
+        first, size, w, ends = first[r], size[r], w[r], np.searchsorted(owner[r], np.arange(nq + 1)).tolist()
+        many = np.concatenate(([0], np.cumsum(size)))
+        steps = np.arange(int(np.diff(many[ends]).max(initial=0)))
+        rare = np.zeros((nq, self.n), dtype=np.float32)
+        for i, (a, z) in enumerate(zip(ends[:-1], ends[1:], strict=True)):
+            if a < z:
+                post = np.repeat(first[a:z] - (many[a:z] - many[a]), size[a:z])
+                post += steps[: len(post)]
+                got = self.posts[post].view(PACKED)
+                rare[i] = np.bincount(got["doc"], weights=got["part"] * np.repeat(w[a:z], size[a:z]), minlength=self.n)
         slack = 1 + (count + 16) * 2.0**-22  # more than rounding can add up to: all terms are positive
-        bound = (np.maximum.reduceat(rare, self.starts, axis=1) + q @ self.maxima) * slack[:, None]
+        bound = (np.maximum.reduceat(rare, self.starts, axis=1) + q @ maxima) * slack[:, None]
         theta = least.copy()
         best = np.zeros((nq, k), dtype=np.float32)
         found: list[tuple[np.ndarray, np.ndarray, np.ndarray]] = []
@@ -148,7 +197,13 @@ class Shard:
             if not len(live):
                 continue
             s = slice(self.starts[x], min(self.starts[x] + self.block, self.n))
-            score = rare[live, s] + q[live] @ self.dense[:, s]
+            score = q[live] @ dense[:, s]
+            score += rare[live, s]
+            most = score.max(axis=1)
+            hit = np.flatnonzero((most * slack[live] >= theta[live]) & (most > 0))
+            if not len(hit):
+                continue
+            live, score = live[hit], score[hit]
             both = np.concatenate((best[live], score), axis=1)
             best[live] = np.partition(both, both.shape[1] - k, axis=1)[:, -k:]
             theta[live] = np.maximum(theta[live], best[live].min(axis=1) / slack[live])
@@ -173,7 +228,7 @@ class Shard:
             yield lo + i, [(round(v, 9), one) for v, m in zip(exact.tolist(), mine.tolist(), strict=True) for one in self.ids[m]]
 
 
-def search(docs: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "doc_id", text_col: str = "text", query_col: str = "query_id", query_text: str = "text", k1: float = 1.2, b: float = 0.75, block: int = 128, shard_docs: int = 16_000, shard_terms: int = 2_400_000, query_block: int = 8_000, query_mb: float = 32.0, growth: int = 8) -> DataFrame:
+def search(docs: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "doc_id", text_col: str = "text", query_col: str = "query_id", query_text: str = "text", k1: float = 1.2, b: float = 0.75, block: int = 128, shard_docs: int = 16_000, shard_terms: int = 2_400_000, query_block: int = 8_000, query_mb: float = 32.0, growth: int = 8, words_at_once: int = 4_000_000) -> DataFrame:
     """The exact top ``k`` documents of every query: (query_col, rank, doc_id, score), score rounded to 6 places.
 
     Ties go to the smaller id. Documents that share no word with a query don't answer it; null and empty texts and
@@ -212,12 +267,13 @@ def search(docs: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "doc_
     mean = sum(x["size"] for x in shares.values()) / max(1, n)
     n_asked, asked_bytes = asked.agg(F.count("*"), F.coalesce(F.sum(F.octet_length("terms") + F.octet_length("tfs")), F.lit(0))).first()
     blocks = max(1, -(-n_asked // query_block), int(-(-asked_bytes // (query_mb * 1e6))))
+    frequencies = _frequencies(index, asked, words_at_once)
     path = new_path(spark, "answers")
     out = f"{query_col} long, rank long, doc_id long, score double"
     for some in range(blocks):
         rows = asked.filter(F.pmod(F.xxhash64("row"), F.lit(blocks)) == some).select("row", "id", "terms", "tfs").collect()
         here = Asked([(r[0], r[1], bytes(r[2]), bytes(r[3])) for r in rows])
-        df = _frequencies(index, here.vocab)
+        df = _known(frequencies, here.vocab)
         least, ranked = np.zeros(len(here.row)), None
         for x in sorted(shares):
             part = index.filter(F.col("share") == x)
@@ -240,27 +296,62 @@ def search(docs: DataFrame, queries: DataFrame, k: int = 10, id_col: str = "doc_
     return spark.read.schema(out).parquet(path)
 
 
-def _frequencies(index: DataFrame, vocab: np.ndarray) -> np.ndarray:
-    """In how many documents each word of a block of queries occurs."""
-    shared = index.sparkSession.sparkContext.broadcast(vocab)
+def _frequencies(index: DataFrame, asked: DataFrame, words_at_once: int) -> DataFrame:
+    """(term, df): in how many documents each word of any query occurs, written once.
+
+    Documents are read once for every ``words_at_once`` words, which bounds what is broadcast.
+    """
+    spark = index.sparkSession
 
     def spell(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            yield pa.RecordBatch.from_arrays([pa.array(np.unique(np.frombuffer(b"".join(batch.column(0).to_pylist()), dtype="<i8")))], names=["term"])
+
+    words, written = stage(asked.select("terms").mapInArrow(spell, "term long").distinct(), "words")
+    path = new_path(spark, "frequencies")
+    rounds = max(1, -(-words.count() // words_at_once))
+    for some in range(rounds):
+        vocab = np.sort(words.filter(F.pmod(F.xxhash64("term"), F.lit(rounds)) == some).toArrow()["term"].to_numpy())
+        shared = spark.sparkContext.broadcast(vocab)
+
+        def count(batches: Iterable[pa.RecordBatch], shared: Broadcast = shared) -> Iterator[pa.RecordBatch]:
+            known = shared.value
+            total = np.zeros(len(known), dtype=np.int64)
+            held, size = [], 0
+            for batch in batches:
+                held += batch.column(0).to_pylist()
+                size += batch.nbytes
+                if size > 16_000_000:
+                    total += np.bincount(places(np.frombuffer(b"".join(held), dtype="<i8"), known)[1], minlength=len(known))
+                    held, size = [], 0
+            total += np.bincount(places(np.frombuffer(b"".join(held), dtype="<i8"), known)[1], minlength=len(known))
+            hit = np.flatnonzero(total)
+            yield pa.RecordBatch.from_arrays([pa.array(known[hit]), pa.array(total[hit])], names=["term", "df"])
+
+        index.select("terms").mapInArrow(count, "term long, df long").groupBy("term").agg(F.sum("df").alias("df")).write.mode("append").parquet(path)
+        shared.destroy()
+    remove_path(spark, written)
+    return spark.read.schema("term long, df long").parquet(path)
+
+
+def _known(frequencies: DataFrame, vocab: np.ndarray) -> np.ndarray:
+    """In how many documents each word of a block of queries occurs."""
+    shared = frequencies.sparkSession.sparkContext.broadcast(vocab)
+
+    def pick(batches: Iterable[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         words = shared.value
-        total = np.zeros(len(words), dtype=np.int64)
         for batch in batches:
-            _, at = places(np.frombuffer(b"".join(batch.column(0).to_pylist()), dtype="<i8"), words)
-            total += np.bincount(at, minlength=len(words))
-        hit = np.flatnonzero(total)
-        yield pa.RecordBatch.from_arrays([pa.array(hit.astype(np.int32)), pa.array(total[hit])], names=["at", "df"])
+            known, at = places(batch.column(0).to_numpy(zero_copy_only=False), words)
+            yield pa.RecordBatch.from_arrays([pa.array(at.astype(np.int32)), batch.column(1).filter(pa.array(known))], names=["at", "df"])
 
     df = np.zeros(len(vocab), dtype=np.int64)
-    counted = index.select("terms").mapInArrow(spell, "at int, df long").groupBy("at").agg(F.sum("df").alias("df")).toArrow()
+    counted = frequencies.mapInArrow(pick, "at int, df long").toArrow()
     df[counted["at"].to_numpy()] = counted["df"].to_numpy()
     shared.destroy()
     return df
 
 
-def _answers(index: DataFrame, asked: Asked, df: np.ndarray, reached: np.ndarray, n: int, mean: float, k: int, k1: float, b: float, block: int, shard_docs: int, shard_terms: int, at_once: int = 128) -> tuple[DataFrame, Broadcast]:
+def _answers(index: DataFrame, asked: Asked, df: np.ndarray, reached: np.ndarray, n: int, mean: float, k: int, k1: float, b: float, block: int, shard_docs: int, shard_terms: int, at_once: int = 512) -> tuple[DataFrame, Broadcast]:
     """(row, q, id, score), at most k for a task and query and none below ``reached``; also what was broadcast."""
     shared = index.sparkSession.sparkContext.broadcast((asked, df, reached))
 

@@ -211,3 +211,31 @@ def test_blocks_by_bound_give_what_pivots_give():
         once = {shard.ids[d][0] for d in range(shard.n)}  # equal documents are scored once
         scores = sorted((v for v, x in got[i] if x in once), reverse=True)[:5]
         assert scores == pytest.approx(want, abs=1e-6) and pivots > 0
+
+
+def test_places_are_those_of_a_search():
+    rng = np.random.default_rng(5)
+    low, high = np.iinfo(np.int64).min, np.iinfo(np.int64).max
+    spread = np.unique(rng.integers(low, high, 3000))
+    close = np.unique(np.concatenate((np.arange(700), [low, -1, high - 1, high])))  # hashes aren't like that
+    for vocab in (spread, close, spread[:1], np.array([high]), spread[:0]):
+        words = np.concatenate((vocab, vocab + 1, vocab - 1, rng.integers(low, high, 500), [low, 0, high]))
+        known, at = bm25.places(words, vocab)
+        assert known.tolist() == np.isin(words, vocab).tolist()
+        assert (vocab[at] == words[known]).all()
+
+
+def test_scores_whatever_counts_as_frequent(monkeypatch):
+    """Words as columns of a product or as postings: the same documents and scores."""
+    rng = random.Random(32)
+    docs = [(i, *bm25.terms_of(prose(rng, rng.randint(1, 90), WORDS[: rng.choice((5, 20, 35))]))) for i in range(260)]
+    rows = [(i, t.tobytes(), f.tobytes(), int(f.sum())) for i, t, f in docs]
+    asked = bm25.Asked([(r[0], r[0], r[1], r[2]) for r in rows[::9]])
+    df = np.ones(len(asked.vocab), dtype=np.int64) * 7
+    got = []
+    for posting in (0, 1, 350, 10**9):
+        monkeypatch.setattr(bm25, "POSTING", posting)
+        shard = bm25.Shard(rows, asked.vocab, df, len(rows), 40.0, 5, 1.2, 0.75, 8)
+        found = dict(shard.top(asked, 0, len(asked.row), np.zeros(len(asked.row)), 5))
+        got.append({i: sorted(((-v, x) for v, x in m), key=lambda y: (round(y[0], 6), y[1]))[:5] for i, m in found.items()})
+    assert len(got[0]) == len(asked.row) and all(g == got[0] for g in got)

@@ -431,6 +431,18 @@ def test_bm25_shares_and_copies(spark):
         assert [x[3] for x in got] == pytest.approx([x[3] for x in want], abs=2e-6)
 
 
+def test_bm25_counts_words_once(spark, monkeypatch):
+    """Document frequencies are counted once, however many blocks of queries there are, and in rounds if words are many."""
+    rng = random.Random(9)
+    docs = spark.createDataFrame([(i, prose(rng, rng.randint(1, 30))) for i in range(120)] + [(900, None)], "doc_id long, text string")
+    asked = docs.filter("doc_id % 10 = 0").withColumnRenamed("doc_id", "query_id")
+    want = sorted(tuple(r) for r in bm25.search(docs, asked, k=4).collect())
+    calls, count = [], bm25._frequencies
+    monkeypatch.setattr(bm25, "_frequencies", lambda *a: calls.append(1) or count(*a))
+    got = sorted(tuple(r) for r in bm25.search(docs, asked, k=4, query_block=3, words_at_once=5).collect())
+    assert got == want and want and len(calls) == 1
+
+
 def test_queries_with_sql(spark, sf):
     c = duckdb.connect()
     for t in ("documents", "labels", "benchmark", "pages"):
